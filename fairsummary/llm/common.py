@@ -5,7 +5,7 @@ from __future__ import annotations
 import gc
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -92,3 +92,28 @@ def text_slices(batch: pa.RecordBatch, column: str, limit: int = CHUNK_BYTES) ->
 def texts_of(batch: pa.RecordBatch, column: str) -> list[str]:
     """Texts of a batch with nulls as empty strings."""
     return [t or "" for t in batch.column(batch.schema.get_field_index(column)).to_pylist()]
+
+
+#: Words that a worker process remembers for one operator.
+MEMORY = 500_000
+
+
+class Memory:
+    """What a worker process has worked out for words; results do not depend on what it holds.
+
+    Common words come early and stay; once full, it takes in nothing more and
+    the rest of each slice's words are worked out for that slice alone.
+    """
+
+    def __init__(self, work: Callable[[list[str]], list], limit: int = MEMORY):
+        self.work, self.limit, self.known = work, limit, {}
+
+    def __call__(self, words: set[str]) -> dict:
+        new = list(words.difference(self.known))
+        if not new:
+            return self.known
+        fresh = dict(zip(new, self.work(new)))
+        if len(self.known) + len(fresh) <= self.limit:
+            self.known.update(fresh)
+            return self.known
+        return {w: self.known[w] for w in words if w in self.known} | fresh

@@ -17,14 +17,15 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import extended, text_slices, texts_of
-from .token_table import MEMORY, vocabulary
+from .common import Memory, extended, text_slices, texts_of
+from .token_table import vocabulary
 from .words import mix
 
 MARK = "▁"
 _SEGMENT = re.compile(f"{MARK}+[^{MARK}]*|[^{MARK}]+")
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _loaded: dict[str, "Lattice"] = {}
+_encoders: dict[str, "Encoder"] = {}
 
 
 class Lattice:
@@ -186,19 +187,21 @@ def segments(text: str) -> list[str]:
 
 
 class Encoder:
-    """Texts to ids (as little-endian unsigned 32-bit bytes) with a bounded memory of segments."""
+    """Texts to ids (as little-endian unsigned 32-bit bytes) with a memory of segments."""
 
     def __init__(self, lattice: Lattice):
-        self.lattice, self.known = lattice, {}
+        self.memory = Memory(lattice.encode_words)
+
+    @staticmethod
+    def at(path: str) -> "Encoder":
+        if path not in _encoders:
+            _encoders[path] = Encoder(Lattice.from_model(path))
+        return _encoders[path]
 
     def __call__(self, texts: list[str]) -> list[bytes]:
         split = [segments(t) for t in texts]
-        if len(self.known) > MEMORY:
-            self.known = {}
-        new = list(set().union(*split).difference(self.known))
-        for w, ids in zip(new, self.lattice.encode_words(new)):
-            self.known[w] = ids
-        return [b"".join(map(self.known.__getitem__, s)) for s in split]
+        known = self.memory(set().union(*split))
+        return [b"".join(map(known.__getitem__, s)) for s in split]
 
 
 def encode_pieces(docs: DataFrame, *, text_col: str = "text", model: str | None = None) -> DataFrame:
@@ -207,7 +210,7 @@ def encode_pieces(docs: DataFrame, *, text_col: str = "text", model: str | None
     base = docs.drop("ids")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(Lattice.from_model(model))
+        encoder = Encoder.at(model)
         for batch in batches:
             for b in text_slices(batch, text_col):
                 ids = encoder(texts_of(b, text_col))

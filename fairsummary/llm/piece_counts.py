@@ -14,11 +14,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import extended, text_slices, texts_of
-from .token_table import MEMORY, split_words, vocabulary
+from .common import Memory, extended, text_slices, texts_of
+from .token_table import split_words, vocabulary
 
 HEAD = "▁"
-_automata: dict[str, "Automaton"] = {}
+_memories: dict[str, Memory] = {}
 
 
 class Automaton:
@@ -80,10 +80,12 @@ def model_pieces(path: str) -> list[str]:
     return [sp.id_to_piece(i) for i in range(sp.get_piece_size()) if not (sp.is_control(i) or sp.is_unknown(i) or sp.is_byte(i) or sp.is_unused(i))]
 
 
-def automaton(path: str) -> Automaton:
-    if path not in _automata:
-        _automata[path] = Automaton(model_pieces(path))
-    return _automata[path]
+def counts_of(path: str) -> Memory:
+    """This process's counts for words of a vocabulary; white space counts nothing."""
+    if path not in _memories:
+        auto = Automaton(model_pieces(path))
+        _memories[path] = Memory(lambda words: [auto.count(HEAD + w) if w else 0 for w in words])
+    return _memories[path]
 
 
 def count_pieces(docs: DataFrame, *, text_col: str = "text", vocab: str | None = None) -> DataFrame:
@@ -96,14 +98,11 @@ def count_pieces(docs: DataFrame, *, text_col: str = "text", vocab: str | None =
     base = docs.drop("n_words", "n_tokens", "n_unknown")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        auto, known = automaton(vocab), {"": 0}
+        memory = counts_of(vocab)
         for batch in batches:
             for b in text_slices(batch, text_col):
                 split = [split_words(t) for t in texts_of(b, text_col)]
-                if len(known) > MEMORY:
-                    known = {"": 0}
-                for w in set().union(*split).difference(known):
-                    known[w] = auto.count(HEAD + w)
+                known = memory(set().union(*split))
                 out = []
                 for s in split:
                     n = np.fromiter(map(known.__getitem__, s), np.int64, len(s))

@@ -57,33 +57,39 @@ def _candidates(words: Words, at: np.ndarray, window: int, period: int) -> np.nd
 
 
 class _Filter:
-    """A bit for each slot of the hash space: one-sided, so a miss is certain."""
+    """A Bloom filter: a miss is certain, a hit is not."""
 
     def __init__(self, bits: np.ndarray):
-        self.bits, self.shift = bits, np.uint64(64 - int(len(bits) * 8).bit_length() + 1)
+        self.bits = bits
 
     def __call__(self, h: np.ndarray) -> np.ndarray:
-        slot = mix(h, 3) >> self.shift
-        return (self.bits[slot >> np.uint64(3)] >> (slot & np.uint64(7)).astype(np.uint8)) & 1 > 0
+        out = np.ones(len(h), bool)
+        for slot in _slots(h, len(self.bits) * 8):
+            out &= (self.bits[slot >> np.uint64(3)] >> (slot & np.uint64(7)).astype(np.uint8)) & 1 > 0
+        return out
+
+
+def _slots(h: np.ndarray, size: int) -> list[np.ndarray]:
+    """Three bit numbers for each hash; ``size`` is a power of two."""
+    return [mix(h, salt) & np.uint64(size - 1) for salt in (3, 4, 6)]
 
 
 def _filter_bits(repeated: DataFrame, n: int, limit: int) -> np.ndarray | None:
-    """Bitmap of the repeated anchors with 16 or more slots for each, or None where the bound does not hold."""
+    """Filter of the repeated anchors with 16 or more bits for each, or None where the bound does not hold."""
     size = 1 << max(16, (16 * n - 1).bit_length())
     if size > limit:
         return None
-    shift = np.uint64(64 - size.bit_length() + 1)
 
     def part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            slot = mix(b.column(0).to_numpy().view(np.uint64), 3) >> shift
-            byte, bit = (slot >> np.uint64(3)).astype(np.int64), (np.uint8(1) << (slot & np.uint64(7)).astype(np.uint8)).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(byte), pa.array(bit)], ["byte", "bit"])
-
-    got = repeated.mapInArrow(part, "byte long, bit long").groupBy("byte").agg(F.bit_or("bit").alias("bit")).toArrow()
-    bits = np.zeros(size // 8, np.uint8)
-    bits[got["byte"].to_numpy()] = got["bit"].to_numpy().astype(np.uint8)
-    return bits
+            slot = np.concatenate(_slots(b.column(0).to_numpy().view(np.uint64), size))
+            word, bit = (slot >> np.uint64(6)).astype(np.int64), (np.uint64(1) << (slot & np.uint64(63))).view(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(word), pa.array(bit)], ["word", "bit"])
+
+    got = repeated.mapInArrow(part, "word long, bit long").groupBy("word").agg(F.bit_or("bit").alias("bit")).toArrow()
+    words = np.zeros(size // 64, np.int64)
+    words[got["word"].to_numpy()] = got["bit"].to_numpy()
+    return words.view(np.uint8)
 
 
 def repeated_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", window: int = 35, period: int | None = None, filter_bits: int = FILTER_BITS) -> DataFrame:

@@ -20,13 +20,13 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import new_path, text_slices, texts_of
+from .common import Memory, new_path, text_slices, texts_of
 
 END_ID = 1
-#: Words that a worker remembers; a full memory is emptied, which costs time but changes no result.
-MEMORY = 250_000
+#: Punctuation that the vocabulary's split keeps apart from letters; quotes and the marks of special tokens are not among it.
+_EDGE = ".,!?;:()[]{}*+-/=#%&@_~^$"
 TABLE = "doc_id long, part int, start_in_part long, n_tokens long, ids array<int>"
-_loaded: dict[str, object] = {}
+_loaded: dict[str, "WordEncoder"] = {}
 
 
 def vocabulary(name: str) -> str:
@@ -48,27 +48,64 @@ class WordEncoder:
     """Ids of texts, encoded word by word with a memory.
 
     The vocabulary drops white space and no rule of it looks across white
-    space, so the ids of a text are those of its words in order.
+    space, so the ids of a text are those of its words in order.  Where ids
+    mark word ends, unknown words of letters only are encoded many to a call
+    and cut apart at the marks; punctuation around them is a word of its own.
     """
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
+        self.tokenizer = Tokenizer.from_file(path)
+        vocab = self.tokenizer.get_vocab()
+        self.ends = np.zeros(max(vocab.values()) + 1, bool)
+        self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
+        self.marked = bool(self.ends.any())
+        self.parts = Memory(self._parts)
+        self.words = Memory(self._words)
+
+    @staticmethod
+    def at(path: str) -> "WordEncoder":
         if path not in _loaded:
-            _loaded[path] = Tokenizer.from_file(path)
-        self.tokenizer, self.known = _loaded[path], {"": b""}
+            _loaded[path] = WordEncoder(path)
+        return _loaded[path]
+
+    def _each(self, words: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+
+    def _parts(self, parts: list[str]) -> list[bytes]:
+        """Ids of letter runs together, of anything else one by one."""
+        out = dict.fromkeys(parts, b"")
+        runs = [p for p in parts if self.marked and p.isalpha()]
+        for lo in range(0, len(runs), 512):
+            some = runs[lo : lo + 512]
+            ids = np.array(self.tokenizer.encode_batch_fast([" ".join(some)], add_special_tokens=False)[0].ids, "<u4")
+            stop = 4 * (np.flatnonzero(self.ends[ids]) + 1)
+            if len(stop) == len(some) and (not len(stop) or stop[-1] == 4 * len(ids)):
+                body, stop = ids.tobytes(), stop.tolist()
+                out.update(zip(some, [body[s:e] for s, e in zip([0, *stop], stop)]))
+            else:  # a letter that lower-cases to more than letters
+                out.update(zip(some, self._each(some)))
+        rest = [p for p in parts if not (self.marked and p.isalpha())]
+        out.update(zip(rest, self._each(rest)))
+        return [out[p] for p in parts]
+
+    def _words(self, words: list[str]) -> list[bytes]:
+        cut = []
+        for w in words:
+            core = w.strip(_EDGE)
+            if core.isalpha():
+                head = len(w) - len(w.lstrip(_EDGE))
+                cut.append((w[:head], core.lower() if core.isascii() else core, w[head + len(core) :]))
+            else:
+                cut.append(("", w, ""))
+        known = self.parts({p for c in cut for p in c})
+        return [known[a] + known[b] + known[c] for a, b, c in cut]
 
     def __call__(self, texts: list[str]) -> list[bytes]:
         split = [split_words(t) for t in texts]
-        if len(self.known) > MEMORY:
-            self.known = {"": b""}
-        known = self.known
-        new = list(set().union(*split).difference(known))
-        for lo in range(0, len(new), 4096):
-            some = new[lo : lo + 4096]
-            for w, e in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False)):
-                known[w] = np.array(e.ids, "<u4").tobytes()
+        known = self.words(set().union(*split))
         return [b"".join(map(known.__getitem__, s)) for s in split]
 
 
@@ -91,7 +128,7 @@ def write_token_table(
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, start = TaskContext.get().partitionId(), 0
-        encode_texts = encoder() if encoder else WordEncoder(vocab)
+        encode_texts = encoder() if encoder else WordEncoder.at(vocab)
         for batch in batches:
             for b in text_slices(batch, "text"):
                 ids = [x + tail for x in encode_texts(texts_of(b, "text"))]

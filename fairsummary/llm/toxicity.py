@@ -17,8 +17,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import extended, text_slices
-from .token_table import MEMORY, split_words
+from .common import Memory, extended, text_slices
+from .token_table import split_words
 from .words import _BYTE, range_hash
 
 
@@ -132,23 +132,25 @@ def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> tupl
 
 
 class Scorer:
-    """Scores of texts from a trained model, with a bounded memory of word scores."""
+    """Scores of texts from a trained model, with a memory of word scores."""
 
     def __init__(self, odds: np.ndarray, base: float, s: Settings):
-        self.odds, self.base, self.s, self.known = odds, base, s, {"": 0.0}
+        self.odds, self.base, self.s, self.memory = odds, base, s, Memory(self._score)
+
+    def _score(self, words: list[str]) -> list[float]:
+        out: list[float] = []
+        for lo in range(0, len(words), 4096):
+            ids, count = subwords(words[lo : lo + 4096], self.s)
+            out += (np.add.reduceat(self.odds[ids], np.cumsum(count) - count) / count).tolist()
+        return out
 
     def __call__(self, texts: list[str]) -> np.ndarray:
         split = [[w for w in split_words(t.lower()) if w] for t in texts]
-        if len(self.known) > MEMORY:
-            self.known = {"": 0.0}
-        new = list(set().union(*split).difference(self.known))
-        for lo in range(0, len(new), 4096):
-            ids, count = subwords(new[lo : lo + 4096], self.s)
-            self.known.update(zip(new[lo : lo + 4096], (np.add.reduceat(self.odds[ids], np.cumsum(count) - count) / count).tolist()))
+        known = self.memory(set().union(*split))
         out = np.empty(len(split))
         for i, words in enumerate(split):
             n = min(len(words), self.s.passage)
-            run = np.cumsum([0.0, *map(self.known.__getitem__, words)])
+            run = np.cumsum([0.0, *map(known.__getitem__, words)])
             worst = (run[n:] - run[: len(run) - n]).max() / n if n else 0.0
             out[i] = 1 / (1 + np.exp(-np.clip(worst + self.base, -40, 40)))
         return out
