@@ -14,10 +14,10 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import extended, materialize, null_safe, sized, text_slices
+from .common import extended, materialize, sized, text_slices
 from .words import Words, find_words, mix, range_hash
 
 #: Perfect difference sets; all differences modulo the period occur.
@@ -92,20 +92,36 @@ def _filter_bits(repeated: DataFrame, n: int, limit: int) -> np.ndarray | None:
     return words.view(np.uint8)
 
 
+TEXT = ("text_key", "text_sum")
+
+
+def _identity(column: str) -> dict[str, Column]:
+    """96 bits that stand for a text; equal texts have equal spans, so rows need no other key."""
+    return {"text_key": F.xxhash64(column), "text_sum": F.hash(column)}
+
+
+def _column(b: pa.RecordBatch, name: str) -> pa.Array:
+    return b.column(b.schema.get_field_index(name))
+
+
 def repeated_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", window: int = 35, period: int | None = None, filter_bits: int = FILTER_BITS) -> DataFrame:
-    """Word spans that lie in a repeated window: (id, text_key, span_from[], span_to[]), one row per document that has any.
+    """Word spans that lie in a repeated window: (text_key, text_sum, copies, span_from[], span_to[]), one row per text that has any.
 
-    Null, empty and short texts have no windows.  Repeated rows are documents
-    of their own: their windows repeat each other.  ``text_key`` tells apart
-    different texts that share an id.
+    Texts of several rows have ``copies`` set instead of spans: all their
+    windows repeat.  Null, empty and short texts have no windows.
     """
     if window < 1:
         raise ValueError("window must be positive")
     period = period or period_for(window)
-    if not is_cover(period, COVERS[period]) or period > window:
+    if period not in COVERS or not is_cover(period, COVERS[period]) or period > window:
         raise ValueError("the period must have a cover and not exceed the window")
     spark = docs.sparkSession
-    keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_col).alias("text_key"), F.col(text_col).alias("text")).where(F.col("text").isNotNull())
+    keyed = docs.where(F.col(text_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).withColumns(_identity("text"))
+    copied = materialize(keyed.groupBy(*TEXT).agg(F.min("doc_id").alias("least"), F.count("*").alias("n")).where("n > 1").select(*TEXT, "least"), "copied")
+    # of copies one row (or the few that share its id) speaks for the text; its windows repeat in any case
+    marked = keyed.join(sized(copied.withColumn("copied", F.lit(True))), list(TEXT), "left")
+    once = marked.where(F.col("copied").isNull() | F.col("doc_id").eqNullSafe(F.col("least"))).select("text")
+    own = marked.where(F.col("copied").isNull()).select(*TEXT, "text")
 
     def anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -117,45 +133,38 @@ def repeated_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
                 if len(h):
                     yield pa.RecordBatch.from_arrays([pa.array(h)], ["anchor"])
 
-    repeated = materialize(keyed.select("text").mapInArrow(anchors, "anchor long").groupBy("anchor").count().where("count > 1").select("anchor"), "anchors")
+    repeated = materialize(once.mapInArrow(anchors, "anchor long").groupBy("anchor").count().where("count > 1").select("anchor"), "anchors")
     bits = _filter_bits(repeated, repeated.count(), filter_bits)
     shared = None if bits is None else spark.sparkContext.broadcast(bits)
-    located = _located(keyed, repeated, window, period) if bits is None else None
+    if bits is None:
+        spots = _located(once.withColumns(_identity("text")), repeated, window, period)
+        once = once.withColumns(_identity("text")).join(sized(spots), list(TEXT)).select("text", "spots")
+        own = own.join(sized(spots), list(TEXT)).select(*TEXT, "text", "spots")
 
     def windows(batches: Iterator[pa.RecordBatch], places: bool) -> Iterator[pa.RecordBatch]:
         test = None if shared is None else _Filter(shared.value)
         for batch in batches:
             for b in text_slices(batch, "text"):
-                w = find_words(b.column(b.schema.get_field_index("text")))
+                w = find_words(_column(b, "text"))
                 h = w.hashes()
                 if test is not None:
                     at, key = _anchors(w, h, window, period)
                     at = at[test(key)]
                 else:
-                    spots = b.column(b.schema.get_field_index("spots")).to_pylist()
-                    at = np.concatenate([np.asarray(s, np.int64) + f for s, f in zip(spots, w.first)] or [np.zeros(0, np.int64)])
+                    at = np.concatenate([np.asarray(s, np.int64) + f for s, f in zip(_column(b, "spots").to_pylist(), w.first)])
                 p = _candidates(w, np.unique(at), window, period)
                 if not len(p):
                     continue
-                h1 = range_hash(h, p, p + window).view(np.int64)
-                h2 = (range_hash(mix(h, 5), p, p + window, 1) >> np.uint64(32)).astype(np.uint32).view(np.int32)
+                cols = {"h1": range_hash(h, p, p + window).view(np.int64), "h2": (range_hash(mix(h, 5), p, p + window, 1) >> np.uint64(32)).astype(np.uint32).view(np.int32)}
                 if places:
                     d = w.doc[p]
-                    ids, keys = (b.column(b.schema.get_field_index(c)).take(pa.array(d)) for c in ("doc_id", "text_key"))
-                    yield pa.RecordBatch.from_arrays([pa.array(h1), pa.array(h2), ids, keys, pa.array((p - w.first[d]).astype(np.int32))], ["h1", "h2", "doc_id", "text_key", "at"])
-                else:
-                    yield pa.RecordBatch.from_arrays([pa.array(h1), pa.array(h2)], ["h1", "h2"])
-
-    if located is None:
-        source = keyed
-    else:
-        source = keyed.join(located.withColumnsRenamed({"doc_id": "l_id", "text_key": "l_key"}), F.col("doc_id").eqNullSafe(F.col("l_id")) & (F.col("text_key") == F.col("l_key")))
-    count_in = source.select("text", *([] if located is None else ["spots"]))
-    place_in = source.select("doc_id", "text_key", "text", *([] if located is None else ["spots"]))
-    twice = count_in.mapInArrow(lambda it: windows(it, False), "h1 long, h2 int").groupBy("h1", "h2").count().where("count > 1").select("h1", "h2")
+                    cols |= {c: _column(b, c).take(pa.array(d)) for c in TEXT} | {"at": (p - w.first[d]).astype(np.int32)}
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols.values()], list(cols))
+
+    twice = once.mapInArrow(lambda it: windows(it, False), "h1 long, h2 int").groupBy("h1", "h2").count().where("count > 1").select("h1", "h2")
     twice = materialize(twice, "windows")
-    places = place_in.mapInArrow(lambda it: windows(it, True), "h1 long, h2 int, doc_id long, text_key long, at int")
-    hit = places.join(twice.hint("shuffle_hash"), ["h1", "h2"]).groupBy("doc_id", "text_key").agg(F.collect_list("at").alias("at"))
+    places = own.mapInArrow(lambda it: windows(it, True), "h1 long, h2 int, text_key long, text_sum int, at int")
+    hit = places.join(twice.hint("shuffle_hash"), ["h1", "h2"]).groupBy(*TEXT).agg(F.collect_list("at").alias("at"))
 
     def spans(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -165,24 +174,26 @@ def repeated_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
                 new = np.flatnonzero(np.diff(s, prepend=s[0] - window - 1) > window)
                 lo.append(s[new])
                 hi.append(s[np.append(new[1:], len(s)) - 1] + window)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(lo, pa.list_(pa.int32())), pa.array(hi, pa.list_(pa.int32()))], ["doc_id", "text_key", "span_from", "span_to"])
+            yield pa.RecordBatch.from_arrays([*b.columns[:2], pa.array(lo, pa.list_(pa.int32())), pa.array(hi, pa.list_(pa.int32()))], [*TEXT, "span_from", "span_to"])
 
-    return materialize(hit.mapInArrow(spans, "doc_id long, text_key long, span_from array<int>, span_to array<int>"), "spans")
+    found = hit.mapInArrow(spans, "text_key long, text_sum int, span_from array<int>, span_to array<int>").withColumn("copies", F.lit(False))
+    none = F.lit(None).cast("array<int>")
+    return materialize(found.unionByName(copied.select(*TEXT, F.lit(True).alias("copies"), none.alias("span_from"), none.alias("span_to"))), "spans")
 
 
-def _located(keyed: DataFrame, repeated: DataFrame, window: int, period: int) -> DataFrame:
-    """Where a filter would outgrow its bound: repeated anchors joined back to their places, per document."""
+def _located(once: DataFrame, repeated: DataFrame, window: int, period: int) -> DataFrame:
+    """Where a filter would outgrow its bound: repeated anchors joined back to their places, per text."""
 
     def places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for b in text_slices(batch, "text"):
-                w = find_words(b.column(2))
+                w = find_words(_column(b, "text"))
                 at, h = _anchors(w, w.hashes(), window, period)
                 d = w.doc[at]
-                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), *(b.column(k).take(pa.array(d)) for k in (0, 1)), pa.array((at - w.first[d]).astype(np.int32))], ["anchor", "doc_id", "text_key", "at"])
+                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), *(_column(b, k).take(pa.array(d)) for k in TEXT), pa.array((at - w.first[d]).astype(np.int32))], ["anchor", *TEXT, "at"])
 
-    rows = keyed.mapInArrow(places, "anchor long, doc_id long, text_key long, at int").join(repeated.hint("shuffle_hash"), "anchor")
-    return materialize(rows.groupBy("doc_id", "text_key").agg(F.collect_set("at").alias("spots")), "spots")
+    rows = once.mapInArrow(places, "anchor long, text_key long, text_sum int, at int").join(repeated.hint("shuffle_hash"), "anchor")
+    return materialize(rows.groupBy(*TEXT).agg(F.collect_set("at").alias("spots")), "spots")
 
 
 def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", window: int = 35, period: int | None = None, filter_bits: int = FILTER_BITS) -> DataFrame:
@@ -191,36 +202,35 @@ def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     All columns stay; added are ``kept_text`` (the kept words joined by one
     space; null texts give an empty one), ``n_words``, ``n_removed``,
     ``removed_from`` and ``removed_to`` (word spans).  Documents of which no
-    window repeats keep all words.  Added names replace columns of the same name.
+    window repeats keep all words.  Repeated rows and equal texts repeat each
+    other.  Added names replace columns of the same name.
     """
     added = ["kept_text", "n_words", "n_removed", "removed_from", "removed_to"]
-    keys = ["__id", "__key"]
+    keys = ["__key", "__sum"]
     found = repeated_spans(docs, id_col=id_col, text_col=text_col, window=window, period=period, filter_bits=filter_bits)
-    found = sized(found.toDF("__id", "__key", "span_from", "span_to"))
-    base = docs.drop(*added).withColumns({"__id": F.col(id_col).cast("long"), "__key": F.xxhash64(text_col)}).alias("d")
-    joined = base.join(found, null_safe(base, found, keys), "left").drop(found["__id"], found["__key"])
+    found = sized(found.select(*(F.col(c).alias(k) for c, k in zip(TEXT, keys)), "copies", "span_from", "span_to"))
+    bare = docs.drop(*added)
+    base = bare.withColumns(dict(zip(keys, _identity(text_col).values())))
+    joined = base.join(found, keys, "left").select(*bare.columns, F.col("copies").alias("__copies"), F.col("span_from").alias("__from"), F.col("span_to").alias("__to"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for b in text_slices(batch, text_col):
-                w = find_words(b.column(b.schema.get_field_index(text_col)))
-                keep = np.ones(len(w.start), bool)
-                lows, highs = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("span_from", "span_to"))
-                for f, lo, hi in zip(w.first, lows, highs):
-                    for x, y in zip(lo or (), hi or ()):
-                        keep[f + x : f + y] = False
-                body = w.data.tobytes()
-                texts, gone = [], []
-                for f, n in zip(w.first.tolist(), w.count.tolist()):
-                    k = keep[f : f + n]
-                    texts.append(b" ".join([body[s:e] for s, e in zip(w.start[f : f + n][k].tolist(), w.end[f : f + n][k].tolist())]).decode("utf-8", "surrogatepass"))
-                    gone.append(n - int(k.sum()))
-                cols = {c: b.column(i) for i, c in enumerate(b.schema.names) if c not in ("__id", "__key", "span_from", "span_to")}
-                cols |= {"kept_text": pa.array(texts, pa.string()), "n_words": pa.array(w.count.astype(np.int64)), "n_removed": pa.array(gone, pa.int64()), "removed_from": b.column(b.schema.get_field_index("span_from")), "removed_to": b.column(b.schema.get_field_index("span_to"))}
+                w = find_words(_column(b, text_col))
+                body, start, end = w.data.tobytes(), w.start.tolist(), w.end.tolist()
+                texts, gone, lows, highs = [], [], [], []
+                for f, n, copies, lo, hi in zip(w.first.tolist(), w.count.tolist(), *(_column(b, c).to_pylist() for c in ("__copies", "__from", "__to"))):
+                    lo, hi = ([0], [n]) if copies and n >= window else (lo or [], hi or [])
+                    parts = [range(f + x, f + y) for x, y in zip([0, *hi], [*lo, n])]
+                    texts.append(b" ".join([body[start[i] : end[i]] for r in parts for i in r]).decode("utf-8", "surrogatepass"))
+                    gone.append(sum(hi) - sum(lo))
+                    lows.append(lo)
+                    highs.append(hi)
+                cols = {c: b.column(i) for i, c in enumerate(b.schema.names) if c not in ("__copies", "__from", "__to")}
+                cols |= {"kept_text": pa.array(texts, pa.string()), "n_words": pa.array(w.count.astype(np.int64)), "n_removed": pa.array(gone, pa.int64()), "removed_from": pa.array(lows, pa.list_(pa.int32())), "removed_to": pa.array(highs, pa.list_(pa.int32()))}
                 yield pa.RecordBatch.from_arrays(list(cols.values()), list(cols))
 
-    out = extended(base.drop(*keys).schema, "kept_text string, n_words long, n_removed long, removed_from array<int>, removed_to array<int>")
-    return joined.mapInArrow(cut, out)
+    return joined.mapInArrow(cut, extended(bare.schema, "kept_text string, n_words long, n_removed long, removed_from array<int>, removed_to array<int>"))
 
 
 def digest(docs: DataFrame) -> DataFrame:
