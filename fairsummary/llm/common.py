@@ -95,25 +95,28 @@ def texts_of(batch: pa.RecordBatch, column: str) -> list[str]:
 
 
 #: Words that a worker process remembers for one operator.
-MEMORY = 500_000
+MEMORY = 800_000
+#: Operators that work word by word take larger slices, which repeat more of their words.
+WORD_BYTES = 4 << 20
 
 
 class Memory:
     """What a worker process has worked out for words; results do not depend on what it holds.
 
-    Common words come early and stay; once full, it takes in nothing more and
-    the rest of each slice's words are worked out for that slice alone.
+    Common words come early and stay; once full, what the next slices need
+    beside it is worked out for each slice alone and forgotten at the next call.
     """
 
     def __init__(self, work: Callable[[list[str]], list], limit: int = MEMORY):
-        self.work, self.limit, self.known = work, limit, {}
+        self.work, self.limit, self.known, self.passing = work, limit, {}, ()
 
     def __call__(self, words: set[str]) -> dict:
+        for w in self.passing:
+            del self.known[w]
+        self.passing = ()
         new = list(words.difference(self.known))
-        if not new:
-            return self.known
-        fresh = dict(zip(new, self.work(new)))
-        if len(self.known) + len(fresh) <= self.limit:
-            self.known.update(fresh)
-            return self.known
-        return {w: self.known[w] for w in words if w in self.known} | fresh
+        if new:
+            full = len(self.known) + len(new) > self.limit
+            self.known.update(zip(new, self.work(new)))
+            self.passing = new if full else ()
+        return self.known

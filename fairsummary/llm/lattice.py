@@ -17,7 +17,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import Memory, extended, text_slices, texts_of
+from .common import WORD_BYTES, Memory, extended, text_slices, texts_of
 from .token_table import vocabulary
 from .words import mix
 
@@ -212,7 +212,7 @@ def encode_pieces(docs: DataFrame, *, text_col: str = "text", model: str | None
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = Encoder.at(model)
         for batch in batches:
-            for b in text_slices(batch, text_col):
+            for b in text_slices(batch, text_col, WORD_BYTES):
                 ids = encoder(texts_of(b, text_col))
                 ends = np.concatenate([[0], np.cumsum([len(x) // 4 for x in ids])]).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(ids), np.int32)))

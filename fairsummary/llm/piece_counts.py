@@ -14,7 +14,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import Memory, extended, text_slices, texts_of
+from .common import WORD_BYTES, Memory, extended, text_slices, texts_of
 from .token_table import split_words, vocabulary
 
 HEAD = "▁"
@@ -100,7 +100,7 @@ def count_pieces(docs: DataFrame, *, text_col: str = "text", vocab: str | None =
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memory = counts_of(vocab)
         for batch in batches:
-            for b in text_slices(batch, text_col):
+            for b in text_slices(batch, text_col, WORD_BYTES):
                 split = [split_words(t) for t in texts_of(b, text_col)]
                 known = memory(set().union(*split))
                 out = []

@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Memory, new_path, text_slices, texts_of
+from .common import WORD_BYTES, Memory, new_path, text_slices, texts_of
 
 END_ID = 1
 #: Punctuation that the vocabulary's split keeps apart from letters; quotes and the marks of special tokens are not among it.
@@ -50,7 +50,7 @@ class WordEncoder:
     The vocabulary drops white space and no rule of it looks across white
     space, so the ids of a text are those of its words in order.  Where ids
     mark word ends, unknown words of letters only are encoded many to a call
-    and cut apart at the marks; punctuation around them is a word of its own.
+    and cut apart at the marks, of which punctuation around them has its own.
     """
 
     def __init__(self, path: str):
@@ -62,7 +62,6 @@ class WordEncoder:
         self.ends = np.zeros(max(vocab.values()) + 1, bool)
         self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
         self.marked = bool(self.ends.any())
-        self.parts = Memory(self._parts)
         self.words = Memory(self._words)
 
     @staticmethod
@@ -74,34 +73,27 @@ class WordEncoder:
     def _each(self, words: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
 
-    def _parts(self, parts: list[str]) -> list[bytes]:
-        """Ids of letter runs together, of anything else one by one."""
-        out = dict.fromkeys(parts, b"")
-        runs = [p for p in parts if self.marked and p.isalpha()]
-        for lo in range(0, len(runs), 512):
-            some = runs[lo : lo + 512]
+    def _words(self, words: list[str]) -> list[bytes]:
+        """Ids of letter runs and the punctuation around them together, of anything else one by one."""
+        out, runs, pieces, rest = {}, [], [], []
+        for w in words:
+            core = w.strip(_EDGE) if self.marked else ""
+            if core.isalpha():
+                runs.append(w)
+                pieces.append(1 + (core[0] != w[0]) + (core[-1] != w[-1]))
+            else:
+                rest.append(w)
+        for lo in range(0, len(runs), 1024):
+            some = runs[lo : lo + 1024]
             ids = np.array(self.tokenizer.encode_batch_fast([" ".join(some)], add_special_tokens=False)[0].ids, "<u4")
-            stop = 4 * (np.flatnonzero(self.ends[ids]) + 1)
-            if len(stop) == len(some) and (not len(stop) or stop[-1] == 4 * len(ids)):
-                body, stop = ids.tobytes(), stop.tolist()
+            stop, last = 4 * (np.flatnonzero(self.ends[ids]) + 1), np.cumsum(pieces[lo : lo + 1024])
+            if len(stop) == last[-1] and stop[-1] == 4 * len(ids):
+                body, stop = ids.tobytes(), stop[last - 1].tolist()
                 out.update(zip(some, [body[s:e] for s, e in zip([0, *stop], stop)]))
             else:  # a letter that lower-cases to more than letters
                 out.update(zip(some, self._each(some)))
-        rest = [p for p in parts if not (self.marked and p.isalpha())]
         out.update(zip(rest, self._each(rest)))
-        return [out[p] for p in parts]
-
-    def _words(self, words: list[str]) -> list[bytes]:
-        cut = []
-        for w in words:
-            core = w.strip(_EDGE)
-            if core.isalpha():
-                head = len(w) - len(w.lstrip(_EDGE))
-                cut.append((w[:head], core.lower() if core.isascii() else core, w[head + len(core) :]))
-            else:
-                cut.append(("", w, ""))
-        known = self.parts({p for c in cut for p in c})
-        return [known[a] + known[b] + known[c] for a, b, c in cut]
+        return [out[w] for w in words]
 
     def __call__(self, texts: list[str]) -> list[bytes]:
         split = [split_words(t) for t in texts]
@@ -130,7 +122,7 @@ def write_token_table(
         part, start = TaskContext.get().partitionId(), 0
         encode_texts = encoder() if encoder else WordEncoder.at(vocab)
         for batch in batches:
-            for b in text_slices(batch, "text"):
+            for b in text_slices(batch, "text", WORD_BYTES):
                 ids = [x + tail for x in encode_texts(texts_of(b, "text"))]
                 n = np.array([len(x) // 4 for x in ids], np.int64)
                 ends = np.cumsum(n)

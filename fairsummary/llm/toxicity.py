@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Memory, extended, text_slices
+from .common import WORD_BYTES, Memory, extended, text_slices
 from .token_table import split_words
 from .words import _BYTE, range_hash
 
@@ -181,7 +181,7 @@ def score(docs: DataFrame, model: tuple[np.ndarray, float], s: Settings = Settin
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = Scorer(*shared.value, s)
         for batch in batches:
-            for b in text_slices(batch, text_col):
+            for b in text_slices(batch, text_col, WORD_BYTES):
                 texts = [t or "" for t in b.column(b.schema.get_field_index(text_col)).to_pylist()]
                 yield pa.RecordBatch.from_arrays([*b.columns, pa.array(scorer(texts))], [*b.schema.names, out])
 
