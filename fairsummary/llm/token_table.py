@@ -20,7 +20,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import WORD_BYTES, Memory, new_path, text_slices, texts_of
+from .common import MEMORY, WORD_BYTES, new_path, text_slices
+from .words import WordTable, find_words
 
 END_ID = 1
 #: Punctuation that the vocabulary's split keeps apart from letters; quotes and the marks of special tokens are not among it.
@@ -62,7 +63,7 @@ class WordEncoder:
         self.ends = np.zeros(max(vocab.values()) + 1, bool)
         self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
         self.marked = bool(self.ends.any())
-        self.words = Memory(self._words)
+        self.table = WordTable(self._words, MEMORY)
 
     @staticmethod
     def at(path: str) -> "WordEncoder":
@@ -95,10 +96,12 @@ class WordEncoder:
         out.update(zip(rest, self._each(rest)))
         return [out[w] for w in words]
 
-    def __call__(self, texts: list[str]) -> list[bytes]:
-        split = [split_words(t) for t in texts]
-        known = self.words(set().union(*split))
-        return [b"".join(map(known.__getitem__, s)) for s in split]
+    def __call__(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of a column of texts end to end, and the number of ids of each text; nulls are empty."""
+        words = find_words(column)
+        ids, n = self.table(words)
+        ends = np.concatenate([[0], np.cumsum(n)])
+        return ids, ends[words.first + words.count] - ends[words.first]
 
 
 def write_token_table(
@@ -116,18 +119,16 @@ def write_token_table(
     parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     rows = rows.repartitionByRange(parts, "doc_id").sortWithinPartitions("doc_id", F.xxhash64("text"))
-    tail = b"" if end_id is None else np.array([end_id], "<u4").tobytes()
-
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, start = TaskContext.get().partitionId(), 0
         encode_texts = encoder() if encoder else WordEncoder.at(vocab)
         for batch in batches:
             for b in text_slices(batch, "text", WORD_BYTES):
-                ids = [x + tail for x in encode_texts(texts_of(b, "text"))]
-                n = np.array([len(x) // 4 for x in ids], np.int64)
+                ids, n = encode_texts(b.column(1))
+                if end_id is not None:
+                    ids, n = np.insert(ids, np.cumsum(n), end_id), n + 1
                 ends = np.cumsum(n)
-                values = pa.array(np.frombuffer(b"".join(ids), np.int32))
-                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]).astype(np.int32)), values)
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]).astype(np.int32)), pa.array(ids.view(np.int32)))
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.full(len(n), part, np.int32)), pa.array(start + ends - n), pa.array(n), lists], ["doc_id", "part", "start_in_part", "n_tokens", "ids"])
                 start += int(ends[-1])
 

@@ -102,3 +102,64 @@ def find_words(column: pa.Array) -> Words:
     start, end = np.flatnonzero(begin), np.flatnonzero(stop) + 1
     bounds = np.searchsorted(start, offsets)
     return Words(data, start, end, bounds[:-1], np.diff(bounds))
+
+
+class WordTable:
+    """Id lists of words, looked up for whole batches at once.
+
+    Words are found by 64 bits of hash and checked by another 32 and their
+    length in an open-addressing table; the lists lie end to end in one array.
+    Once ``limit`` words are held, further ones are worked out batch by batch.
+    """
+
+    def __init__(self, work, limit: int):
+        self.work, self.limit = work, limit
+        size = 1 << (4 * limit - 1).bit_length()
+        self.mask = np.uint64(size - 1)
+        self.key, self.check, self.at = np.zeros(size, np.uint64), np.zeros(size, np.uint64), np.full(size, -1, np.int32)
+        self.flat, self.first, self.size = np.zeros(0, np.uint32), np.zeros(0, np.int64), np.zeros(0, np.int64)
+
+    def _find(self, key: np.ndarray, check: np.ndarray) -> np.ndarray:
+        """Number of each word, or -1."""
+        out = np.full(len(key), -1, np.int64)
+        left, slot = np.arange(len(key)), (key & self.mask).astype(np.int64)
+        while len(left):
+            at = self.at[slot]
+            hit = (at >= 0) & (self.key[slot] == key[left]) & (self.check[slot] == check[left])
+            out[left[hit]] = at[hit]
+            go = (at >= 0) & ~hit
+            left, slot = left[go], (slot[go] + 1) & int(self.mask)
+        return out
+
+    def _insert(self, key: np.ndarray, check: np.ndarray, number: np.ndarray) -> None:
+        left, slot = np.arange(len(key)), (key & self.mask).astype(np.int64)
+        while len(left):
+            free = self.at[slot] < 0
+            self.at[slot[free]] = number[left[free]]  # of several on one slot the last stays
+            won = free & (self.at[slot] == number[left])
+            self.key[slot[won]], self.check[slot[won]] = key[left[won]], check[left[won]]
+            left, slot = left[~won], (slot[~won] + 1) & int(self.mask)
+
+    def __call__(self, words: Words) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all words in order, and the number of ids of each word."""
+        key = words.hashes()
+        check = (words.hashes(1) & np.uint64(0xFFFFFFFF00000000)) | (words.end - words.start).astype(np.uint64) & np.uint64(0xFFFFFFFF)
+        at = self._find(key, check)
+        miss = np.flatnonzero(at < 0)
+        flat, first, size = self.flat, self.first, self.size
+        if len(miss):
+            _, one, which = np.unique(key[miss], return_index=True, return_inverse=True)
+            new = miss[one]
+            body = words.data.tobytes()
+            lists = self.work([body[s:e].decode("utf-8", "surrogatepass") for s, e in zip(words.start[new].tolist(), words.end[new].tolist())])
+            own = np.array([len(x) // 4 for x in lists], np.int64)
+            held = len(size)
+            flat = np.concatenate([flat, np.frombuffer(b"".join(lists), np.uint32)])
+            size = np.concatenate([size, own])
+            first = np.concatenate([first, len(self.flat) + np.cumsum(own) - own])
+            at[miss] = held + which
+            if held + len(new) <= self.limit:
+                self._insert(key[new], check[new], np.arange(held, held + len(new), dtype=np.int32))
+                self.flat, self.first, self.size = flat, first, size
+        n = size[at]
+        return flat[np.repeat(first[at] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))], n
