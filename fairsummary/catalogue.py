@@ -1,13 +1,360 @@
-"""All queries of the library and their SQL, kept in one registry."""
+"""All queries of the library and their SQL, kept in one registry so that a key never lacks its pair."""
 
 from __future__ import annotations
 
-FLAGSHIP = "two_pass_embeddings"
+import math
+from collections.abc import Callable
 
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-def queries():
-    return {}
+from . import baselines, graphs, hardness, methods, metrics, relational, scans
+from .hitting import certificate, hitting_set
+from .model import FairInstance, Points
+from .session import find_package
+from .workloads import FIXTURES, Fixture, duck_sql, spark_sql
 
+FLAGSHIP = "two_pass_emb_m2"
+_QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+_ORACLES: dict[str, str] = {}
 
-def oracles():
-    return {}
+
+def _add(name: str, query: Callable[[SparkSession, str], DataFrame], oracle: str | None = None) -> None:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return query(find_package(spark), sf_dir)
+
+    _QUERIES[name] = run
+    if oracle:
+        _ORACLES[name] = oracle
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return dict(_QUERIES)
+
+
+def oracles() -> dict[str, str]:
+    return dict(_ORACLES)
+
+
+def _rows(spark: SparkSession, rows: list, schema: str) -> DataFrame:
+    return spark.createDataFrame(rows, schema)
+
+
+# ---------------------------------------------------------------- SQL pieces
+
+
+def _greedy(f: Fixture, radius: float, most: int) -> str:
+    """Rows (step, pv) of greedy pivots: all points carry their distance to the pivots so far."""
+    return f"""p AS ({f.duck}),
+run AS (SELECT CAST(0 AS BIGINT) AS step, ord, coords, CAST(4e18 AS DOUBLE) AS md, CAST(NULL AS BIGINT) AS pv FROM p
+UNION ALL SELECT r.step + 1, r.ord, r.coords, least(r.md, CAST({f.metric.sql("r.coords", "c.coords")} AS DOUBLE)), c.ord
+FROM run r, (SELECT ord, coords FROM run WHERE md > {radius!r} AND step < {most} ORDER BY ord LIMIT 1) c),
+piv AS (SELECT DISTINCT step, pv FROM run WHERE pv IS NOT NULL)"""
+
+
+def _farthest(f: Fixture, t: int) -> str:
+    """Rows (step, pv, far) of farthest-first traversal; far is the distance at which a point is taken."""
+    return f"""p AS ({f.duck}),
+run AS (SELECT CAST(0 AS BIGINT) AS step, ord, coords, CAST(4e18 AS DOUBLE) AS md, CAST(NULL AS BIGINT) AS pv, CAST(NULL AS DOUBLE) AS far FROM p
+UNION ALL SELECT r.step + 1, r.ord, r.coords, least(r.md, CAST({f.metric.sql("r.coords", "c.coords")} AS DOUBLE)), c.ord, c.md
+FROM run r, (SELECT ord, coords, md FROM run WHERE md > 0 AND step < {t} ORDER BY md DESC, ord LIMIT 1) c),
+piv AS (SELECT DISTINCT step, pv, far FROM run WHERE pv IS NOT NULL)"""
+
+
+def _first(f: Fixture) -> str:
+    caps = ", ".join(map(str, f.caps))
+    return f"p AS ({f.duck}), s AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY grp ORDER BY ord) AS n FROM p) x WHERE n <= ([{caps}])[grp + 1])"
+
+
+def _reps(f: Fixture, radius: float, quota: bool = False) -> str:
+    """Rows (pv, grp, ord) of representatives; needs p and piv."""
+    d = f.metric.sql("a.coords", "b.coords")
+    room = f"([{', '.join(map(str, f.caps))}])[grp + 1]" if quota else "1"
+    return f"""near AS (SELECT piv.pv, b.grp AS pgrp, a.grp, a.ord FROM piv JOIN p b ON b.ord = piv.pv JOIN p a ON a.ord <> piv.pv AND {d} <= {radius!r}),
+rep AS (SELECT pv, grp, ord FROM (SELECT *, row_number() OVER (PARTITION BY pv, grp ORDER BY ord) AS n FROM near) x WHERE n <= {room} - CASE WHEN grp = pgrp THEN 1 ELSE 0 END
+UNION ALL SELECT piv.pv, b.grp, b.ord FROM piv JOIN p b ON b.ord = piv.pv)"""
+
+
+def _cut(f: Fixture) -> str:
+    """Column hits of the largest matching as a minimum cut over group subsets; needs rep."""
+    m = len(f.caps)
+    held = " + ".join(f"CASE WHEN (j >> {i}) & 1 = 1 THEN {c} ELSE 0 END" for i, c in enumerate(f.caps))
+    return f"masks AS (SELECT pv, CAST(bit_or(1 << grp) AS BIGINT) AS b FROM rep GROUP BY pv), cuts AS (SELECT j, {held} + (SELECT count(*) FROM masks WHERE (b & ~j) <> 0) AS v FROM range(0, {1 << m}) t(j))"
+
+
+#: Radii used where a query fixes one; chosen once from the fixtures' distance ranges.
+TAU = {"emb_m2": 5_000_000, "emb_m4": 5_000_000, "part_shape": 9000, "customer_bal": 150000, "pref_rank_m2": 4, "supplier_bal": 150000, "turn_shape": 120, "doc_letters": 150, "page_shape": 9000, "events": 20000}
+
+
+def _points(name: str, f: Fixture) -> None:
+    many = f.metric.coords.startswith("array")
+    flat = (lambda d: d.select("ord", "grp", F.array_join(F.transform("coords", lambda x: x.cast("string")), ",").alias("coords"))) if many else (lambda d: d)
+    _add(f"points_{name}", lambda s, d: flat(f.points(s, d)), f"SELECT ord, grp, {'array_to_string(coords, chr(44))' if many else 'coords'} AS coords FROM ({f.duck}) q")
+
+
+def _building_blocks(name: str) -> None:
+    f, tau = FIXTURES[name], float(TAU[name])
+    k = sum(f.caps)
+    metric = f.metric
+
+    def arbitrary(s, d):
+        return _rows(s, [(o, g) for o, g, _ in scans.first_of_groups(f.points(s, d), metric, f.caps).rows(metric)], "ord bigint, grp int")
+
+    _add(f"first_of_groups_{name}", arbitrary, f"WITH {_first(f)} SELECT ord, grp FROM s")
+    worst = f"d AS (SELECT a.ord, a.grp, min({metric.sql('a.coords', 's.coords')}) AS d FROM p a, s GROUP BY a.ord, a.grp)"
+    _add(f"simple_upper_bound_{name}", lambda s, d: _rows(s, [(methods.simple_upper_bound(f.instance(s, d))[1],)], "cost double"), f"WITH {_first(f)}, {worst} SELECT CAST(max(d) AS DOUBLE) AS cost FROM d")
+
+    def assigned(s, d):
+        points = f.points(s, d)
+        return scans.nearest_centre(points, metric, scans.first_of_groups(points, metric, f.caps)).withColumn("d", F.col("d").cast("double"))
+
+    near = f"n AS (SELECT a.ord, a.grp, s.ord AS centre, CAST({metric.sql('a.coords', 's.coords')} AS DOUBLE) AS d FROM p a, s)"
+    _add(f"cover_assignment_{name}", assigned, f"WITH {_first(f)}, {near} SELECT ord, grp, centre, d FROM (SELECT *, row_number() OVER (PARTITION BY ord ORDER BY d, centre) AS r FROM n) x WHERE r = 1")
+    _add(f"cost_per_group_{name}", lambda s, d: assigned(s, d).groupBy("grp").agg(F.max("d").alias("cost")), f"WITH {_first(f)}, {near} SELECT grp, max(d) AS cost FROM (SELECT ord, grp, min(d) AS d FROM n GROUP BY ord, grp) x GROUP BY grp")
+
+    def low(s, d):
+        return _rows(s, [(methods.simple_lower_bound(f.points(s, d), metric, k),)], "low double")
+
+    _add(f"simple_lower_bound_{name}", low, f"WITH RECURSIVE {_greedy(f, 0, k + 1)}, q AS (SELECT p.ord, p.coords FROM p JOIN piv ON pv = ord) SELECT CASE WHEN (SELECT count(*) FROM q) <= {k} THEN 0.0 ELSE (SELECT CAST(min({metric.sql('a.coords', 'b.coords')}) AS DOUBLE) / 2 FROM q a JOIN q b ON a.ord < b.ord) END AS low")
+
+    def pivots(s, d, r=2 * tau):
+        (found,), _, _ = scans.separated_pivots(f.points(s, d).repartition(4), metric, [r], None)
+        return found
+
+    _add(f"separated_pivots_{name}", lambda s, d: _rows(s, list(enumerate(pivots(s, d).ord.tolist(), 1)), "step bigint, pivot bigint"), f"WITH RECURSIVE {_greedy(f, 2 * tau, 10**6)} SELECT step, pv AS pivot FROM piv")
+
+    def reps(s, d, quota=None):
+        points = f.points(s, d)
+        P = pivots(s, d)
+        (sets,) = scans.group_reps(points, metric, [P], [tau], quota)
+        return _rows(s, [(int(o), int(x.grp[i]), int(x.ord[i])) for o, x in zip(P.ord, sets) for i in range(len(x))], "pivot bigint, grp int, rep bigint")
+
+    base = f"WITH RECURSIVE {_greedy(f, 2 * tau, 10**6)}, "
+    _add(f"group_reps_{name}", reps, base + _reps(f, tau) + " SELECT pv AS pivot, grp, ord AS rep FROM rep")
+    _add(f"quota_reps_{name}", lambda s, d: reps(s, d, f.caps), base + _reps(f, tau, True) + " SELECT pv AS pivot, grp, ord AS rep FROM rep")
+    _add(f"ball_members_{name}", lambda s, d: baselines.ball_members(f.points(s, d), metric, pivots(s, d), tau), base.removesuffix(", ") + f" SELECT piv.pv AS pivot, a.ord, a.grp FROM piv JOIN p b ON b.ord = piv.pv JOIN p a ON {metric.sql('a.coords', 'b.coords')} <= {tau!r}")
+
+    def hits(s, d):
+        points = f.points(s, d)
+        (sets,) = scans.group_reps(points, metric, [pivots(s, d)], [tau])
+        edges = [set(x.grp.tolist()) for x in sets]
+        return _rows(s, [(len(sets), hitting_set(sets, f.caps)[1], hitting_set(sets, f.caps, "slots")[1], hitting_set(sets, f.caps, "canonical")[1], certificate(edges, f.caps))], "sets bigint, flow bigint, slots bigint, canonical bigint, cut bigint")
+
+    _add(f"hitting_set_{name}", hits, base + _reps(f, tau) + ", " + _cut(f) + " SELECT (SELECT count(*) FROM masks) AS sets, CAST(min(v) AS BIGINT) AS flow, CAST(min(v) AS BIGINT) AS slots, CAST(min(v) AS BIGINT) AS canonical, CAST(min(v) AS BIGINT) AS cut FROM cuts")
+
+    def traversal(s, d):
+        found, trace = scans.farthest_first(f.points(s, d), metric, k + 1)
+        return _rows(s, [(i, int(o), None if math.isinf(t) else t) for i, (o, t) in enumerate(zip(found.ord, trace), 1)], "step bigint, ord bigint, far double")
+
+    _add(f"farthest_first_{name}", traversal, f"WITH RECURSIVE {_farthest(f, k + 1)} SELECT step, pv AS ord, CASE WHEN step = 1 THEN NULL ELSE far END AS far FROM piv")
+    _add(f"farthest_lower_bound_{name}", lambda s, d: _rows(s, [(methods.farthest_lower_bound(f.points(s, d), metric, k),)], "low double"), f"WITH RECURSIVE {_farthest(f, k + 1)} SELECT coalesce(max(CASE WHEN step = {k + 1} THEN far / 2 END), 0.0) AS low FROM piv")
+    _add(f"plain_farthest_{name}", lambda s, d: _rows(s, [(baselines.plain_farthest(f.points(s, d), metric, k).cost,)], "cost double"), f"WITH RECURSIVE {_farthest(f, k)}, c AS (SELECT p.coords FROM p JOIN piv ON pv = ord) SELECT CAST(max(d) AS DOUBLE) AS cost FROM (SELECT a.ord, min({metric.sql('a.coords', 'c.coords')}) AS d FROM p a, c GROUP BY a.ord) x")
+
+    guesses = [tau * 1.5**i for i in range(-2, 3)]
+
+    def trace(s, d):
+        out = []
+        points = scans.ordered(f.points(s, d))
+        found, broken, _ = scans.separated_pivots(points, metric, [2 * t for t in guesses], k, ranged=True)
+        alive = [g for g, b in enumerate(broken) if not b]
+        sets = dict(zip(alive, scans.group_reps(points, metric, [found[g] for g in alive], [guesses[g] for g in alive])))
+        for g, t in enumerate(guesses):
+            n = hitting_set(sets[g], f.caps)[1] if g in sets else None
+            out.append((g, t, len(found[g]), n, g in sets and n == len(sets[g])))
+        return _rows(s, out, "guess int, tau double, pivots bigint, hits bigint, success boolean")
+
+    parts = []
+    for g, t in enumerate(guesses):
+        parts.append(f"SELECT * FROM (WITH RECURSIVE {_greedy(f, 2 * t, k + 1)}, {_reps(f, t)}, {_cut(f)}, c AS (SELECT count(*) AS n FROM piv) SELECT CAST({g} AS INTEGER) AS guess, CAST({t!r} AS DOUBLE) AS tau, n AS pivots, CASE WHEN n <= {k} THEN (SELECT CAST(min(v) AS BIGINT) FROM cuts) END AS hits, n <= {k} AND (SELECT min(v) FROM cuts) = n AS success FROM c) g{g}")
+    _add(f"two_pass_trace_{name}", trace, " UNION ALL ".join(parts))
+
+
+def _blocks(name: str, size: int) -> None:
+    f = FIXTURES[name]
+    k, metric = sum(f.caps), f.metric
+    run = f"""WITH RECURSIVE p AS (SELECT *, CAST(floor(ord / {size}) AS BIGINT) AS block FROM ({f.duck}) q),
+run AS (SELECT CAST(0 AS BIGINT) AS step, block, ord, coords, CAST(4e18 AS DOUBLE) AS md, CAST(NULL AS BIGINT) AS pv, CAST(NULL AS DOUBLE) AS far FROM p
+UNION ALL SELECT r.step + 1, r.block, r.ord, r.coords, least(r.md, CAST({metric.sql("r.coords", "c.coords")} AS DOUBLE)), c.ord, c.md
+FROM run r JOIN (SELECT block, ord, coords, md FROM (SELECT *, row_number() OVER (PARTITION BY block ORDER BY md DESC, ord) AS n FROM run WHERE md > 0 AND step <= {k}) x WHERE n = 1) c ON c.block = r.block),
+piv AS (SELECT DISTINCT block, step, pv, far FROM run WHERE pv IS NOT NULL),
+rad AS (SELECT block, coalesce(max(CASE WHEN step = {k + 1} THEN far / 2 END), 0.0) AS r FROM piv GROUP BY block)"""
+    rep = f""", near AS (SELECT piv.block, piv.step, a.ord, a.grp, b.grp AS pgrp FROM piv JOIN rad ON rad.block = piv.block JOIN p b ON b.ord = piv.pv JOIN p a ON a.block = piv.block AND {metric.sql("a.coords", "b.coords")} <= 2 * r WHERE step <= {k}),
+rep AS (SELECT block, step, min(ord) AS ord FROM near WHERE grp <> pgrp GROUP BY block, step, grp UNION ALL SELECT block, step, pv FROM piv WHERE step <= {k})"""
+
+    def message(s, d):
+        return methods.block_summaries(f.points(s, d), metric, k, block_size=size)
+
+    _add(f"block_summaries_{name}", lambda s, d: message(s, d).select("block", "role", F.col("pivot").cast("bigint").alias("pivot"), "ord", F.round("r", 3).alias("r")), run + rep + f" SELECT piv.block, 'pivot' AS role, step - 1 AS pivot, pv AS ord, round(r, 3) AS r FROM piv JOIN rad ON rad.block = piv.block WHERE step <= {k} UNION ALL SELECT rep.block, 'rep', step - 1, ord, round(r, 3) FROM rep JOIN rad ON rad.block = rep.block")
+    _add(f"block_radii_{name}", lambda s, d: message(s, d).groupBy("block").agg(F.max("r").alias("r")), run + " SELECT block, r FROM rad")
+    _add(f"message_sizes_{name}", lambda s, d: message(s, d).groupBy("block").agg(F.count_distinct("ord").alias("sent")), run + rep + " SELECT block, count(DISTINCT ord) AS sent FROM rep GROUP BY block")
+
+
+def _method_row(s: SparkSession, inst: FairInstance, summary, low: float) -> tuple:
+    count = [int((summary.centres.grp == j).sum()) for j in range(len(inst.caps))]
+    return (summary.method, float(summary.tau), float(summary.cost), summary.cost / low if low else None, len(summary.centres), all(c <= q for c, q in zip(count, inst.caps)), int(summary.stats.get("passes", 0)), int(summary.stats.get("guesses", 0)), int(summary.stats.get("sent", 0)))
+
+
+_METHOD = "method string, tau double, cost double, ratio double, centres int, feasible boolean, passes int, guesses int, sent int"
+
+
+def _runs(name: str, block: int = 25) -> dict[str, Callable]:
+    return {
+        "two_pass": lambda i: methods.two_pass(i),
+        "two_pass_first": lambda i: methods.two_pass(i, search="first_success", name="two_pass_first"),
+        "two_pass_bisect": lambda i: methods.two_pass(i, search="bisect", name="two_pass_bisect"),
+        "two_pass_best_cost": lambda i: methods.two_pass(i, search="best_cost", name="two_pass_best_cost"),
+        "two_pass_relay": lambda i: methods.two_pass(i, search="relay"),
+        "distributed": lambda i: methods.distributed(i, block_size=block),
+        "distributed_scale1": lambda i: methods.distributed(i, block_size=block, scale=1.0, name="distributed_scale1"),
+        "distributed_widest": lambda i: methods.distributed(i, block_size=block, ordering="widest_first", name="distributed_widest"),
+        "ball_matching": baselines.ball_matching,
+        "quota_two_pass": baselines.quota_two_pass,
+        "one_pass": baselines.one_pass,
+        "swap_recursive": baselines.swap_recursive,
+        "arbitrary_feasible": baselines.arbitrary_feasible,
+    }
+
+
+def compare(s: SparkSession, inst: FairInstance, which: list[str] | None = None, block: int = 25) -> list[tuple]:
+    """A row for each method on one instance, with its ratio to the farthest-first bound."""
+    from .storage import saved
+
+    inst = FairInstance(saved(inst.points, "points"), inst.metric, inst.caps).validate()
+    low = methods.farthest_lower_bound(inst.points, inst.metric, inst.k)
+    runs = _runs("", block)
+    return [_method_row(s, inst, runs[m](inst), low) for m in which or runs]
+
+
+PAPER = ["ball_matching", "quota_two_pass", "swap_recursive", "two_pass", "distributed"]
+
+
+def _method_queries() -> None:
+    for name in ("emb_m2", "customer_bal"):
+        for m in _runs(name):
+            _add(f"{m}_{name}", lambda s, d, name=name, m=m: _rows(s, compare(s, FIXTURES[name].instance(s, d), [m]), _METHOD))
+    for name in ("emb_m4", "emb_m10", "li6_m2", "li6_m5", "li6_m10", "pref_rank_m2", "pref_rank_m6", "pref_rank_m12", "pref_score_m2", "pref_score_m6", "pref_score_m12"):
+        _add(f"compare_{name}", lambda s, d, name=name: _rows(s, compare(s, FIXTURES[name].instance(s, d), PAPER), _METHOD))
+    _add("distributed_li6_full", lambda s, d: _rows(s, compare(s, FIXTURES["li6_full"].instance(s, d), ["distributed"], 10000), _METHOD))
+    _add("distributed_plain_emb", lambda s, d: _rows(s, [(baselines.distributed_plain(FIXTURES["emb_m2"].points(s, d), metrics.L1, 4, 25).cost,)], "cost double"))
+    _add("exact_small_supplier", lambda s, d: _rows(s, [_method_row(s, i := FairInstance(FIXTURES["supplier_bal"].points(s, d).where("ord < 18"), metrics.L1, (1, 1, 1, 1, 1)), baselines.exact_small(i), 0.0)], _METHOD))
+    _add("ball_matching_exact_supplier", lambda s, d: _rows(s, [_method_row(s, i := FIXTURES["supplier_bal"].instance(s, d), baselines.ball_matching_exact(i, 1000), 0.0)], _METHOD))
+    _add("fair_rank", lambda s, d: methods.two_pass(FIXTURES["pref_rank_m2"].instance(s, d)).frame(s, metrics.INVERSIONS))
+
+
+def _distances() -> None:
+    pairs = {
+        "dist_l1": (metrics.L1, FIXTURES["emb_m2"].text, "bigint"), "dist_linf": (metrics.LINF, FIXTURES["part_shape"].text, "bigint"), "dist_hamming": (metrics.HAMMING, FIXTURES["part_shape"].text, "bigint"),
+        "dist_l2": (metrics.L2, "SELECT p_partkey AS ord, LIST(CAST(p_size AS DOUBLE), CAST(p_retailprice AS DOUBLE)) AS coords FROM {part}", "double"),
+        "dist_angular": (metrics.ANGULAR, "SELECT p_partkey AS ord, LIST(CAST(p_size AS DOUBLE), CAST(p_retailprice AS DOUBLE)) AS coords FROM {part}", "double"),
+        "dist_inversions": (metrics.INVERSIONS, FIXTURES["pref_rank_m2"].text, "bigint"),
+        "dist_levenshtein": (metrics.LEVENSHTEIN, "SELECT n_nationkey AS ord, n_name AS coords FROM {nation}", "bigint"),
+        "dist_jaccard": (metrics.JACCARD, "SELECT n_nationkey AS ord, LIST(substr(n_name, 1, 1), substr(n_name, 2, 1), substr(n_name, 3, 1)) AS coords FROM {nation}", "double"),
+    }
+    for name, (metric, text, kind) in pairs.items():
+        seen = f"SELECT ord, coords FROM ({text}) q WHERE ord < 60"
+        exact = (lambda c: c) if kind == "bigint" else (lambda c: F.round(c.cast("double"), 5))
+        sql = metric.sql("a.coords", "b.coords")
+
+        def query(s, d, metric=metric, seen=seen, exact=exact):
+            t = spark_sql(s, d, seen)
+            a, b = t.toDF("a", "ca"), t.toDF("b", "cb")
+            return a.join(F.broadcast(b), F.col("a") < F.col("b")).select("a", "b", exact(metric.column(F.col("ca"), F.col("cb"))).alias("d"))
+
+        _add(name, query, f"WITH t AS ({duck_sql(seen)}) SELECT a.ord AS a, b.ord AS b, {sql if kind == 'bigint' else f'round(CAST({sql} AS DOUBLE), 5)'} AS d FROM t a JOIN t b ON a.ord < b.ord")
+
+
+def _hardness() -> None:
+    _add("hard_instance_points", lambda s, d: hardness.hard_points(s, 51), "SELECT i AS ord, CAST(CASE WHEN i < 7 THEN i ELSE 7 + (i - 7) // 153 END AS INTEGER) AS class FROM range(0, 466) t(i)")
+    far = ", ".join(f"({i}, {j}, {int(v)})" for i, row in enumerate(hardness.class_distances()) for j, v in enumerate(row))
+    names = "[" + ", ".join(f"'{c}'" for c in hardness.CLASSES) + "]"
+    _add("hard_instance_distances", lambda s, d: hardness.hard_distances(s), f"SELECT ({names})[i + 1] AS a, ({names})[j + 1] AS b, CAST(v AS INTEGER) AS d FROM (VALUES {far}) t(i, j, v)")
+    crit = ", ".join(f"({3 * i + j}, {hardness.CLASSES.index(c)})" for i in range(3) for j in range(3) for c in hardness.SHARED[i])
+    _add("hard_instance_inputs", lambda s, d: hardness.hard_inputs(s, 51), f"SELECT CAST(p AS INTEGER) AS processor, CAST(o AS BIGINT) AS ord, CAST(o AS BIGINT) AS label FROM (VALUES {crit}) t(p, o) UNION ALL SELECT CAST((i - 7) // 51 AS INTEGER), i, i FROM range(7, 466) t(i)")
+    _add("hard_instance_optimum", lambda s, d: _rows(s, [hardness.optimum(51)[0:1]], "cost int"), "SELECT CAST(1 AS INTEGER) AS cost")
+    _add("hard_instance_failures", lambda s, d: hardness.simulate(s, 51, 1, 400).agg(F.avg(F.col("failed").cast("double")).alias("frequency"), F.count("*").alias("trials")))
+    _add("hard_instance_failures_farthest", lambda s, d: hardness.simulate(s, 51, 1, 400, coordinator="farthest").agg(F.avg(F.col("failed").cast("double")).alias("frequency"), F.count("*").alias("trials")))
+    _add("hard_instance_amplified", lambda s, d: hardness.amplified(s, 2, hardness.amplification_factor(0.5, 0.001)).groupBy("class").agg(F.count("*").alias("n")), f"SELECT CAST(CASE WHEN i < 7 THEN i ELSE 7 + (i - 7) // 6 END AS INTEGER) AS class, count(*) * {hardness.amplification_factor(0.5, 0.001)} AS n FROM range(0, 25) t(i) GROUP BY 1")
+
+
+def _graphs() -> None:
+    _add("graph_edges_copurchase", lambda s, d: spark_sql(s, d, graphs.COPURCHASE), duck_sql(graphs.COPURCHASE))
+
+    def copurchase(s, d):
+        nodes = [r.p_partkey for r in spark_sql(s, d, "SELECT p_partkey FROM {part} WHERE p_partkey < 350 ORDER BY 1").collect()]
+        return graphs.shortest_paths(spark_sql(s, d, graphs.COPURCHASE), nodes)
+
+    few = 40
+    _add("graph_apsp", lambda s, d: copurchase(s, d).where(F.col("ord") < few).select("ord", F.posexplode(F.slice("coords", 2, few))).select("ord", F.col("pos").cast("bigint").alias("other"), F.col("col").alias("d")), f"""WITH RECURSIVE e0 AS ({duck_sql(graphs.COPURCHASE)}), e AS (SELECT src, dst, w FROM e0 UNION ALL SELECT dst, src, w FROM e0),
+b AS (SELECT 0 AS i, p_partkey AS ord, q AS other, CASE WHEN p_partkey = q THEN 0 ELSE 1000000 END AS d FROM part, range(0, {few}) t(q) WHERE p_partkey < 350
+UNION ALL SELECT any_value(b.i) + 1, b.ord, b.other, least(min(b.d), min(n.v)) FROM b LEFT JOIN (SELECT e.src, c.other, min(e.w + c.d) AS v FROM e JOIN b c ON c.ord = e.dst GROUP BY e.src, c.other) n ON n.src = b.ord AND n.other = b.other WHERE b.i < 40 GROUP BY b.ord, b.other)
+SELECT ord, other, CAST(d AS BIGINT) AS d FROM b WHERE i = 40 AND ord < {few}""")
+    for name in PAPER:
+        _add(f"graph_{name}", lambda s, d, name=name: _rows(s, compare(s, FairInstance(copurchase(s, d).select("ord", (F.col("ord") % 5).cast("int").alias("grp"), "coords"), metrics.path_rows(), (2,) * 5), [name], 10), _METHOD))
+
+    def random_study(s, d):
+        rows = []
+        for seed in range(2):
+            points = graphs.shortest_paths(graphs.random_graph(s, 100, seed), list(range(100)))
+            groups = F.array(*map(F.lit, graphs.random_groups(100, 5, seed)))
+            inst = FairInstance(points.select("ord", F.element_at(groups, (F.col("ord") + 1).cast("int")).alias("grp"), "coords"), metrics.path_rows(), (2,) * 5)
+            rows += compare(s, inst, PAPER, 10)
+        return _rows(s, rows, _METHOD).groupBy("method").agg(F.avg("ratio").alias("mean_ratio"), F.count("*").alias("runs"))
+
+    _add("random_graph_ratios", random_study)
+
+
+def _surroundings() -> None:
+    for name, text in relational.QUERIES.items():
+        _add(name, lambda s, d, text=text: spark_sql(s, d, text), duck_sql(text))
+    for name, (mine, theirs) in relational.PAIRS.items():
+        _add(name, lambda s, d, mine=mine: spark_sql(s, d, mine), theirs)
+    _add("guess_ladder", lambda s, d: _rows(s, list(enumerate(methods.geometric_guesses(1.0, 100.0, 0.1))), "guess int, tau double").withColumn("tau", F.round("tau", 6)), "SELECT CAST(i AS INTEGER) AS guess, round(power(1.1, i), 6) AS tau FROM range(0, 50) t(i)")
+    other = "SELECT item_id AS ord, 0 AS grp, LIST(CAST(length(text) AS BIGINT)) AS coords FROM {benchmark}"
+    docs = "SELECT doc_id AS ord, 0 AS grp, LIST(CAST(length(text) AS BIGINT)) AS coords FROM {documents}"
+
+    def between(s, d):
+        centres = spark_sql(s, d, other).orderBy("ord").collect()
+        X = Points.of([(r.ord, 0, r.coords) for r in centres], metrics.L1).coords
+        return _rows(s, [(scans.cover_distance(spark_sql(s, d, docs), metrics.L1, [X])[0],)], "cost double")
+
+    _add("cost_benchmark_vs_documents", between, f"WITH a AS ({duck_sql(other)}), b AS ({duck_sql(docs)}) SELECT CAST(max(d) AS DOUBLE) AS cost FROM (SELECT b.ord, min({metrics.L1.sql('a.coords', 'b.coords')}) AS d FROM a, b GROUP BY b.ord) x")
+    ev = FIXTURES["events"]
+
+    def windows(s, d):
+        from .streaming import window_summaries
+
+        points = ev.points(s, d).join(s.read.parquet(f"{d}/events.parquet").select(F.col("event_id").alias("ord"), F.col("ts").cast("timestamp").alias("ts")), "ord")
+        return window_summaries(points, metrics.L1, ev.caps, "1 day").groupBy("window_start").agg(F.max("r").alias("r"), F.count("*").alias("sent")).select(F.to_date("window_start").cast("string").alias("day"), "r", "sent")
+
+    _add("stream_window_summary", windows)
+
+    def stream(s, d):
+        from .streaming import event_stream, watermark_counts
+
+        return watermark_counts(event_stream(s, d).select("ts", F.col("event_type").alias("grp")), "1 hour", "1 day", "watermark_counts").select(F.to_date("window_start").cast("string").alias("day"), "grp", "n")
+
+    _add("stream_watermark_counts", stream, "SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, event_type AS grp, count(*) AS n FROM events GROUP BY 1, 2")
+
+    def replay(s, d):
+        from .streaming import event_stream, two_pass_stream
+
+        source = lambda: event_stream(s, d).select(F.col("event_id").alias("ord"), F.expr("CASE event_type WHEN 'click' THEN 0 WHEN 'view' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END").alias("grp"), F.array((F.hour("ts") * 3600 + F.minute("ts") * 60 + F.second("ts")).cast("bigint"), F.round(F.col("value") * 100).cast("bigint")).alias("coords"))
+        chosen, hits, sets = two_pass_stream(source, metrics.L1, ev.caps, float(TAU["events"]))
+        return _rows(s, [(hits, sets)], "hits bigint, sets bigint")
+
+    tau, k = float(TAU["events"]), sum(ev.caps)
+    _add("stream_two_pass", replay, f"WITH RECURSIVE {_greedy(ev, 2 * tau, k + 1)}, {_reps(ev, tau)}, {_cut(ev)}, c AS (SELECT count(*) AS n FROM piv) SELECT CASE WHEN n > {k} THEN 0 ELSE (SELECT CAST(min(v) AS BIGINT) FROM cuts) END AS hits, n AS sets FROM c")
+
+
+for _name, _f in FIXTURES.items():
+    _points(_name, _f)
+for _name in ("emb_m2", "emb_m4", "part_shape", "customer_bal", "pref_rank_m2", "supplier_bal", "turn_shape", "page_shape"):
+    _building_blocks(_name)
+for _name, _size in (("emb_m2", 25), ("customer_bal", 50), ("turn_shape", 640)):
+    _blocks(_name, _size)
+_distances()
+_method_queries()
+_hardness()
+_graphs()
+_surroundings()
