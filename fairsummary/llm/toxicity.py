@@ -26,11 +26,11 @@ from .words import _BYTE, range_hash
 class Settings:
     """``sample`` bounds the labelled documents used for each class; n-grams in less than the share ``seen`` of them (three at least) carry nothing; the rest is the model's shape."""
 
-    sample: int = 1500
+    sample: int = 1000
     buckets: int = 1 << 16
     width: int = 8
     grams: tuple[int, ...] = (3, 4, 5)
-    passage: int = 3
+    passage: int = 2
     warm: int = 12
     epochs: int = 50
     rate: float = 0.1
@@ -60,10 +60,6 @@ def subwords(words: list[str], s: Settings) -> tuple[np.ndarray, np.ndarray]:
     return ids, np.bincount(of, minlength=len(words))
 
 
-def _means(rows: np.ndarray, count: np.ndarray) -> np.ndarray:
-    return np.add.reduceat(rows, np.cumsum(count) - count, axis=0) / count[:, None]
-
-
 def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> tuple[np.ndarray, float]:
     """Fit on whole texts; returns each bucket's share of the log-odds and the log-odds of an empty passage.
 
@@ -78,18 +74,29 @@ def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> tupl
         return np.zeros(s.buckets), (0.0 if not len(y) else 4.0 * (2 * y[0] - 1))
     number = {w: i for i, w in enumerate(dict.fromkeys(w for x in split for w in x))}
     ids, count = subwords(list(number), s)
-    seq = np.array([number[w] for x in split for w in x])
+    seq = np.array([number[w] for x in split for w in x], np.int32)
     size = np.array([len(x) for x in split])
+    del split
     first = np.cumsum(size) - size
     short = np.minimum(size, s.passage)
     owner = np.repeat(np.arange(len(y)), size)
     begin = np.cumsum(count) - count
-    pairs = np.unique(np.repeat(np.arange(len(y)), size) * len(number) + seq)
+    # each document as weights of buckets, and the buckets that enough documents have
+    pairs, often = np.unique(owner * len(number) + seq, return_counts=True)
     held, word_no = pairs // len(number), pairs % len(number)
-    c = count[word_no]
-    gram = ids[np.repeat(begin[word_no] - (np.cumsum(c) - c), c) + np.arange(int(c.sum()))]
-    docs_with = np.bincount(np.unique(np.repeat(held, c) * s.buckets + gram) % s.buckets, minlength=s.buckets)
-    live = (docs_with >= max(3, s.seen * len(y))).astype(float)[:, None]
+    parts = []
+    for lo in range(0, len(y), 128):  # in groups of documents, which bounds the scratch arrays
+        i, j = np.searchsorted(held, [lo, lo + 128])
+        word, c = word_no[i:j], count[word_no[i:j]]
+        key = np.repeat(held[i:j] * s.buckets, c) + ids[np.repeat(begin[word] - (np.cumsum(c) - c), c) + np.arange(int(c.sum()))]
+        key, at = np.unique(key, return_inverse=True)
+        parts.append((key, np.bincount(at, np.repeat(often[i:j] / (size[held[i:j]] * c), c))))
+    key, bag_weight = (np.concatenate(x) for x in zip(*parts))
+    bag_doc, bag = (key // s.buckets).astype(np.int32), (key % s.buckets).astype(np.int32)
+    live = (np.bincount(bag, minlength=s.buckets) >= max(3, s.seen * len(y))).astype(float)[:, None]
+    on = live[bag, 0] > 0
+    bag_doc, bag, bag_weight = bag_doc[on], bag[on], bag_weight[on]
+    del pairs, often, held, word_no, key, parts
     starts = np.flatnonzero(np.arange(len(seq)) - first[owner] <= (size - short)[owner])  # where a passage may start
     of = owner[starts]
     group = np.cumsum(np.bincount(of, minlength=len(y))) - np.bincount(of, minlength=len(y))
@@ -100,30 +107,26 @@ def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> tupl
     E *= live
     for epoch in range(1, s.epochs + 1):
         if epoch <= s.warm:
-            lo, n = first, size
+            doc, gram, part = bag_doc, bag, bag_weight
         else:
             score = np.add.reduceat((E @ (W[:, 1] - W[:, 0]))[ids], begin) / count
             run = np.concatenate([[0], np.cumsum(score[seq])])
             total = (run[starts + short[of]] - run[starts]) / short[of]
             high = np.maximum.reduceat(total, group)
             top = np.flatnonzero(total == high[of])
-            lo, n = starts[top[np.searchsorted(of[top], np.arange(len(y)))]], short
-        used = seq[np.repeat(lo - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))]
-        share = np.repeat(1.0 / n, n)
-        some, back = np.unique(used, return_inverse=True)
-        c = count[some]
-        gram = ids[np.repeat(begin[some] - (np.cumsum(c) - c), c) + np.arange(int(c.sum()))]
-        word = _means(E[gram], c)
-        h = np.add.reduceat(word[back] * share[:, None], np.cumsum(n) - n, axis=0)
+            lo = starts[top[np.searchsorted(of[top], np.arange(len(y)))]]
+            used = seq[np.repeat(lo - (np.cumsum(short) - short), short) + np.arange(int(short.sum()))]
+            c = count[used]
+            gram = ids[np.repeat(begin[used] - (np.cumsum(c) - c), c) + np.arange(int(c.sum()))]
+            doc = np.repeat(np.repeat(np.arange(len(y)), short), c)
+            part = np.repeat(np.repeat(1.0 / short, short) / c, c)
+        h = np.stack([np.bincount(doc, E[gram, k] * part, len(y)) for k in range(s.width)], 1)
         z = h @ W + b
         p = np.exp(z - z.max(1, keepdims=True))
         p /= p.sum(1, keepdims=True)
         dz = (p - np.stack([1 - y, y], 1)) * weight[:, None]
         dh = dz @ W.T
-        to_word = np.repeat(dh, n, axis=0) * share[:, None]
-        dword = np.stack([np.bincount(back, to_word[:, k], len(some)) for k in range(s.width)], 1)
-        spread = np.repeat(dword / c[:, None], c, axis=0)
-        dE = np.stack([np.bincount(gram, spread[:, k], s.buckets) for k in range(s.width)], 1)
+        dE = np.stack([np.bincount(gram, dh[doc, k] * part, s.buckets) for k in range(s.width)], 1)
         for param, grad, (m, v) in zip((E, W, b), (dE * live + s.decay * E, h.T @ dz + 1e-4 * W, dz.sum(0)), moments):
             m += 0.1 * (grad - m)
             v += 0.01 * (grad * grad - v)
