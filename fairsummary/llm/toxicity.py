@@ -167,13 +167,22 @@ def held_out(doc_id: str):
 def fit(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> tuple[np.ndarray, float]:
     """Train on at most ``s.sample`` labelled documents a class, those with the smallest hash of their id.
 
-    Ids are chosen from the labels alone; only the chosen documents' texts come to the driver.
+    Ids are chosen from the labels alone; only the chosen documents' texts are gathered.
     """
     known = labels.where(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out("doc_id")).select("doc_id", F.col("toxic").cast("int").alias("toxic")).dropDuplicates(["doc_id"])
     chosen = [known.where(F.col("toxic") == k).orderBy(F.xxhash64("doc_id"), "doc_id").limit(s.sample) for k in (0, 1)]
     rows = chosen[0].unionByName(chosen[1])
-    got = docs.select("doc_id", "text").join(F.broadcast(rows), "doc_id").orderBy("doc_id", F.xxhash64("text")).select("text", "toxic").toArrow()
-    return train([t or "" for t in got["text"].to_pylist()], got["toxic"].to_pylist(), s)
+    sample = docs.select("doc_id", "text").join(F.broadcast(rows), "doc_id").repartition(1)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        got = pa.Table.from_batches(batches) if (batches := list(batches)) else None
+        texts = sorted(zip(got["doc_id"].to_pylist(), (t or "" for t in got["text"].to_pylist()), got["toxic"].to_pylist())) if got else []
+        odds, base = train([t for _, t, _ in texts], [k for _, _, k in texts], s)
+        yield pa.RecordBatch.from_arrays([pa.array([odds.tobytes()]), pa.array([base])], ["odds", "base"])
+
+    # the bounded sample is trained on by one task, so the driver gets nothing but the model
+    model = sample.mapInArrow(run, "odds binary, base double").first()
+    return (np.frombuffer(model.odds), model.base) if model else (np.zeros(s.buckets), 0.0)
 
 
 def score(docs: DataFrame, model: tuple[np.ndarray, float], s: Settings = Settings(), *, text_col: str = "text", out: str = "score") -> DataFrame:
