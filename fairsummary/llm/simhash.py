@@ -19,7 +19,7 @@ from math import comb
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import materialize, null_safe, sized, text_slices
@@ -29,6 +29,8 @@ from .words import find_words, range_hash, raw_bytes
 BITS, SEED = 64, 42
 #: Buckets with more members take the linear way.
 CROWD = 48
+#: Members of a crowded bucket that all others are compared with before any pairs are made.
+LEADERS = 8
 
 
 def _bits_of(hashes: list[int]) -> int:
@@ -184,10 +186,25 @@ def _keys(nodes: DataFrame, probes: list[tuple[int, int, int]], by_size: bool, p
     return rows.withColumn("rank", rank)
 
 
-def _pairs(left: DataFrame, right: DataFrame, on: list[str], max_bits: int) -> DataFrame:
-    l, r = left.select(*on, F.col("node").alias("a"), F.col("fp").alias("fa")), right.select(*on, F.col("node").alias("b"), F.col("fp").alias("fb"))
-    near = l.join(r, on).where((F.col("a") != F.col("b")) & (F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= max_bits))
-    return near.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+def _once(chosen: Plan, part: Column, differ: Column) -> Column:
+    """Whether this is the first probed partition that brings the pair together, so that a pair is made once."""
+    out, before = None, F.lit(True)
+    for i, (mask, t) in enumerate(zip(chosen.masks, chosen.thresholds)):
+        if t >= 0:
+            out = F.when(part == i, before) if out is None else out.when(part == i, before)
+            before = before & (F.bit_count(differ.bitwiseAND(F.lit(_signed(mask)))) > t)
+    return out
+
+
+def _pairs(home: DataFrame, asking: DataFrame, on: list[str], chosen: Plan, max_bits: int, *more: str) -> DataFrame:
+    """Pairs (a, b), a < b, of a node in its own bucket and one that asks for the bucket; the other order comes from b's bucket."""
+    l = home.select(*on, F.col("node").alias("a"), F.col("fp").alias("fa"), *(F.col(c).alias(f"{c}_a") for c in more))
+    r = asking.select(*on, F.col("node").alias("b"), F.col("fp").alias("fb"), *(F.col(c).alias(f"{c}_b") for c in more))
+    differ = F.col("fa").bitwiseXOR(F.col("fb"))
+    near = (F.col("a") < F.col("b")) & (F.bit_count(differ) <= max_bits) & _once(chosen, F.col("part"), differ)
+    for c in more:  # nodes with equal values are connected already
+        near = near & (F.col(f"{c}_a") != F.col(f"{c}_b"))
+    return l.join(r, on).where(near).select("a", "b")
 
 
 def links(nodes: DataFrame, max_bits: int, *, check=None, by_size: bool = False, crowd: int = CROWD) -> DataFrame:
@@ -197,8 +214,8 @@ def links(nodes: DataFrame, max_bits: int, *, check=None, by_size: bool = False,
     ``max_bits`` that ``check`` (pairs to pairs, such as a similarity of texts)
     accepts.  ``by_size`` also needs sizes within a ratio of 0.8.  Nodes in
     crowded buckets are linked without all their pairs: through shared one-bit
-    neighbours where ``max_bits`` is 2 or less and there is no check, else by a
-    leader for each bucket and pairs of only those that the leader doesn't link.
+    neighbours where ``max_bits`` is 2 or less and there is no check, else by some
+    leaders for each bucket and pairs of only those that leaders don't connect.
     """
     n, both = bit_statistics(nodes)
     if n < 2:
@@ -210,23 +227,23 @@ def links(nodes: DataFrame, max_bits: int, *, check=None, by_size: bool = False,
     asked = _keys(nodes, probes, by_size, True)
     crowded = materialize(own.groupBy(*on).count().where(F.col("count") > crowd).select(*on), "crowded")
     if crowded.isEmpty():
-        found = materialize(_pairs(own, asked, on, max_bits), "pairs")
+        found = materialize(_pairs(own, asked, on, chosen, max_bits), "pairs")
         return check(found) if check else found
     crowded = sized(crowded)
-    found = materialize(_pairs(own.join(crowded, on, "left_anti"), asked, on, max_bits), "pairs")
+    found = materialize(_pairs(own.join(crowded, on, "left_anti"), asked, on, chosen, max_bits), "pairs")
     inside = asked.join(crowded, on, "left_semi")
     if check is None and max_bits <= 2:
         return found.union(_shared_neighbours(inside.select("node", "fp").distinct(), max_bits))
     members = materialize(own.join(crowded, on, "left_semi").withColumn("home", F.lit(True)).unionByName(inside.withColumn("home", F.lit(False))).groupBy(*on, "node", "fp").agg(F.max("home").alias("home")), "members")
-    leader = members.where("home").groupBy(*on).agg(F.min(F.struct(F.col("node").alias("lead"), F.col("fp").alias("lead_fp"))).alias("l")).select(*on, "l.lead", "l.lead_fp")
-    star = members.join(leader, on).where((F.col("node") != F.col("lead")) & (F.bit_count(F.col("fp").bitwiseXOR(F.col("lead_fp"))) <= max_bits))
-    first = star.select(F.least("node", "lead").alias("a"), F.greatest("node", "lead").alias("b")).distinct()
-    sure = materialize(check(first) if check else first, "stars")
-    tied = members.join(leader, on).withColumns({"a": F.least("node", "lead"), "b": F.greatest("node", "lead")})
-    loose = tied.where("node != lead").join(sure, ["a", "b"], "left_anti").select(*on, "node", "fp", "home")
-    # a pair has one side at home in the bucket; what the leader doesn't link meets everything there
-    rest = _pairs(members.where("home"), loose, on, max_bits).union(_pairs(loose.where("home"), members, on, max_bits)).union(found).distinct().join(sure, ["a", "b"], "left_anti")
-    rest = materialize(rest, "pairs")
+    turn = F.row_number().over(Window.partitionBy(*on).orderBy(F.xxhash64("node")))
+    leaders = members.where("home").withColumn("turn", turn).where(F.col("turn") <= LEADERS).select(*on, F.col("node").alias("lead"), F.col("fp").alias("lead_fp"))
+    star = members.join(leaders, on).where((F.col("node") != F.col("lead")) & (F.bit_count(F.col("fp").bitwiseXOR(F.col("lead_fp"))) <= max_bits))
+    first = materialize(star.select(F.least("node", "lead").alias("a"), F.greatest("node", "lead").alias("b")).distinct(), "stars")
+    sure = check(first) if check else first
+    joined = members.join(sized(materialize(components(sure), "roots")), "node", "left").withColumn("group", F.coalesce("root", "node"))
+    joined = materialize(joined.select(*on, "node", "fp", "home", "group"), "joined")
+    # pairs that leaders have connected need no look; every other pair of the bucket gets one
+    rest = materialize(_pairs(joined.where("home"), joined, on, chosen, max_bits, "group").union(found), "pairs")
     return (check(rest) if check else rest).union(sure)
 
 
