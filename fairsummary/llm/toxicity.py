@@ -17,11 +17,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_BYTES, Memory, extended, text_slices
+from .common import MEMORY, WORD_BYTES, Memory, extended, text_slices
 from .token_table import split_words
 from .words import _BYTE, range_hash
 
 
+#: Entries of a bag that one step of training works on at a time.
+SCRATCH = 1 << 19
+
+
 @dataclass(frozen=True)
 class Settings:
     """``sample`` bounds the labelled documents used for each class; n-grams in less than the share ``seen`` of them (three at least) carry nothing; the rest is the model's shape."""
@@ -56,7 +60,7 @@ def subwords(words: list[str], s: Settings) -> tuple[np.ndarray, np.ndarray]:
         of.append(owner[at])
     starts, ends, of = map(np.concatenate, (starts, ends, of))
     order = np.argsort(of, kind="stable")
-    ids = (range_hash(values, starts[order], ends[order]) % np.uint64(s.buckets)).astype(np.int64)
+    ids = (range_hash(values, starts[order], ends[order]) % np.uint64(s.buckets)).astype(np.int32)
     return ids, np.bincount(of, minlength=len(words))
 
 
@@ -73,7 +77,10 @@ def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> tupl
     if not len(y) or y.min() == y.max():
         return np.zeros(s.buckets), (0.0 if not len(y) else 4.0 * (2 * y[0] - 1))
     number = {w: i for i, w in enumerate(dict.fromkeys(w for x in split for w in x))}
-    ids, count = subwords(list(number), s)
+    names = list(number)
+    sliced = [subwords(names[lo : lo + 4096], s) for lo in range(0, len(names), 4096)]
+    ids, count = (np.concatenate(x) for x in zip(*sliced))
+    del names, sliced
     seq = np.array([number[w] for x in split for w in x], np.int32)
     size = np.array([len(x) for x in split])
     del split
@@ -81,22 +88,29 @@ def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> tupl
     short = np.minimum(size, s.passage)
     owner = np.repeat(np.arange(len(y)), size)
     begin = np.cumsum(count) - count
-    # each document as weights of buckets, and the buckets that enough documents have
+    # each document as weights of buckets, in groups of documents, which bounds the scratch arrays
     pairs, often = np.unique(owner * len(number) + seq, return_counts=True)
     held, word_no = pairs // len(number), pairs % len(number)
-    parts = []
-    for lo in range(0, len(y), 128):  # in groups of documents, which bounds the scratch arrays
-        i, j = np.searchsorted(held, [lo, lo + 128])
-        word, c = word_no[i:j], count[word_no[i:j]]
-        key = np.repeat(held[i:j] * s.buckets, c) + ids[np.repeat(begin[word] - (np.cumsum(c) - c), c) + np.arange(int(c.sum()))]
-        key, at = np.unique(key, return_inverse=True)
-        parts.append((key, np.bincount(at, np.repeat(often[i:j] / (size[held[i:j]] * c), c))))
-    key, bag_weight = (np.concatenate(x) for x in zip(*parts))
-    bag_doc, bag = (key // s.buckets).astype(np.int32), (key % s.buckets).astype(np.int32)
-    live = (np.bincount(bag, minlength=s.buckets) >= max(3, s.seen * len(y))).astype(float)[:, None]
-    on = live[bag, 0] > 0
-    bag_doc, bag, bag_weight = bag_doc[on], bag[on], bag_weight[on]
-    del pairs, often, held, word_no, key, parts
+    del pairs
+
+    def bags() -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        for lo in range(0, len(y), 16):
+            i, j = np.searchsorted(held, [lo, lo + 16])
+            word, c = word_no[i:j], count[word_no[i:j]]
+            key = np.repeat(held[i:j] * s.buckets, c) + ids[np.repeat(begin[word] - (np.cumsum(c) - c), c) + np.arange(int(c.sum()))]
+            key, at = np.unique(key, return_inverse=True)
+            yield (key // s.buckets).astype(np.int32), (key % s.buckets).astype(np.int32), np.bincount(at, np.repeat(often[i:j] / (size[held[i:j]] * c), c))
+
+    # first the buckets that enough documents have, then the weights of those alone
+    spread = sum(np.bincount(gram, minlength=s.buckets) for _, gram, _ in bags())
+    live = (spread >= max(3, s.seen * len(y))).astype(float)[:, None]
+    total = int(spread[live[:, 0] > 0].sum())
+    bag_doc, bag, bag_weight, end = np.empty(total, np.int32), np.empty(total, np.int32), np.empty(total), 0
+    for doc, gram, part in bags():
+        on = live[gram, 0] > 0
+        begin_at, end = end, end + int(on.sum())
+        bag_doc[begin_at:end], bag[begin_at:end], bag_weight[begin_at:end] = doc[on], gram[on], part[on]
+    del often, held, word_no
     starts = np.flatnonzero(np.arange(len(seq)) - first[owner] <= (size - short)[owner])  # where a passage may start
     of = owner[starts]
     group = np.cumsum(np.bincount(of, minlength=len(y))) - np.bincount(of, minlength=len(y))
@@ -111,22 +125,23 @@ def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> tupl
         else:
             score = np.add.reduceat((E @ (W[:, 1] - W[:, 0]))[ids], begin) / count
             run = np.concatenate([[0], np.cumsum(score[seq])])
-            total = (run[starts + short[of]] - run[starts]) / short[of]
-            high = np.maximum.reduceat(total, group)
-            top = np.flatnonzero(total == high[of])
+            means = (run[starts + short[of]] - run[starts]) / short[of]
+            high = np.maximum.reduceat(means, group)
+            top = np.flatnonzero(means == high[of])
             lo = starts[top[np.searchsorted(of[top], np.arange(len(y)))]]
             used = seq[np.repeat(lo - (np.cumsum(short) - short), short) + np.arange(int(short.sum()))]
             c = count[used]
             gram = ids[np.repeat(begin[used] - (np.cumsum(c) - c), c) + np.arange(int(c.sum()))]
             doc = np.repeat(np.repeat(np.arange(len(y)), short), c)
             part = np.repeat(np.repeat(1.0 / short, short) / c, c)
-        h = np.stack([np.bincount(doc, E[gram, k] * part, len(y)) for k in range(s.width)], 1)
+        cuts = [slice(lo, lo + SCRATCH) for lo in range(0, max(1, len(doc)), SCRATCH)]
+        h = np.stack([sum(np.bincount(doc[c], E[gram[c], k] * part[c], len(y)) for c in cuts) for k in range(s.width)], 1)
         z = h @ W + b
         p = np.exp(z - z.max(1, keepdims=True))
         p /= p.sum(1, keepdims=True)
         dz = (p - np.stack([1 - y, y], 1)) * weight[:, None]
         dh = dz @ W.T
-        dE = np.stack([np.bincount(gram, dh[doc, k] * part, s.buckets) for k in range(s.width)], 1)
+        dE = np.stack([sum(np.bincount(gram[c], dh[doc[c], k] * part[c], s.buckets) for c in cuts) for k in range(s.width)], 1)
         for param, grad, (m, v) in zip((E, W, b), (dE * live + s.decay * E, h.T @ dz + 1e-4 * W, dz.sum(0)), moments):
             m += 0.1 * (grad - m)
             v += 0.01 * (grad * grad - v)
@@ -138,7 +153,7 @@ class Scorer:
     """Scores of texts from a trained model, with a memory of word scores."""
 
     def __init__(self, odds: np.ndarray, base: float, s: Settings):
-        self.odds, self.base, self.s, self.memory = odds, base, s, Memory(self._score)
+        self.odds, self.base, self.s, self.memory = odds, base, s, Memory(self._score, MEMORY // 3)
 
     def _score(self, words: list[str]) -> list[float]:
         out: list[float] = []
