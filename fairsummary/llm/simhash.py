@@ -14,7 +14,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 from dataclasses import dataclass
 from itertools import combinations
-from math import comb
+from math import ceil, comb
 
 import numpy as np
 import pyarrow as pa
@@ -31,6 +31,8 @@ BITS, SEED = 64, 42
 CROWD = 48
 #: Members of a crowded bucket that all others are compared with before any pairs are made.
 LEADERS = 8
+#: Texts, at most about twice as many, that show which shingles are common, and common shingles that are told apart; they set an order, not the result.
+SAMPLE, COMMON = 4000, 100_000
 
 
 def _bits_of(hashes: list[int]) -> int:
@@ -282,25 +284,114 @@ def digest(docs: DataFrame) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def _sets(batch: pa.RecordBatch, shingle: int) -> Iterator[tuple[pa.Array, list[np.ndarray]]]:
+    """Slices of the first column of (key, text), with the sorted distinct 64-bit shingle hashes of each whole text (fewer words: the whole sequence)."""
+    for b in text_slices(batch, "text"):
+        data, offs = raw_bytes(b.column(1))
+        low = pa.array([data[s:e].tobytes().lower() for s, e in zip(offs[:-1].tolist(), offs[1:].tolist())], pa.binary()).cast(pa.large_binary()).view(pa.large_string())
+        w = find_words(low)
+        h = w.hashes()
+        out = []
+        for f, n in zip(w.first.tolist(), w.count.tolist()):
+            at = np.arange(f, f + max(1, n - shingle + 1)) if n else np.zeros(0, np.int64)
+            out.append(np.unique(range_hash(h, at, np.minimum(at + shingle, f + n))) if n else np.zeros(0, np.uint64))
+        yield b.column(0), out
+
+
 def shingle_sets(texts: DataFrame, key: str, shingle: int) -> DataFrame:
-    """(key, shingles): sorted distinct 32-bit hashes of the word shingles of each whole text (fewer words: the whole sequence), as bytes."""
+    """(key, shingles): sorted distinct 32-bit hashes of the word shingles of each whole text, as bytes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for b in text_slices(batch, "text"):
-                data, offs = raw_bytes(b.column(1))
-                low = pa.array([data[s:e].tobytes().lower() for s, e in zip(offs[:-1].tolist(), offs[1:].tolist())], pa.binary()).cast(pa.large_binary()).view(pa.large_string())
-                w = find_words(low)
-                h = w.hashes()
-                out = []
-                for f, n in zip(w.first.tolist(), w.count.tolist()):
-                    at = np.arange(f, f + max(1, n - shingle + 1)) if n else np.zeros(0, np.int64)
-                    out.append(np.unique((range_hash(h, at, np.minimum(at + shingle, f + n)) >> np.uint64(32)).astype("<u4")).tobytes() if n else b"")
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], [key, "shingles"])
+            for keys, sets in _sets(batch, shingle):
+                yield pa.RecordBatch.from_arrays([keys, pa.array([np.unique((x >> np.uint64(32)).astype("<u4")).tobytes() for x in sets], pa.binary())], [key, "shingles"])
 
     return texts.select(key, "text").mapInArrow(run, f"{key} long, shingles binary")
 
 
+def common_shingles(texts: DataFrame, n: int, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted hashes of shingles that are common in a sample of the ``n`` texts, and their counts there."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for _, sets in _sets(batch, shingle):
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(sets).view(np.int64))], ["h"])
+
+    some = texts.where(F.pmod(F.xxhash64("node"), F.lit(max(1, n // SAMPLE))) == 0)
+    got = some.select("node", "text").mapInArrow(run, "h long").groupBy("h").count().where("count > 2").orderBy(F.desc("count"), "h").limit(COMMON).toArrow()
+    h, count = got["h"].to_numpy().view(np.uint64), got["count"].to_numpy()
+    order = np.argsort(h)
+    return h[order], count[order]
+
+
+def prefixes(texts: DataFrame, common: tuple[np.ndarray, np.ndarray], *, shingle: int, similarity: float) -> DataFrame:
+    """(node, size, parity, keys) of (node, text): number of distinct shingles, parities of 256 hash buckets, prefix.
+
+    Shingles have one order for all texts, rare ones first.  Two sets whose
+    Jaccard similarity reaches ``similarity`` share a shingle among the first
+    size - ceil(similarity * size) + 1 of each; any order would do.
+    """
+    known, counts = common
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for nodes, sets in _sets(batch, shingle):
+                parity, keys = np.zeros((len(sets), 32), np.uint8), []
+                for i, x in enumerate(sets):
+                    odd = np.bincount((x & np.uint64(255)).astype(np.int64), minlength=256) & 1
+                    parity[i] = np.packbits(odd.astype(np.uint8))
+                    if not len(x):
+                        keys.append(np.zeros(1, np.int64))  # texts without words have one key of their own
+                        continue
+                    if len(known):
+                        at = np.minimum(np.searchsorted(known, x), len(known) - 1)
+                        x = x[np.argsort(np.where(known[at] == x, counts[at], 0), kind="stable")]
+                    keys.append(x[: len(x) - ceil(similarity * len(x) - 1e-9) + 1].view(np.int64))
+                words = [pa.array(np.ascontiguousarray(parity.view(np.int64)[:, j])) for j in range(4)]
+                lists = pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, keys)]), pa.int32()), pa.array(np.concatenate(keys)))
+                yield pa.RecordBatch.from_arrays([nodes, pa.array([len(x) for x in sets], pa.int32()), *words, lists], ["node", "size", "p0", "p1", "p2", "p3", "keys"])
+
+    return texts.select("node", "text").mapInArrow(run, "node long, size int, p0 long, p1 long, p2 long, p3 long, keys array<long>")
+
+
+def _may_reach(a: str, b: str, similarity: float) -> Column:
+    """What no pair of sets of that similarity fails: sizes in the ratio, and no more odd buckets than differences allow."""
+    sa, sb = F.col(f"{a}.size"), F.col(f"{b}.size")
+    odd = sum((F.bit_count(F.col(f"{a}.p{j}").bitwiseXOR(F.col(f"{b}.p{j}"))) for j in range(4)), F.lit(0))
+    return (F.least(sa, sb) >= similarity * F.greatest(sa, sb) - 1e-9) & (odd <= (sa + sb) * ((1 - similarity) / (1 + similarity)) + 1e-6)
+
+
+def similar_links(texts: DataFrame, n: int, *, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+    """Edges (a, b) that connect exactly the texts (node, text) which chains of pairs of that Jaccard similarity connect.
+
+    Candidates share a shingle of their prefixes, which no such pair fails to
+    do.  Members of a bucket are first compared with its smallest and largest
+    node; then every pair of a bucket that is not connected by that gets a look,
+    in buckets of whatever size.
+    """
+    sets = materialize(prefixes(texts, common_shingles(texts, n, shingle), shingle=shingle, similarity=similarity), "prefixes")
+    keys = sets.select("node", F.posexplode("keys").alias("pos", "key"))
+    shared = materialize(keys.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi"), "shared")
+    members = materialize(keys.join(sized(shared), "key"), "members")
+    info = sets.drop("keys")
+    star = members.select("node", F.explode(F.array("lo", "hi")).alias("lead")).where("node <> lead").select(F.least("node", "lead").alias("a"), F.greatest("node", "lead").alias("b")).distinct()
+    a, b = info.alias("x"), info.alias("y")
+    star = star.join(a, F.col("a") == F.col("x.node")).join(b, F.col("b") == F.col("y.node")).where(_may_reach("x", "y", similarity)).select("a", "b")
+    sure = similar(materialize(star, "stars"), texts, shingle=shingle, similarity=similarity)
+    roots = sized(materialize(components(sure), "roots"))
+    rows = members.select("key", "pos", "node").join(roots, "node", "left").withColumn("group", F.coalesce("root", "node")).drop("root")
+    rows = materialize(rows, "grouped")
+    mixed = materialize(rows.groupBy("key").agg(F.min("group").alias("lo"), F.max("group").alias("hi")).where("lo < hi").select("key"), "mixed")
+    rows = materialize(rows.join(sized(mixed), "key", "left_semi").join(info, "node"), "open")
+    x, y = rows.alias("x"), rows.alias("y")
+    sa, sb, i, j = F.col("x.size"), F.col("y.size"), F.col("x.pos"), F.col("y.pos")
+    most = F.least(i, j) + 1 + F.least(sa - i, sb - j) - 1  # shared shingles before, at and after this one
+    enough = (sa == 0) | (most >= (sa + sb) * (similarity / (1 + similarity)) - 1e-6)
+    rest = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.group") != F.col("y.group")) & _may_reach("x", "y", similarity) & enough)
+    rest = materialize(rest.select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct(), "pairs")
+    return similar(rest, texts, shingle=shingle, similarity=similarity).union(sure)
+
+
 def similar(pairs: DataFrame, texts: DataFrame, *, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
     """Of pairs (a, b), those whose texts (node, text) have a Jaccard similarity of word shingles of at least ``similarity``."""
     asked = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
@@ -321,21 +412,19 @@ def similar(pairs: DataFrame, texts: DataFrame, *, shingle: int = 5, similarity:
     return materialize(rows.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long"), "similar")
 
 
-def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", max_bits: int = 7, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8) -> DataFrame:
     """One document of each near-duplicate group: the one with the smallest id (nulls last).
 
-    Candidates are texts whose fingerprints (of three-word shingles, which
-    edits move less) differ in at most ``max_bits``; a link needs a Jaccard
-    similarity of ``shingle``-word shingles of at least ``similarity``.  Equal
-    texts are one node from the start, repeated rows leave one, and texts
-    without words are copies of each other.  All columns stay.
+    A link is a Jaccard similarity of ``shingle``-word shingles of at least
+    ``similarity``; no such pair is missed (``similar_links``).  Equal texts
+    are one node from the start, repeated rows leave one, and texts without
+    words are copies of each other.  All columns stay.
     """
     base = docs.withColumns({"__id": F.col(id_col).cast("long"), "__key": F.xxhash64(text_col)})
-    rows = materialize(fingerprints(docs, id_col=id_col, text_col=text_col), "fingerprints")
-    nodes = materialize(rows.groupBy(F.col("text_key").alias("node")).agg(F.min("fp").alias("fp"), F.min("size").alias("size"), F.min("doc_id").alias("least"), F.count("*").alias("n")), "nodes")
-    first = nodes.select("node", "least")
-    texts = base.join(sized(first.toDF("__node", "__least")), (F.col("__key") == F.col("__node")) & F.col("__id").eqNullSafe(F.col("__least")), "left_semi").select(F.col("__key").alias("node"), F.col(text_col).alias("text"))
-    edges = links(nodes.select("node", "fp", "size"), max_bits, check=lambda p: similar(p, texts, shingle=shingle, similarity=similarity), by_size=True)
+    rows = materialize(base.select(F.col("__id").alias("doc_id"), F.col("__key").alias("text_key")), "keys")
+    nodes = materialize(rows.groupBy(F.col("text_key").alias("node")).agg(F.min("doc_id").alias("least")), "nodes")
+    texts = base.join(sized(nodes.toDF("__node", "__least")), (F.col("__key") == F.col("__node")) & F.col("__id").eqNullSafe(F.col("__least")), "left_semi").select(F.col("__key").alias("node"), F.col(text_col).alias("text"))
+    edges = similar_links(texts, nodes.count(), shingle=shingle, similarity=similarity)
     roots = components(edges)
     labelled = nodes.join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root"))
     chosen = labelled.groupBy("root").agg(F.min(F.struct(F.col("least").isNull(), "least", "node")).alias("c")).select(F.col("c.least").alias("__id"), F.col("c.node").alias("__key"))

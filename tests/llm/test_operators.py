@@ -191,6 +191,36 @@ def test_simhash_digest(spark):
     assert 5 not in kept and 3 in kept and 1 not in kept
 
 
+def _kept(texts, shingle=5, similarity=0.8):
+    """Positions that stay: the first of each chain of texts with similar sets of word shingles."""
+    words = [(t or "").encode().lower().split() for t in texts]
+    sets = [{tuple(w[i : i + shingle]) for i in range(max(1, len(w) - shingle + 1))} if w else set() for w in words]
+    label, pairs = list(range(len(texts))), 0
+    for j, y in enumerate(sets):
+        for i, x in enumerate(sets[:j]):
+            if len(x & y) >= similarity * len(x | y) - 1e-9:
+                pairs += 1
+                old, new = max(label[i], label[j]), min(label[i], label[j])
+                label = [new if v == old else v for v in label]
+    return sorted(set(label)), pairs
+
+
+def test_no_similar_pair_is_missed(spark):
+    rng = np.random.default_rng(7)
+    texts = [None, "", "  ", "one two", "one two", "one two three", *TEXTS[3:9]]
+    for k in range(60):  # edits of short texts, close to a similarity of 0.8 from both sides
+        words = [f"v{x}" for x in rng.integers(0, 900, int(rng.integers(20, 120)))]
+        for _ in range(2):
+            copy = list(words)
+            for at in rng.choice(len(words), int(rng.integers(1, 1 + max(1, len(words) // 40))), replace=False):
+                copy[at] = f"new{rng.integers(0, 10**6)}"
+            texts += [" ".join(copy)]
+        texts += [" ".join(words)]
+    texts += [f"{PASSAGE} {' '.join(f'u{i}y{j}' for j in range(12))}" for i in range(70)]  # one passage in many texts that differ
+    want, _ = _kept(texts)
+    assert sorted(r.doc_id for r in simhash.keep_one(table(spark, texts)).collect()) == want
+
+
 def test_packing(spark):
     rng = np.random.default_rng(4)
     sizes = sorted(rng.integers(1, 100, 200).tolist(), reverse=True)
