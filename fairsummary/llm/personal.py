@@ -1,11 +1,12 @@
 """Personal data by fixed patterns and by bootstrapped contexts, on built-in functions only.
 
 Fixed patterns find e-mail addresses, network addresses, card and phone
-numbers.  Those seeds induce lexical patterns (the words in front of them);
-patterns and identifier-like tokens form a graph that is scored in rounds:
-a pattern is trusted when most of the distinct tokens behind it are known, and
-tokens behind trusted patterns become known in turn.  What trusted patterns
-find beside the seeds is added.  Everything is JVM-side.
+numbers.  Those seeds induce lexical patterns (the words in front of each);
+patterns, seeds and identifier-like tokens form a graph that is scored in
+rounds until nothing changes: a pattern is trusted when most of the distinct
+tokens behind it are known, and tokens behind trusted patterns become known in
+turn.  What trusted patterns find beside the seeds is added.  Everything is
+JVM-side.
 """
 
 from __future__ import annotations
@@ -27,8 +28,11 @@ PATTERNS = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 _OCTET = r"0*(?:25[0-5]|2[0-4][0-9]|1[0-9]{2}|[0-9]{1,2})"
-#: An identifier-like token: four or more digits in a run without white space.
-TOKEN = r"(?<!\S)(?:[^\s0-9]*+[0-9]){4}\S*+"
+_UNIT = r"""[^\s0-9@:=;|<>"'\[\]{}]*+[0-9@][^\s:=;|<>"'\[\]{}]*+"""
+#: An identifier-like token: a run with a digit or an @, and up to five more such runs after single spaces.
+TOKEN = rf"""(?<![^\s:=;|<>("'\[{{#])(?=[\p{{L}}0-9+@]){_UNIT}(?:\x20{_UNIT}){{0,5}}"""
+#: One or two words in front, with opening brackets and quotes left out; the last may end in a colon or the like that touches.
+CONTEXT = r"""((?:\S+\s+)?\S+?)(?:\s+|(?<=[:=;|]))[<("'\[{#]*$"""
 SPAN = "struct<kind:int,s:int,e:int,hit:string>"
 
 
@@ -86,22 +90,38 @@ def _shape(column: Column) -> Column:
     return F.regexp_replace(F.lower(column), "[0-9]", "0")
 
 
+def _blanked(text: Column, base: Column) -> Column:
+    """The text with spaces for its base spans."""
+    start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
+
+    def step(acc: Column, x: Column) -> Column:
+        gap = F.substring(text, acc["at"] + 1, F.greatest(x["s"] - acc["at"], F.lit(0)))
+        fill = F.repeat(F.lit(" "), F.greatest(x["e"] - F.greatest(x["s"], acc["at"]), F.lit(0)))
+        return F.struct(F.greatest(acc["at"], x["e"]).cast("int").alias("at"), F.concat(acc["out"], gap, fill).alias("out"))
+
+    ends = F.array_sort(F.transform(base, lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"))))
+    return F.when(F.size(base) == 0, text).otherwise(F.aggregate(ends, start, step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, F.length(text)))))
+
+
 def candidates(docs: DataFrame) -> DataFrame:
-    """Identifier-like tokens of (doc_id, text_key, text, base): (.., s, e, token, pattern, known), one row each.
+    """Base spans and, beside them, identifier-like tokens of (doc_id, text_key, text, base): (.., s, e, token, pattern, known), one row each.
 
-    The pattern is the two words in front.  A token is known when it overlaps a base span.
+    The pattern is what stands in front of the span's or token's own start; base spans are known.
     """
-    rows = docs.where(F.col("text").rlike(r"[0-9]\S*[0-9]\S*[0-9]\S*[0-9]")).select("doc_id", "text_key", "text", "base", F.explode(located(F.col("text"), TOKEN, len(KINDS))).alias("x"))
+    def as_span(known: bool):
+        return lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), x["hit"].alias("hit"), F.lit(known).alias("known"))
+
+    spans = F.concat(F.transform("base", as_span(True)), F.transform(located(F.col("blank"), TOKEN, len(KINDS)), as_span(False)))
+    rows = docs.withColumn("blank", _blanked(F.col("text"), F.col("base"))).select("doc_id", "text_key", "text", F.explode(spans).alias("x"))
     tail = F.regexp_extract("x.hit", r"[^A-Za-z0-9]*$", 0)
     e = (F.col("x.e") - F.length(tail)).cast("int")
     left = F.expr("substring(text, greatest(x.s - 79, 1), least(x.s, 80))")
-    pattern = _shape(F.regexp_extract(left, r"(\S+\s+\S+)\s+$", 1))
-    known = F.exists("base", lambda b: (b["s"] < F.col("x.e")) & (b["e"] > F.col("x.s")))
-    return rows.select("doc_id", "text_key", F.col("x.s").alias("s"), e.alias("e"), F.lower(F.regexp_replace("x.hit", r"[^A-Za-z0-9]+$", "")).alias("token"), F.regexp_replace(pattern, r"\s+", " ").alias("pattern"), known.alias("known"))
+    pattern = _shape(F.regexp_extract(left, CONTEXT, 1))
+    return rows.select("doc_id", "text_key", F.col("x.s").alias("s"), e.alias("e"), F.lower(F.regexp_replace("x.hit", r"[^A-Za-z0-9]+$", "")).alias("token"), F.regexp_replace(pattern, r"\s+", " ").alias("pattern"), F.col("x.known").alias("known")).where("s < e")
 
 
-def bootstrap(found: DataFrame, *, rounds: int = 3, support: int = 3, trust: float = 0.6) -> DataFrame:
-    """Trusted patterns after some rounds on the pattern-token graph.
+def bootstrap(found: DataFrame, *, support: int = 3, trust: float = 0.6) -> DataFrame:
+    """Trusted patterns once rounds on the pattern-token graph change nothing; known tokens only grow, so that comes.
 
     A pattern is trusted with at least ``support`` distinct known tokens that
     make up at least the share ``trust`` of the distinct tokens behind it; then
@@ -110,7 +130,7 @@ def bootstrap(found: DataFrame, *, rounds: int = 3, support: int = 3, trust: flo
     """
     edges = materialize(found.where("pattern <> ''").groupBy("pattern", "token").agg(F.max("known").alias("known")), "edges")
     trusted = None
-    for _ in range(rounds):
+    while True:
         score = edges.groupBy("pattern").agg(F.count("*").alias("n"), F.count_if("known").alias("k"))
         score = materialize(score.where((F.col("k") >= support) & (F.col("k") >= trust * F.col("n"))).select("pattern"), "patterns")
         if score.isEmpty():
@@ -122,7 +142,6 @@ def bootstrap(found: DataFrame, *, rounds: int = 3, support: int = 3, trust: flo
         reached = edges.join(sized(score), "pattern", "left_semi").where("NOT known").select("token").distinct()
         reached = sized(materialize(reached, "reached").withColumn("now", F.lit(True)))
         edges = materialize(edges.join(reached, "token", "left").select("pattern", "token", (F.col("known") | F.coalesce("now", F.lit(False))).alias("known")), "edges")
-    return score
 
 
 def find(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -133,7 +152,8 @@ def find(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") ->
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_col).alias("text_key"), text.alias("text"))
-    seeds = materialize(rows.where(F.col("text").rlike("[0-9]") | F.col("text").contains("@")).withColumn("base", base_spans(F.col("text"))).withColumn("tokens", F.when(F.col("text").rlike(r"[0-9]\S*[0-9]\S*[0-9]\S*[0-9]"), F.col("text"))).select("doc_id", "text_key", "base", F.col("tokens").alias("text")).where("size(base) > 0 OR text IS NOT NULL"), "seeds")
+    seeds = rows.where(F.col("text").rlike("[0-9]") | F.col("text").contains("@")).withColumn("base", base_spans(F.col("text")))
+    seeds = materialize(seeds.select("doc_id", "text_key", "base", "text"), "seeds")
     found = materialize(candidates(seeds), "candidates")
     patterns = bootstrap(found)
     fresh = found.where("NOT known").join(sized(patterns), "pattern", "left_semi").select("doc_id", "text_key", "s", "e").distinct()

@@ -121,6 +121,19 @@ def test_personal_data(spark):
     assert personal.digest(table(spark, [])).count() == 0 and found[9] == ""
 
 
+def test_personal_data_contexts(spark):
+    texts = [f"please call +1 (555) 555-{1000 + i} now" for i in range(8)] + ["please call 99-1234-77 now", "nothing 99-1234-88 here"]
+    texts += [f"or write to <user{'abcdefgh'[i]}@host.org> today" for i in range(8)] + ["or write to <someone@intranet> today", "or write to me"]
+    texts += [f"pay with card 4111 1111 1111 {d} then" for d in ("1111", "1129", "1137", "1145")] + ["pay with card 77 88 99 then", "pay with card x9, bob@host.org and 12"]
+    # each pattern shares three of its five tokens with the one before, so one more is trusted in each round
+    texts += [f"{'uvwxyz'[r]} has n{j} end" for r in range(6) for j in range(2 * r, 2 * r + 5)]
+    texts += [f"u has seed{'abcdefghi'[i]}@host.org end" for i in range(9)]
+    got = {r.doc_id: r.spans for r in personal.digest(table(spark, texts)).collect()}
+    assert got[8] == "identifier:12:22" and got[9] == "" and got[19] == ""
+    assert got[18] == "identifier:13:29" and got[24] == "identifier:14:22" and got[25].endswith("identifier:14:16")
+    assert all(got[i].startswith("identifier:6:") for i in range(26, 56))
+
+
 def test_toxicity_held_out(spark):
     rows = [("you are an idiot today" if i % 3 == 0 else "what a lovely morning today") + f" n{i}" for i in range(120)]
     t = table(spark, [*rows, None, "such an idiott"])
