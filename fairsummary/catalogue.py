@@ -13,7 +13,7 @@ from . import baselines, graphs, hardness, methods, metrics, relational, scans
 from .hitting import certificate, hitting_set
 from .model import FairInstance, Points
 from .session import find_package
-from .workloads import FIXTURES, Fixture, duck_sql, spark_sql
+from .workloads import FIXTURES, Fixture, duck_sql, spark_sql, whole
 
 FLAGSHIP = "two_pass_emb_m2"
 _QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -263,6 +263,15 @@ def _distances() -> None:
 
         _add(name, query, f"WITH t AS ({duck_sql(seen)}) SELECT a.ord AS a, b.ord AS b, {sql if kind == 'bigint' else f'round(CAST({sql} AS DOUBLE), 5)'} AS d FROM t a JOIN t b ON a.ord < b.ord")
 
+        everything = whole(Fixture(text, metric, ())).text
+
+        def from_all(s, d, metric=metric, text=everything, exact=exact):
+            t = spark_sql(s, d, f"SELECT ord, coords FROM ({text}) q")
+            b = t.where("ord < 60").toDF("query", "cb")  # the query set; every point is measured against it
+            return t.toDF("ord", "ca").crossJoin(F.broadcast(b)).select("ord", "query", exact(metric.column(F.col("ca"), F.col("cb"))).alias("d"))
+
+        _add(f"{name}_all", from_all)
+
 
 def _hardness() -> None:
     _add("hard_instance_points", lambda s, d: hardness.hard_points(s, 51), "SELECT i AS ord, CAST(CASE WHEN i < 7 THEN i ELSE 7 + (i - 7) // 153 END AS INTEGER) AS class FROM range(0, 466) t(i)")
@@ -289,6 +298,7 @@ def _graphs() -> None:
 b AS (SELECT 0 AS i, p_partkey AS ord, q AS other, CASE WHEN p_partkey = q THEN 0 ELSE 1000000 END AS d FROM part, range(0, {few}) t(q) WHERE p_partkey < 350
 UNION ALL SELECT any_value(b.i) + 1, b.ord, b.other, least(min(b.d), min(n.v)) FROM b LEFT JOIN (SELECT e.src, c.other, min(e.w + c.d) AS v FROM e JOIN b c ON c.ord = e.dst GROUP BY e.src, c.other) n ON n.src = b.ord AND n.other = b.other WHERE b.i < 40 GROUP BY b.ord, b.other)
 SELECT ord, other, CAST(d AS BIGINT) AS d FROM b WHERE i = 40 AND ord < {few}""")
+    _add("graph_apsp_all", lambda s, d: copurchase(s, d).select("ord", F.posexplode(F.slice("coords", 2, F.size("coords") - 1))).select("ord", F.col("pos").cast("bigint").alias("other"), F.col("col").alias("d")))
     for name in PAPER:
         _add(f"graph_{name}", lambda s, d, name=name: _rows(s, compare(s, FairInstance(copurchase(s, d).select("ord", (F.col("ord") % 5).cast("int").alias("grp"), "coords"), metrics.path_rows(), (2,) * 5), [name], 10), _METHOD))
 

@@ -114,6 +114,17 @@ FIXTURES = {
     "turn_shape": Fixture("SELECT conv_id * 64 + turn AS ord, CAST(CASE role WHEN 'system' THEN 0 WHEN 'user' THEN 1 ELSE 2 END AS INTEGER) AS grp, LIST(CAST(turn AS BIGINT), CAST(length(text) AS BIGINT)) AS coords FROM {conversations}", L1, (1, 2, 2)),
 }
 
+#: What limits a fixture to the first rows of its table; the whole-table fixtures do without.
+_FIRST = (" WHERE vec_id < 1000", " WHERE c.c_custkey < 1000")
+
+
+def whole(f: Fixture) -> Fixture:
+    """The fixture over all rows of its table."""
+    text = f.text
+    for cut in _FIRST:
+        text = text.replace(cut, "")
+    return Fixture(text, f.metric, f.caps)
+
 
 def uniform_cube(spark: SparkSession, n: int, dim: int, m: int, seed: int, top: float = 10000.0) -> DataFrame:
     """n points with dim coordinates drawn from (0, top) and random groups, made where they are used."""

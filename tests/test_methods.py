@@ -149,3 +149,37 @@ def test_every_key_runs_one_of_each_kind(spark):
 
     assert set(e.oracle_sql()) <= set(e.queries())
     assert e.entry(spark).count() == 1
+
+
+DATA = "/root/testdata/sf0.001"
+
+
+def test_distances_cover_whole_tables(spark):
+    from fairsummary import catalogue, metrics
+    from fairsummary.workloads import FIXTURES, spark_sql, whole
+
+    for name, fixture in (("dist_l1", "emb_m2"), ("dist_linf", "part_shape"), ("dist_inversions", "pref_rank_m2")):
+        f = whole(FIXTURES[fixture])
+        points = {r.ord: r.coords for r in f.points(spark, DATA).collect()}
+        got = {(r.ord, r.query): r.d for r in catalogue.queries()[f"{name}_all"](spark, DATA).collect()}
+        assert set(got) == {(a, b) for a in points for b in points if b < 60} and len(points) > 60
+        kernel = {"dist_l1": lambda x, y: sum(abs(a - b) for a, b in zip(x, y)), "dist_linf": lambda x, y: max(abs(a - b) for a, b in zip(x, y)), "dist_inversions": lambda x, y: (x ^ y).bit_count()}[name]
+        assert all(v == kernel(points[a], points[b]) for (a, b), v in got.items())
+
+
+def test_all_shortest_paths(spark):
+    from fairsummary import catalogue
+
+    got = {(r.ord, r.other): r.d for r in catalogue.queries()["graph_apsp_all"](spark, DATA).collect()}
+    edges = [(r.src, r.dst, r.w) for r in catalogue.queries()["graph_edges_copurchase"](spark, DATA).collect()]
+    nodes = sorted({a for a, _ in got})
+    assert len(nodes) > 40 and len(got) == len(nodes) ** 2
+    n, at = len(nodes), {v: i for i, v in enumerate(nodes)}
+    far = 1 + sum(w for _, _, w in edges)
+    D = np.full((n, n), far)
+    np.fill_diagonal(D, 0)
+    for a, b, w in edges:
+        D[at[a], at[b]] = D[at[b], at[a]] = min(w, D[at[a], at[b]])
+    for k in range(n):
+        D = np.minimum(D, D[:, k : k + 1] + D[k])
+    assert all(d == D[at[a], o] for (a, o), d in got.items())
