@@ -85,6 +85,7 @@ def _cut(f: Fixture) -> str:
 
 #: Radii used where a query fixes one; chosen once from the fixtures' distance ranges.
 TAU = {"emb_m2": 5_000_000, "emb_m4": 5_000_000, "part_shape": 9000, "customer_bal": 150000, "pref_rank_m2": 4, "supplier_bal": 150000, "turn_shape": 120, "doc_letters": 150, "page_shape": 9000, "events": 20000}
+TAU |= {"emb_all_m2": TAU["emb_m2"], "emb_all_m4": TAU["emb_m4"], "pref_rank_all_m2": TAU["pref_rank_m2"]}
 
 
 def _points(name: str, f: Fixture) -> None:
@@ -230,11 +231,14 @@ PAPER = ["ball_matching", "quota_two_pass", "swap_recursive", "two_pass", "distr
 
 
 def _method_queries() -> None:
-    for name in ("emb_m2", "customer_bal"):
+    for name in ("emb_m2", "emb_all_m2", "customer_bal"):
         for m in _runs(name):
             _add(f"{m}_{name}", lambda s, d, name=name, m=m: _rows(s, compare(s, FIXTURES[name].instance(s, d), [m]), _METHOD))
     for name in ("emb_m4", "emb_m10", "li6_m2", "li6_m5", "li6_m10", "pref_rank_m2", "pref_rank_m6", "pref_rank_m12", "pref_score_m2", "pref_score_m6", "pref_score_m12"):
         _add(f"compare_{name}", lambda s, d, name=name: _rows(s, compare(s, FIXTURES[name].instance(s, d), PAPER), _METHOD))
+    for name in ("li6_all_m2", "li6_all_m5", "li6_all_m10", "pref_rank_all_m2", "pref_score_all_m2", "emb_all_m10"):
+        for m in ("two_pass", "distributed"):
+            _add(f"{m}_{name}", lambda s, d, name=name, m=m: _rows(s, compare(s, FIXTURES[name].instance(s, d), [m], 10000), _METHOD))
     _add("distributed_li6_full", lambda s, d: _rows(s, compare(s, FIXTURES["li6_full"].instance(s, d), ["distributed"], 10000), _METHOD))
     _add("distributed_plain_emb", lambda s, d: _rows(s, [(baselines.distributed_plain(FIXTURES["emb_m2"].points(s, d), metrics.L1, 4, 25).cost,)], "cost double"))
     _add("exact_small_supplier", lambda s, d: _rows(s, [_method_row(s, i := FairInstance(FIXTURES["supplier_bal"].points(s, d).where("ord < 18"), metrics.L1, (1, 1, 1, 1, 1)), baselines.exact_small(i), 0.0)], _METHOD))
@@ -288,6 +292,7 @@ def _hardness() -> None:
 
 def _graphs() -> None:
     _add("graph_edges_copurchase", lambda s, d: spark_sql(s, d, graphs.COPURCHASE), duck_sql(graphs.COPURCHASE))
+    _add("graph_edges_copurchase_all", lambda s, d: spark_sql(s, d, graphs.COPURCHASE_ALL), duck_sql(graphs.COPURCHASE_ALL))
 
     def copurchase(s, d):
         nodes = [r.p_partkey for r in spark_sql(s, d, "SELECT p_partkey FROM {part} WHERE p_partkey < 350 ORDER BY 1").collect()]
@@ -359,9 +364,9 @@ def _surroundings() -> None:
 
 for _name, _f in FIXTURES.items():
     _points(_name, _f)
-for _name in ("emb_m2", "emb_m4", "part_shape", "customer_bal", "pref_rank_m2", "supplier_bal", "turn_shape", "page_shape"):
+for _name in ("emb_m2", "emb_m4", "part_shape", "customer_bal", "pref_rank_m2", "supplier_bal", "turn_shape", "page_shape", "emb_all_m2", "emb_all_m4", "pref_rank_all_m2"):
     _building_blocks(_name)
-for _name, _size in (("emb_m2", 25), ("customer_bal", 50), ("turn_shape", 640)):
+for _name, _size in (("emb_m2", 25), ("emb_all_m2", 25), ("customer_bal", 50), ("turn_shape", 640)):
     _blocks(_name, _size)
 _distances()
 _method_queries()

@@ -71,3 +71,6 @@ SELECT DISTINCT a.l_partkey AS src, b.l_partkey AS dst, 1 + (a.l_partkey * 7919
 FROM {lineitem} a JOIN {lineitem} b ON a.l_orderkey = b.l_orderkey AND a.l_partkey < b.l_partkey
 WHERE a.l_partkey < 350 AND b.l_partkey < 350
 """
+
+#: The edges between all parts.
+COPURCHASE_ALL = COPURCHASE.replace("WHERE a.l_partkey < 350 AND b.l_partkey < 350\n", "")

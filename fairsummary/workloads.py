@@ -126,6 +126,19 @@ def whole(f: Fixture) -> Fixture:
     return Fixture(text, f.metric, f.caps)
 
 
+def _census_all(grp: str) -> str:
+    """All line items as six standardised numbers; rows with one key are numbered within it, so nothing gathers in one task."""
+    raw = f"SELECT l.*, o.o_totalprice, o.o_orderpriority, CAST(CAST(l.l_shipdate AS DATE) - CAST(o.o_orderdate AS DATE) AS INTEGER) AS lag FROM {{lineitem}} l JOIN {{orders}} o ON l.l_orderkey = o.o_orderkey"
+    means = ", ".join(f"avg(CAST({c} AS DOUBLE)) AS a{i}, stddev_pop(CAST({c} AS DOUBLE)) AS s{i}" for i, c in enumerate(_SIX))
+    z = ", ".join(f"CAST(round((CAST({c} AS DOUBLE) - a{i}) / s{i} * 1000) AS BIGINT)" for i, c in enumerate(_SIX))
+    return f"WITH y AS ({raw}), m AS (SELECT {means} FROM y) SELECT (l_orderkey * 8 + l_linenumber) * 64 + row_number() OVER (PARTITION BY l_orderkey, l_linenumber ORDER BY {_LINE}) - 1 AS ord, CAST({grp} AS INTEGER) AS grp, LIST({z}) AS coords FROM y CROSS JOIN m"
+
+
+#: The same over whole tables.
+FIXTURES |= {n.replace("_", "_all_", 1) if n.startswith("emb") else n.replace("_m", "_all_m"): whole(FIXTURES[n]) for n in list(FIXTURES) if any(cut in FIXTURES[n].text for cut in _FIRST)}
+FIXTURES |= {f"li6_all_m{len(caps)}": Fixture(_census_all(grp), L1, caps) for grp, caps in ((_STATUS, (2, 2)), (_PRIORITY, (2,) * 5), (f"5 * ({_STATUS}) + {_PRIORITY}", (1,) * 10))}
+
+
 def uniform_cube(spark: SparkSession, n: int, dim: int, m: int, seed: int, top: float = 10000.0) -> DataFrame:
     """n points with dim coordinates drawn from (0, top) and random groups, made where they are used."""
     coords = F.array(*[(F.pmod(F.xxhash64(F.lit(seed), F.col("id"), F.lit(j)), F.lit(1 << 53)) / float(1 << 53) * top) for j in range(dim)])

@@ -183,3 +183,18 @@ def test_all_shortest_paths(spark):
     for k in range(n):
         D = np.minimum(D, D[:, k : k + 1] + D[k])
     assert all(d == D[at[a], o] for (a, o), d in got.items())
+
+
+def test_whole_tables(spark):
+    from fairsummary import catalogue
+    from fairsummary.workloads import FIXTURES
+
+    larger = DATA.replace("0.001", "0.01")  # more than 1000 line items and customers
+    for name, table in (("li6_all_m2", "lineitem"), ("pref_rank_all_m2", "customer"), ("emb_all_m2", "embeddings")):
+        rows = spark.read.parquet(f"{larger}/{table}.parquet").count()
+        points = FIXTURES[name].points(spark, larger)
+        assert points.count() == rows == points.select("ord").distinct().count()
+    z = np.array([r.coords for r in FIXTURES["li6_all_m2"].points(spark, DATA).collect()]) / 1000
+    assert np.abs(z.mean(axis=0)).max() < 0.01 and np.abs(z.std(axis=0) - 1).max() < 0.01
+    far = catalogue.queries()["graph_edges_copurchase_all"](spark, larger).where("dst >= 350").count()
+    assert far > 0
