@@ -29,10 +29,10 @@ def ball_members(points: DataFrame, metric: Metric, pivots: Points, radius: floa
 
 
 def ball_matching(inst: FairInstance, eps: float = 0.1) -> Summary:
-    """Offline: whole balls around separated pivots and a matching, from the farthest-first bound upward.
+    """Offline: the two-pass method with all guesses, from the farthest-first bound upward.
 
     Only which groups a ball reaches decides the matching, so balls come as
-    their first member of each group; their sizes are counted beside.
+    their first member of each group; whole balls are neither gathered nor counted.
     """
     start, high = simple_upper_bound(inst)
     low = farthest_lower_bound(inst.points, inst.metric, inst.k)

@@ -198,3 +198,17 @@ def test_whole_tables(spark):
     assert np.abs(z.mean(axis=0)).max() < 0.01 and np.abs(z.std(axis=0) - 1).max() < 0.01
     far = catalogue.queries()["graph_edges_copurchase_all"](spark, larger).where("dst >= 350").count()
     assert far > 0
+
+
+def test_random_graph_studies(spark):
+    import inspect
+
+    from fairsummary import catalogue
+
+    default = {k: p.default for k, p in inspect.signature(catalogue.ratio_study).parameters.items()}
+    assert (default["n"], default["instances"], len(default["vectors"])) == (500, 20, 8)
+    got = catalogue.ratio_study(spark, n=24, instances=2, vectors=((2, 2), (1, 2, 3))).collect()
+    assert len(got) == 2 * len(catalogue.PAPER) and all(r.runs == 2 and r.largest_cost_ratio >= 1 and r.mean_ratio > 0 for r in got)
+    for caps in ("2,2", "1,2,3"):
+        assert sum(r.wins for r in got if r.capacities == caps) >= 2
+    assert sum(r.runs for r in catalogue.time_study(spark, (12, 16), 1).collect()) == 2 * len(catalogue.PAPER)
