@@ -28,7 +28,7 @@ SCRATCH = 1 << 19
 
 @dataclass(frozen=True)
 class Settings:
-    """``sample`` bounds the labelled documents used for each class; n-grams in less than the share ``seen`` of them (three at least) carry nothing; the rest is the model's shape."""
+    """``sample`` bounds the labelled documents used for each class; n-grams in less than ``seen`` of them carry nothing; the rest is the model's shape."""
 
     sample: int = 1000
     buckets: int = 1 << 16
@@ -38,7 +38,7 @@ class Settings:
     warm: int = 12
     epochs: int = 50
     rate: float = 0.1
-    seen: float = 0.008
+    seen: int = 3
     decay: float = 1e-4
     seed: int = 7
 
@@ -103,7 +103,7 @@ def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> tupl
 
     # first the buckets that enough documents have, then the weights of those alone
     spread = sum(np.bincount(gram, minlength=s.buckets) for _, gram, _ in bags())
-    live = (spread >= max(3, s.seen * len(y))).astype(float)[:, None]
+    live = (spread >= s.seen).astype(float)[:, None]
     total = int(spread[live[:, 0] > 0].sum())
     bag_doc, bag, bag_weight, end = np.empty(total, np.int32), np.empty(total, np.int32), np.empty(total), 0
     for doc, gram, part in bags():

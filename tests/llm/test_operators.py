@@ -145,6 +145,19 @@ def test_toxicity_held_out(spark):
     assert toxicity.digest(t, labels.where("false")).where("predicted = 1").count() == 0
 
 
+def test_toxicity_rare_terms(spark):
+    rng = np.random.default_rng(3)
+    rows = []
+    for i in range(1500):  # one text in 150 has a toxic term of its own
+        filler = " ".join(f"w{x}" for x in rng.integers(0, 40, 12))
+        rows.append(f"{filler} " + (("zyxquork" if i % 150 == 0 else "idiot") if i % 3 == 0 else "morning") + f" {filler}")
+    labels = spark.createDataFrame([(i, 0, int(i % 3 == 0)) for i in range(1500)], "doc_id bigint, quality int, toxic int")
+    got = {r.doc_id: r for r in toxicity.digest(table(spark, rows), labels).collect()}
+    rare = [got[i].predicted for i in range(0, 1500, 150) if got[i].held_out]
+    assert len(rare) > 1 and np.mean(rare) >= 0.8
+    assert np.mean([got[i].predicted for i in range(1500) if i % 3]) < 0.05
+
+
 def test_neighbours(spark):
     rng = np.random.default_rng(1)
     X = rng.normal(size=(900, 8)).astype(np.float32)
