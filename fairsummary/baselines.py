@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections import Counter
 from itertools import combinations
 
 import numpy as np
@@ -11,43 +12,60 @@ from pyspark.sql import functions as F
 
 from . import scans
 from .hitting import complete, hitting_set
-from .methods import _finish, block_summaries, coordinate_at, farthest_lower_bound, geometric_guesses, simple_upper_bound, two_pass
+from .methods import DRIVER_BYTES, _finish, _half_gap, block_summaries, coordinate_at, guesses_between, method, simple_upper_bound, two_pass
 from .metrics import Metric
 from .model import FairInstance, Points, Summary
+from .storage import saved
 
 
-def plain_farthest(points: DataFrame, metric: Metric, k: int) -> Summary:
+def plain_farthest(points: DataFrame | Points, metric: Metric, k: int) -> Summary:
     """Farthest-first centres without regard to groups: at most twice the plain optimum."""
-    centres, _ = scans.farthest_first(points, metric, k)
-    return Summary("plain_farthest", centres, 0.0, scans.cover_distance(points, metric, [centres.coords])[0], len(centres), len(centres), {"passes": k + 1})
-
-
-def ball_members(points: DataFrame, metric: Metric, pivots: Points, radius: float) -> DataFrame:
-    """(pivot, ord, grp) of every point within the radius of a pivot: a theta join against the few broadcast pivots."""
-    few = points.sparkSession.createDataFrame([(o, c) for o, _, c in pivots.rows(metric)], f"pivot bigint, at {metric.coords}")
-    return points.crossJoin(F.broadcast(few)).where(metric.column(F.col("coords"), F.col("at")) <= radius).select("pivot", "ord", "grp")
+    with scans.ledger() as book:
+        centres, _ = scans.farthest_first(points, metric, k)
+        cost = scans.cover_distance(points, metric, [centres.coords])[0]
+    return Summary("plain_farthest", centres, 0.0, cost, len(centres), len(centres), {"passes": book.scans, "evaluations": book.evaluations})
 
 
+@method
 def ball_matching(inst: FairInstance, eps: float = 0.1) -> Summary:
-    """Offline: the two-pass method with all guesses, from the farthest-first bound upward.
+    """Offline: guesses from the farthest-first bound upward, the whole ball around every pivot, a matching of balls and groups.
 
-    Only which groups a ball reaches decides the matching, so balls come as
-    their first member of each group; whole balls are neither gathered nor counted.
+    A ball serves with its member nearest to the pivot; ``stored`` counts the
+    members of all balls of the largest guess, as an offline run holds them.
     """
     start, high = simple_upper_bound(inst)
-    low = farthest_lower_bound(inst.points, inst.metric, inst.k)
-    best = two_pass(inst, eps, "all", low=low if low > 0 else None, name="ball_matching")
-    return best
+    if high == 0 or not len(start):
+        return Summary("ball_matching", start, 0.0, high, 0, 0, {"guesses": 0, "stored": len(start)})
+    found, trace = scans.farthest_first(inst.points, inst.metric, inst.k + 1)
+    guesses = guesses_between(found, inst.k, trace[inst.k] / 2 if len(trace) > inst.k else 0.0, high, inst.metric, eps)
+    pivots, broken, _ = scans.separated_pivots(inst.points, inst.metric, [2 * t for t in guesses], inst.k)
+    alive = [g for g, b in enumerate(broken) if not b]
+    balls = scans.ball_inventory(inst.points, inst.metric, [pivots[g] for g in alive], [guesses[g] for g in alive])
+    stats = {"guesses": len(guesses), "stored": max(n for _, n in balls)}
+    for g, (sets, _) in zip(alive, balls):
+        chosen, hits = hitting_set(sets, inst.caps)
+        if hits == len(sets):
+            return _finish(inst, "ball_matching", chosen, start, guesses[g], hits, len(sets), stats)
+    raise AssertionError("the last guess is at least the optimum")
+
+
+def _few(inst: FairInstance, most: int) -> Points:
+    """All points of a small instance, by ord."""
+    if isinstance(inst.points, Points):
+        found = inst.points.sorted()
+    else:
+        found = Points.of([(r.ord, r.grp, r.coords) for r in inst.points.orderBy("ord").limit(most + 1).collect()], inst.metric)
+    if len(found) > most:
+        raise ValueError(f"more than {most} points")
+    return found
 
 
+@method
 def ball_matching_exact(inst: FairInstance, most: int = 400) -> Summary:
     """Every pairwise distance is a candidate radius: exact, quadratic, for at most ``most`` points."""
-    rows = inst.points.orderBy("ord").limit(most + 1).collect()
-    if len(rows) > most:
-        raise ValueError(f"more than {most} points")
-    all_points = Points.of([(r.ord, r.grp, r.coords) for r in rows], inst.metric)
+    all_points = _few(inst, most)
     d = inst.metric.batch(all_points.coords, all_points.coords).astype(float)
-    for tau in np.unique(d):
+    for n, tau in enumerate(np.unique(d), 1):
         kept: list[int] = []
         for i in range(len(d)):
             if not kept or d[i, kept].min() > 2 * tau:
@@ -57,79 +75,151 @@ def ball_matching_exact(inst: FairInstance, most: int = 400) -> Summary:
         sets = [all_points.take(np.append(i, np.flatnonzero((d[i] <= tau) & (np.arange(len(d)) != i)))) for i in kept]
         chosen, hits = hitting_set(sets, inst.caps)
         if hits == len(sets):
-            return _finish(inst, "ball_matching_exact", chosen, all_points, float(tau), hits, len(sets), {"passes": 2})
-    return _finish(inst, "ball_matching_exact", None, all_points, float(d.max(initial=0)), 0, 0, {"passes": 2})
+            return _finish(inst, "ball_matching_exact", chosen, all_points, float(tau), hits, len(sets), {"guesses": n, "stored": sum(map(len, sets))})
+    return _finish(inst, "ball_matching_exact", None, all_points, float(d.max(initial=0)), 0, 0, {})
 
 
 def quota_two_pass(inst: FairInstance, eps: float = 0.1) -> Summary:
-    """Two passes that store up to a group's capacity around every pivot."""
+    """Two passes that store up to a group's capacity around every pivot, of which the last one kept serves."""
     return two_pass(inst, eps, "all", quota=True, name="quota_two_pass")
 
 
 class OnePassState:
-    """What one stream or shard keeps for a guess: pivots more than 2 tau apart, and around each up to a quota of every group among the arrivals credited to it."""
+    """What one stream or shard keeps for a guess: pivots more than 2 tau apart, and around each up to a quota of every group among the arrivals credited to it.
+
+    More than k pivots break the guess for good; a broken state says so and holds nothing else.
+    """
 
     def __init__(self, metric: Metric, caps: tuple[int, ...], tau: float, lean: bool = False):
         self.metric, self.tau, self.k = metric, tau, sum(caps)
         self.quota = [1] * len(caps) if lean else list(caps)
-        self.pivots: list[tuple] = []
-        self.coords = None
+        self.pivots: Points | None = None
         self.reps: list[dict[int, list[tuple]]] = []
+        self.broken = False
+
+    def insert(self, more: Points) -> None:
+        """Arrivals in the order given."""
+        if self.broken or not len(more):
+            return
+        held = 0 if self.pivots is None else len(self.pivots)
+        credit = np.full(len(more), -1)
+        for p in range(held):
+            near = self.metric.batch(more.coords, self.pivots.coords[p : p + 1])[:, 0] <= 2 * self.tau
+            credit[near & (credit < 0)] = p
+        while (credit < 0).any():  # the first arrival that no pivot covers is one
+            if held == self.k:
+                self.broken, self.pivots, self.reps = True, None, []
+                return
+            at = [int((credit < 0).argmax())]
+            own = more.take(at)
+            self.pivots = own if self.pivots is None else Points.join([self.pivots, own])
+            self.reps.append({})
+            near = self.metric.batch(more.coords, own.coords)[:, 0] <= 2 * self.tau
+            credit[near & (credit < 0)] = held
+            held += 1
+        for p in np.unique(credit).tolist():
+            for g in np.unique(more.grp[credit == p]).tolist():
+                have = self.reps[p].setdefault(g, [])
+                at = np.flatnonzero((credit == p) & (more.grp == g))[: max(0, max(self.quota[g], int(not have)) - len(have))]
+                have += more.take(at).rows(self.metric)
+
+    def rows(self) -> list[tuple[str, int, tuple]]:
+        if self.broken:
+            return [("broken", 0, (0, 0, None))]
+        mine = [] if self.pivots is None else self.pivots.rows(self.metric)
+        return [("pivot", p, r) for p, r in enumerate(mine)] + [("rep", p, r) for p, held in enumerate(self.reps) for have in held.values() for r in have]
+
+
+def one_pass_shards(points: DataFrame | Points, metric: Metric, caps: tuple[int, ...], guesses: list[float], lean: bool = False, shard_size: int | None = None) -> DataFrame | list[tuple]:
+    """What all shards keep for all guesses, in one scan: (g, shard, role, pivot, ord, grp, coords); role "broken" stands for a shard that gave up.
+
+    Shards are ``ord div shard_size`` or, without, the partitions as they are.
+    """
 
-    @property
-    def broken(self) -> bool:
-        return len(self.pivots) > self.k
+    def rows_of(parts, shard: int) -> list[dict]:
+        states = [OnePassState(metric, caps, t, lean) for t in guesses]
+        for b in parts:
+            for state in states:
+                state.insert(b)
+        return [{"g": g, "shard": shard, "role": role, "pivot": p, "ord": r[0], "grp": r[1], "coords": r[2]} for g, state in enumerate(states) for role, p, r in state.rows()]
 
-    def insert(self, ords: np.ndarray, grps: np.ndarray, X: np.ndarray) -> None:
-        for i in range(len(X)):
-            if self.broken:
-                return
-            row = (int(ords[i]), int(grps[i]), self.metric.store(X[i : i + 1])[0])
-            near = None if self.coords is None else self.metric.batch(X[i : i + 1], self.coords)[0]
-            if near is None or near.min() > 2 * self.tau:
-                self.pivots.append(row)
-                self.coords = X[i : i + 1] if self.coords is None else np.concatenate([self.coords, X[i : i + 1]])
-                self.reps.append({row[1]: [row]})
-            else:
-                held = self.reps[int(np.flatnonzero(near <= 2 * self.tau)[0])].setdefault(row[1], [])
-                if len(held) < self.quota[row[1]]:
-                    held.append(row)
-
-    def rows(self) -> list[tuple[str, tuple]]:
-        return [("pivot", p) for p in self.pivots] + [("rep", r) for held in self.reps for have in held.values() for r in have]
-
-
-def one_pass_at(inst: FairInstance, tau: float, lean: bool = False) -> tuple[Points | None, int, int]:
-    """One pass at a guess: every partition is a shard with its own state; the coordinator's 10 tau and 5 tau finish them together."""
-    metric, caps = inst.metric, inst.caps
+    if isinstance(points, Points):
+        own = points.sorted()
+        shards = own.ord // shard_size if shard_size else np.zeros(len(own), np.int64)
+        return [r for b in np.unique(shards).tolist() for r in rows_of([own.take(shards == b)], b)]
+    fields = {"g": pa.int32(), "shard": pa.int64(), "role": pa.string(), "pivot": pa.int32(), "ord": pa.int64(), "grp": pa.int32(), "coords": scans._arrow(metric)}
+    schema = f"g int, shard bigint, role string, pivot int, ord bigint, grp int, coords {metric.coords}"
 
-    def run(it):
-        state = OnePassState(metric, caps, tau, lean)
-        for ords, grps, X in scans._batches(it, metric):
-            state.insert(ords, grps, X)
-        rows = [{"role": role, "ord": r[0], "grp": r[1], "coords": r[2]} for role, r in state.rows()]
-        yield pa.RecordBatch.from_pylist(rows, pa.schema([("role", pa.string()), ("ord", pa.int64()), ("grp", pa.int32()), ("coords", scans._arrow(metric))]))
+    def cut(it):
+        from pyspark import TaskContext
+
+        yield scans._table(rows_of(scans._batches(it, metric), TaskContext.get().partitionId()), fields)
+
+    def whole(table: pa.Table) -> pa.Table:
+        b = Points(table["ord"].to_numpy(), table["grp"].to_numpy(), metric.load(table["coords"].combine_chunks())).sorted()
+        return pa.Table.from_batches([scans._table(rows_of([b], table["shard"][0].as_py()), fields)])
 
-    rows = sorted(inst.points.select("ord", "grp", "coords").mapInArrow(run, f"role string, ord bigint, grp int, coords {metric.coords}").collect(), key=lambda r: r.ord)
-    pivots, reps = (Points.of([(r.ord, r.grp, r.coords) for r in rows if r.role == role], metric) for role in ("pivot", "rep"))
-    return (None, 0, 0) if not len(pivots) else coordinate_at(pivots, reps, metric, caps, tau)
+    if shard_size is None:
+        return points.select("ord", "grp", "coords").sortWithinPartitions("ord").mapInArrow(cut, schema)
+    return points.select(F.floor(F.col("ord") / shard_size).cast("bigint").alias("shard"), "ord", "grp", "coords").groupBy("shard").applyInArrow(whole, schema)
 
 
-def one_pass(inst: FairInstance, eps: float = 0.1, lean: bool = False) -> Summary:
-    """The one-pass method from a simple lower bound upward until a guess succeeds: at most 17 times the optimum."""
-    from .methods import simple_lower_bound
+@method
+def one_pass(inst: FairInstance, eps: float = 0.1, lean: bool = False, shard_size: int | None = None, driver_bytes: int = DRIVER_BYTES) -> Summary:
+    """The one-pass method for all guesses between simple bounds in one scan; the coordinator's 10 tau and 5 tau finish its shards: at most 17 times the optimum.
 
+    A guess that any shard broke has failed, for its other points are not
+    covered.  What the shards keep is collected up to ``driver_bytes``; beyond
+    that it stays a table, over which each guess is finished by scans.
+    """
+    metric, caps = inst.metric, inst.caps
     start, high = simple_upper_bound(inst)
-    low = simple_lower_bound(inst.points, inst.metric, inst.k)
-    for n, tau in enumerate([0.0] if high == 0 else geometric_guesses(low or high / 4096, high, eps), 1):
-        chosen, hits, sets = one_pass_at(inst, tau, lean)
+    if high == 0 or not len(start):
+        return Summary("one_pass", start, 0.0, high, 0, 0, {"guesses": 0, "stored": len(start)})
+    first = scans.first_distinct(inst.points, metric, inst.k + 1)
+    guesses = guesses_between(first, inst.k, _half_gap(first, metric, inst.k), high, metric, eps)
+    shards = one_pass_shards(inst.points, metric, caps, guesses, lean, shard_size)
+    scans._note(0)
+    if not isinstance(shards, list):
+        shards = saved(shards, "shards")
+        size = shards.agg(F.count("*").alias("n"), F.max(F.size("coords") if metric.coords.startswith("array") else F.lit(1)).alias("d")).first()
+        if size.n * ((size.d or 0) + 7) * 8 <= driver_bytes:
+            shards = [r.asDict() for r in shards.collect()]
+    if isinstance(shards, list):
+        failed = {r["g"] for r in shards if r["role"] == "broken"}
+        by: dict[int, dict[str, list]] = {}
+        for r in shards:
+            by.setdefault(r["g"], {}).setdefault(r["role"], []).append(r)
+        stored = Counter((r["g"], r["shard"]) for r in shards if r["g"] not in failed and r["role"] == "rep")
+        most = max(stored.values(), default=0)
+    else:
+        per = shards.groupBy("g", "shard").agg(F.bool_or(F.col("role") == "broken").alias("broken"), F.count_if(F.col("role") == "rep").alias("n"))
+        per = per.groupBy("g").agg(F.bool_or("broken").alias("broken"), F.max("n").alias("n")).collect()
+        failed, most = {r.g for r in per if r.broken}, max((r.n for r in per if not r.broken), default=0)
+    for g, tau in enumerate(guesses):
+        if g in failed:
+            continue
+        if isinstance(shards, list):
+            x, l = (Points.of([(r["ord"], r["grp"], r["coords"]) for r in by[g][role]], metric).sorted() for role in ("pivot", "rep"))
+            chosen, hits, sets = coordinate_at(x, l, metric, caps, tau)
+        else:  # pivots of shards are separated by ord; representatives aggregate where they are
+            x, l = (shards.where((F.col("g") == g) & (F.col("role") == role)) for role in ("pivot", "rep"))
+            with scans.aside():
+                (kept,), (broken,), _ = scans.separated_pivots(x, metric, [10 * tau], inst.k)
+                if broken:
+                    continue
+                (near,) = scans.group_reps(l, metric, [kept], [5 * tau])
+            chosen, hits = hitting_set(near, caps)
+            sets = len(near)
         if chosen is not None and hits == sets:
-            return _finish(inst, "one_pass", chosen, start, tau, hits, sets, {"passes": n + 3, "guesses": n})
-    return _finish(inst, "one_pass", None, start, high, 0, 0, {"passes": n + 3, "guesses": n})
+            return _finish(inst, "one_pass", chosen, start, tau, hits, sets, {"guesses": len(guesses), "stored": most})
+    raise AssertionError("the last guess is at least the optimum")
 
 
-def _within(points: DataFrame, metric: Metric, centres: np.ndarray, allowed: set[int]) -> DataFrame:
+def _within(points: DataFrame | Points, metric: Metric, centres: np.ndarray, allowed: set[int]) -> DataFrame | Points:
     """The points whose nearest centre (the first of several) is allowed; a narrow filter."""
+    if isinstance(points, Points):
+        return points.take(np.isin(metric.batch(points.coords, centres).argmin(1), list(allowed)))
 
     def run(it):
         for batch in it:
@@ -140,39 +230,51 @@ def _within(points: DataFrame, metric: Metric, centres: np.ndarray, allowed: set
     return points.select("ord", "grp", "coords").mapInArrow(run, f"ord bigint, grp int, coords {metric.coords}")
 
 
-def _inventory(points: DataFrame, metric: Metric, centres: np.ndarray) -> dict[tuple[int, int], tuple]:
+def _inventory(points: DataFrame | Points, metric: Metric, centres: np.ndarray) -> dict[tuple[int, int], tuple]:
     """First point by ord of every (cluster, group)."""
 
-    def run(it):
+    def first_of(parts) -> dict[tuple[int, int], tuple]:
         best: dict[tuple[int, int], tuple] = {}
-        for ords, grps, X in scans._batches(it, metric):
-            near = metric.batch(X, centres).argmin(1) if len(X) else []
-            for i in np.argsort(ords, kind="stable"):
-                key = (int(near[i]), int(grps[i]))
-                if key not in best or ords[i] < best[key][0]:
-                    best[key] = (int(ords[i]), metric.store(X[i : i + 1])[0])
-        yield pa.RecordBatch.from_pylist([{"c": c, "grp": g, "ord": o, "coords": x} for (c, g), (o, x) in best.items()], pa.schema([("c", pa.int32()), ("grp", pa.int32()), ("ord", pa.int64()), ("coords", scans._arrow(metric))]))
+        for b in parts:
+            if not len(b):
+                continue
+            near = metric.batch(b.coords, centres).argmin(1)
+            for c in np.unique(near).tolist():
+                for g in np.unique(b.grp[near == c]).tolist():
+                    own = np.flatnonzero((near == c) & (b.grp == g))
+                    at = own[b.ord[own].argmin()]
+                    if (c, g) not in best or b.ord[at] < best[c, g][0]:
+                        best[c, g] = (int(b.ord[at]), g, metric.store(b.coords[at : at + 1])[0])
+        return best
+
+    if isinstance(points, Points):
+        scans._note(len(points) * len(centres))
+        return first_of([points])
+
+    def run(it):
+        best = first_of(scans._batches(it, metric))
+        yield scans._table([{"c": c, "grp": g, "ord": o, "coords": x} for (c, g), (o, _, x) in best.items()], {"c": pa.int32(), "grp": pa.int32(), "ord": pa.int64(), "coords": scans._arrow(metric)})
 
     rows = points.select("ord", "grp", "coords").mapInArrow(run, f"c int, grp int, ord bigint, coords {metric.coords}")
     rows = rows.groupBy("c", "grp").agg(F.min_by(F.struct("ord", "coords"), "ord").alias("x")).collect()
+    scans._note(0)
     return {(r.c, r.grp): (r.x.ord, r.grp, r.x.coords) for r in rows}
 
 
+@method
 def swap_recursive(inst: FairInstance) -> Summary:
     """Farthest-first centres, then swaps inside clusters along shortest paths of the group graph; where over-full groups reach no free one, the clusters they reach are solved again with the other centres fixed."""
     metric = inst.metric
 
-    def solve(points: DataFrame, caps: list[int], fixed: list[tuple], depth: int) -> list[tuple]:
-        present = {r.grp for r in points.select("grp").distinct().collect()}
+    def solve(points, caps: list[int], fixed: list[tuple], depth: int) -> list[tuple]:
+        present = set(points.grp.tolist()) if isinstance(points, Points) else {r.grp for r in points.select("grp").distinct().collect()}
         room = [c if j in present else 0 for j, c in enumerate(caps)]
         if not sum(room):
             return []
         known = Points.of(fixed, metric) if fixed else None
         centres = scans.farthest_first(points, metric, sum(room), known)[0].rows(metric)
-        if len([c for c in room if c]) <= 1:
+        if len(present) <= 1 or not centres:
             return centres
-        if not centres:
-            return []
         everyone = Points.of([*centres, *fixed], metric).coords
         stock = _inventory(points, metric, everyone)
         while True:
@@ -204,13 +306,13 @@ def swap_recursive(inst: FairInstance) -> Summary:
 
     chosen = Points.of(solve(inst.points, list(inst.caps), [], 0), metric)
     start = scans.first_of_groups(inst.points, metric, inst.caps)
-    return _finish(inst, "swap_recursive", chosen, start, 0.0, len(chosen), inst.k, {})
+    return _finish(inst, "swap_recursive", chosen, start, 0.0, len(chosen), inst.k, {"stored": inst.k * (len(inst.caps) + 1)})
 
 
-def distributed_plain(points: DataFrame, metric: Metric, k: int, block_size: int) -> Summary:
+def distributed_plain(points: DataFrame | Points, metric: Metric, k: int, block_size: int) -> Summary:
     """Farthest-first in every block, then farthest-first on what was sent: at most four times the plain optimum."""
-    sent = sorted(block_summaries(points, metric, k, block_size=block_size, reps=False).collect(), key=lambda r: r.ord)
-    X = Points.of([(r.ord, r.grp, r.coords) for r in sent], metric)
+    sent = block_summaries(points, metric, k, block_size=block_size, reps=False)
+    X = Points.join([x[3] for x in sent]).sorted() if isinstance(sent, list) else Points.of([(r.ord, r.grp, r.coords) for r in sorted(sent.collect(), key=lambda r: r.ord)], metric)
     picked, low = [], np.full(len(X), np.inf)
     while len(picked) < min(k, len(X)) and low.max(initial=0) > 0:
         picked.append(int(low.argmax()) if picked else 0)
@@ -219,18 +321,16 @@ def distributed_plain(points: DataFrame, metric: Metric, k: int, block_size: int
     return Summary("distributed_plain", centres, 0.0, scans.cover_distance(points, metric, [centres.coords])[0], len(picked), len(picked), {"sent": len(X), "passes": 2})
 
 
+@method
 def arbitrary_feasible(inst: FairInstance) -> Summary:
     """The first points of every group."""
     chosen, cost = simple_upper_bound(inst)
-    return Summary("arbitrary_feasible", chosen, 0.0, cost, 0, 0, {"passes": 2})
+    return Summary("arbitrary_feasible", chosen, 0.0, cost, 0, 0, {"stored": len(chosen)})
 
 
 def exact_small(inst: FairInstance, most: int = 24) -> Summary:
     """The optimum by trying every feasible set of full size; for at most ``most`` points."""
-    rows = inst.points.orderBy("ord").limit(most + 1).collect()
-    if len(rows) > most:
-        raise ValueError(f"more than {most} points")
-    P = Points.of([(r.ord, r.grp, r.coords) for r in rows], inst.metric)
+    P = _few(inst, most)
     d = inst.metric.batch(P.coords, P.coords).astype(float)
     room = [min(c, int((P.grp == j).sum())) for j, c in enumerate(inst.caps)]
     best = (np.inf, ())
@@ -239,5 +339,3 @@ def exact_small(inst: FairInstance, most: int = 24) -> Summary:
             best = min(best, (float(d[:, chosen].min(1).max()) if chosen else np.inf, chosen))
     return Summary("exact_small", P.take(list(best[1])), best[0], best[0], 0, 0, {})
 
-
-METHODS = {"ball_matching": ball_matching, "quota_two_pass": quota_two_pass, "swap_recursive": swap_recursive, "two_pass": two_pass}

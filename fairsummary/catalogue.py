@@ -3,17 +3,18 @@
 from __future__ import annotations
 
 import math
-import time
 from collections.abc import Callable
+from contextlib import nullcontext
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import baselines, graphs, hardness, methods, metrics, relational, scans
+from . import baselines, graphs, hardness, methods, metrics, oracles as sql, relational, scans, studies
 from .hitting import certificate, hitting_set
-from .model import FairInstance, Points
+from .model import FairInstance, Points, Summary
 from .session import find_package
+from .storage import saved, scratch
 from .workloads import FIXTURES, Fixture, duck_sql, spark_sql, whole
 
 FLAGSHIP = "two_pass_emb_m2"
@@ -21,9 +22,12 @@ _QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 _ORACLES: dict[str, str] = {}
 
 
-def _add(name: str, query: Callable[[SparkSession, str], DataFrame], oracle: str | None = None) -> None:
+def _add(name: str, query: Callable[[SparkSession, str], DataFrame], oracle: str | None = None, lazy: bool = False) -> None:
+    """``lazy`` queries return a plan over the tables; the others return rows of the driver, and what they saved goes with them."""
+
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return query(find_package(spark), sf_dir)
+        with nullcontext() if lazy else scratch():
+            return query(find_package(spark), sf_dir)
 
     _QUERIES[name] = run
     if oracle:
@@ -92,7 +96,7 @@ TAU |= {"emb_all_m2": TAU["emb_m2"], "emb_all_m4": TAU["emb_m4"], "pref_rank_all
 def _points(name: str, f: Fixture) -> None:
     many = f.metric.coords.startswith("array")
     flat = (lambda d: d.select("ord", "grp", F.array_join(F.transform("coords", lambda x: x.cast("string")), ",").alias("coords"))) if many else (lambda d: d)
-    _add(f"points_{name}", lambda s, d: flat(f.points(s, d)), f"SELECT ord, grp, {'array_to_string(coords, chr(44))' if many else 'coords'} AS coords FROM ({f.duck}) q")
+    _add(f"points_{name}", lambda s, d: flat(f.points(s, d)), f"SELECT ord, grp, {'array_to_string(coords, chr(44))' if many else 'coords'} AS coords FROM ({f.duck}) q", lazy=True)
 
 
 def _building_blocks(name: str) -> None:
@@ -115,13 +119,16 @@ def _building_blocks(name: str) -> None:
     _add(f"cover_assignment_{name}", assigned, f"WITH {_first(f)}, {near} SELECT ord, grp, centre, d FROM (SELECT *, row_number() OVER (PARTITION BY ord ORDER BY d, centre) AS r FROM n) x WHERE r = 1")
     _add(f"cost_per_group_{name}", lambda s, d: assigned(s, d).groupBy("grp").agg(F.max("d").alias("cost")), f"WITH {_first(f)}, {near} SELECT grp, max(d) AS cost FROM (SELECT ord, grp, min(d) AS d FROM n GROUP BY ord, grp) x GROUP BY grp")
 
+    def points_of(s, d):
+        return saved(f.points(s, d).repartition(4), "points")
+
     def low(s, d):
-        return _rows(s, [(methods.simple_lower_bound(f.points(s, d), metric, k),)], "low double")
+        return _rows(s, [(methods.simple_lower_bound(points_of(s, d), metric, k),)], "low double")
 
     _add(f"simple_lower_bound_{name}", low, f"WITH RECURSIVE {_greedy(f, 0, k + 1)}, q AS (SELECT p.ord, p.coords FROM p JOIN piv ON pv = ord) SELECT CASE WHEN (SELECT count(*) FROM q) <= {k} THEN 0.0 ELSE (SELECT CAST(min({metric.sql('a.coords', 'b.coords')}) AS DOUBLE) / 2 FROM q a JOIN q b ON a.ord < b.ord) END AS low")
 
     def pivots(s, d, r=2 * tau):
-        (found,), _, _ = scans.separated_pivots(f.points(s, d).repartition(4), metric, [r], None)
+        (found,), _, _ = scans.separated_pivots(points_of(s, d), metric, [r], None)
         return found
 
     _add(f"separated_pivots_{name}", lambda s, d: _rows(s, list(enumerate(pivots(s, d).ord.tolist(), 1)), "step bigint, pivot bigint"), f"WITH RECURSIVE {_greedy(f, 2 * tau, 10**6)} SELECT step, pv AS pivot FROM piv")
@@ -135,30 +142,29 @@ def _building_blocks(name: str) -> None:
     base = f"WITH RECURSIVE {_greedy(f, 2 * tau, 10**6)}, "
     _add(f"group_reps_{name}", reps, base + _reps(f, tau) + " SELECT pv AS pivot, grp, ord AS rep FROM rep")
     _add(f"quota_reps_{name}", lambda s, d: reps(s, d, f.caps), base + _reps(f, tau, True) + " SELECT pv AS pivot, grp, ord AS rep FROM rep")
-    _add(f"ball_members_{name}", lambda s, d: baselines.ball_members(f.points(s, d), metric, pivots(s, d), tau), base.removesuffix(", ") + f" SELECT piv.pv AS pivot, a.ord, a.grp FROM piv JOIN p b ON b.ord = piv.pv JOIN p a ON {metric.sql('a.coords', 'b.coords')} <= {tau!r}")
+    _add(f"ball_members_{name}", lambda s, d: scans.ball_members(f.points(s, d), metric, [pivots(s, d)], [tau]).select("pivot", "ord", "grp"), base.removesuffix(", ") + f" SELECT piv.pv AS pivot, a.ord, a.grp FROM piv JOIN p b ON b.ord = piv.pv JOIN p a ON {metric.sql('a.coords', 'b.coords')} <= {tau!r}")
 
     def hits(s, d):
-        points = f.points(s, d)
-        (sets,) = scans.group_reps(points, metric, [pivots(s, d)], [tau])
+        (sets,) = scans.group_reps(f.points(s, d), metric, [pivots(s, d)], [tau])
         edges = [set(x.grp.tolist()) for x in sets]
         return _rows(s, [(len(sets), hitting_set(sets, f.caps)[1], hitting_set(sets, f.caps, "slots")[1], hitting_set(sets, f.caps, "canonical")[1], certificate(edges, f.caps))], "sets bigint, flow bigint, slots bigint, canonical bigint, cut bigint")
 
     _add(f"hitting_set_{name}", hits, base + _reps(f, tau) + ", " + _cut(f) + " SELECT (SELECT count(*) FROM masks) AS sets, CAST(min(v) AS BIGINT) AS flow, CAST(min(v) AS BIGINT) AS slots, CAST(min(v) AS BIGINT) AS canonical, CAST(min(v) AS BIGINT) AS cut FROM cuts")
 
     def traversal(s, d):
-        found, trace = scans.farthest_first(f.points(s, d), metric, k + 1)
+        found, trace = scans.farthest_first(points_of(s, d), metric, k + 1)
         return _rows(s, [(i, int(o), None if math.isinf(t) else t) for i, (o, t) in enumerate(zip(found.ord, trace), 1)], "step bigint, ord bigint, far double")
 
     _add(f"farthest_first_{name}", traversal, f"WITH RECURSIVE {_farthest(f, k + 1)} SELECT step, pv AS ord, CASE WHEN step = 1 THEN NULL ELSE far END AS far FROM piv")
-    _add(f"farthest_lower_bound_{name}", lambda s, d: _rows(s, [(methods.farthest_lower_bound(f.points(s, d), metric, k),)], "low double"), f"WITH RECURSIVE {_farthest(f, k + 1)} SELECT coalesce(max(CASE WHEN step = {k + 1} THEN far / 2 END), 0.0) AS low FROM piv")
-    _add(f"plain_farthest_{name}", lambda s, d: _rows(s, [(baselines.plain_farthest(f.points(s, d), metric, k).cost,)], "cost double"), f"WITH RECURSIVE {_farthest(f, k)}, c AS (SELECT p.coords FROM p JOIN piv ON pv = ord) SELECT CAST(max(d) AS DOUBLE) AS cost FROM (SELECT a.ord, min({metric.sql('a.coords', 'c.coords')}) AS d FROM p a, c GROUP BY a.ord) x")
+    _add(f"farthest_lower_bound_{name}", lambda s, d: _rows(s, [(methods.farthest_lower_bound(points_of(s, d), metric, k),)], "low double"), f"WITH RECURSIVE {_farthest(f, k + 1)} SELECT coalesce(max(CASE WHEN step = {k + 1} THEN far / 2 END), 0.0) AS low FROM piv")
+    _add(f"plain_farthest_{name}", lambda s, d: _rows(s, [(baselines.plain_farthest(points_of(s, d), metric, k).cost,)], "cost double"), f"WITH RECURSIVE {_farthest(f, k)}, c AS (SELECT p.coords FROM p JOIN piv ON pv = ord) SELECT CAST(max(d) AS DOUBLE) AS cost FROM (SELECT a.ord, min({metric.sql('a.coords', 'c.coords')}) AS d FROM p a, c GROUP BY a.ord) x")
 
     guesses = [tau * 1.5**i for i in range(-2, 3)]
 
     def trace(s, d):
         out = []
-        points = scans.ordered(f.points(s, d))
-        found, broken, _ = scans.separated_pivots(points, metric, [2 * t for t in guesses], k, ranged=True)
+        points = points_of(s, d)
+        found, broken, _ = scans.separated_pivots(points, metric, [2 * t for t in guesses], k)
         alive = [g for g, b in enumerate(broken) if not b]
         sets = dict(zip(alive, scans.group_reps(points, metric, [found[g] for g in alive], [guesses[g] for g in alive])))
         for g, t in enumerate(guesses):
@@ -192,59 +198,172 @@ rep AS (SELECT block, step, min(ord) AS ord FROM near WHERE grp <> pgrp GROUP BY
     _add(f"message_sizes_{name}", lambda s, d: message(s, d).groupBy("block").agg(F.count_distinct("ord").alias("sent")), run + rep + " SELECT block, count(DISTINCT ord) AS sent FROM rep GROUP BY block")
 
 
-def _method_row(s: SparkSession, inst: FairInstance, summary, low: float) -> tuple:
-    count = [int((summary.centres.grp == j).sum()) for j in range(len(inst.caps))]
-    return (summary.method, float(summary.tau), float(summary.cost), summary.cost / low if low else None, len(summary.centres), all(c <= q for c, q in zip(count, inst.caps)), int(summary.stats.get("passes", 0)), int(summary.stats.get("guesses", 0)), int(summary.stats.get("sent", 0)))
-
+_METHOD = "method string, tau double, cost double, ratio double, centres int, group_counts string, feasible boolean, hits int, sets int, guesses int, stored bigint, sent bigint, chosen string"
+
+
+def method_row(caps: tuple[int, ...], summary: Summary, low: float) -> tuple:
+    """A method's result: ratio is cost to the farthest-first bound; stored and sent are points; chosen lists the centres by ord."""
+    count = [int((summary.centres.grp == j).sum()) for j in range(len(caps))]
+    st = summary.stats
+    return (summary.method, round(float(summary.tau), 6), float(summary.cost), round(summary.cost / low, 6) if low else None, len(summary.centres), ",".join(map(str, count)), all(c <= q for c, q in zip(count, caps)), int(summary.hits), int(summary.sets), int(st.get("guesses", 0)), int(st.get("stored", 0)), int(st.get("sent", 0)), ",".join(map(str, sorted(summary.centres.ord.tolist()))))
+
+
+#: Points of a block in the comparisons, and of a shard of the one-pass method.
+BLOCK, SHARD = 25, 125
+
+
+def _run(name: str, inst: FairInstance, block: int = BLOCK) -> Summary:
+    summary = {
+        "two_pass": lambda: methods.two_pass(inst),
+        "two_pass_first": lambda: methods.two_pass(inst, search="first_success"),
+        "two_pass_bisect": lambda: methods.two_pass(inst, search="bisect"),
+        "two_pass_best_cost": lambda: methods.two_pass(inst, search="best_cost"),
+        "two_pass_any_order": lambda: methods.two_pass(inst, mode="any"),
+        "two_pass_relay": lambda: methods.two_pass(inst, search="relay"),
+        "distributed": lambda: methods.distributed(inst, block_size=block),
+        "distributed_scale1": lambda: methods.distributed(inst, block_size=block, scale=1.0),
+        "distributed_widest": lambda: methods.distributed(inst, block_size=block, ordering="widest_first"),
+        "ball_matching": lambda: baselines.ball_matching(inst),
+        "quota_two_pass": lambda: baselines.quota_two_pass(inst),
+        "one_pass": lambda: baselines.one_pass(inst, shard_size=SHARD),
+        "one_pass_lean": lambda: baselines.one_pass(inst, lean=True, shard_size=SHARD),
+        "swap_recursive": lambda: baselines.swap_recursive(inst),
+        "arbitrary_feasible": lambda: baselines.arbitrary_feasible(inst),
+    }[name]()
+    summary.method = name
+    return summary
+
+
+def _method_sql(f: Fixture, name: str, block: int = BLOCK) -> str | None:
+    makers = {
+        "two_pass": lambda: sql.two_pass(f, name),
+        "two_pass_first": lambda: sql.two_pass(f, name, "first_success"),
+        "two_pass_bisect": lambda: sql.two_pass(f, name, "bisect"),
+        "two_pass_best_cost": lambda: sql.two_pass(f, name, "best_cost"),
+        "distributed": lambda: sql.distributed(f, name, block),
+        "distributed_scale1": lambda: sql.distributed(f, name, block, 1.0),
+        "distributed_widest": lambda: sql.distributed(f, name, block, widest=True),
+        "ball_matching": lambda: sql.two_pass(f, name, kind="nearest", low="low11"),
+        "quota_two_pass": lambda: sql.two_pass(f, name, kind="quota"),
+        "arbitrary_feasible": lambda: sql.arbitrary(f, name),
+        "one_pass": lambda: sql.one_pass(f, name, SHARD),
+        "one_pass_lean": lambda: sql.one_pass(f, name, SHARD, lean=True),
+    }
+    return makers[name]() if name in makers else None
 
-_METHOD = "method string, tau double, cost double, ratio double, centres int, feasible boolean, passes int, guesses int, sent int"
 
+ALL = ["two_pass", "two_pass_first", "two_pass_bisect", "two_pass_best_cost", "two_pass_any_order", "two_pass_relay", "distributed", "distributed_scale1", "distributed_widest", "ball_matching", "quota_two_pass", "one_pass", "one_pass_lean", "swap_recursive", "arbitrary_feasible"]
+#: The methods of the published comparison; the last one has no SQL form.
+PAPER = ["two_pass", "distributed", "ball_matching", "quota_two_pass", "swap_recursive"]
 
-def _runs(name: str, block: int = 25) -> dict[str, Callable]:
-    return {
-        "two_pass": lambda i: methods.two_pass(i),
-        "two_pass_first": lambda i: methods.two_pass(i, search="first_success", name="two_pass_first"),
-        "two_pass_bisect": lambda i: methods.two_pass(i, search="bisect", name="two_pass_bisect"),
-        "two_pass_best_cost": lambda i: methods.two_pass(i, search="best_cost", name="two_pass_best_cost"),
-        "two_pass_relay": lambda i: methods.two_pass(i, search="relay"),
-        "distributed": lambda i: methods.distributed(i, block_size=block),
-        "distributed_scale1": lambda i: methods.distributed(i, block_size=block, scale=1.0, name="distributed_scale1"),
-        "distributed_widest": lambda i: methods.distributed(i, block_size=block, ordering="widest_first", name="distributed_widest"),
-        "ball_matching": baselines.ball_matching,
-        "quota_two_pass": baselines.quota_two_pass,
-        "one_pass": baselines.one_pass,
-        "swap_recursive": baselines.swap_recursive,
-        "arbitrary_feasible": baselines.arbitrary_feasible,
-    }
 
+def compare(s: SparkSession, inst: FairInstance, which: list[str], block: int = BLOCK) -> list[tuple]:
+    """A row for each method on one instance."""
+    inst = inst.prepared().validate()
+    low = methods.farthest_lower_bound(inst.points, inst.metric, inst.k)
+    return [method_row(inst.caps, _run(m, inst, block), low) for m in which]
 
-def compare(s: SparkSession, inst: FairInstance, which: list[str] | None = None, block: int = 25) -> list[tuple]:
-    """A row for each method on one instance, with its ratio to the farthest-first bound."""
-    from .storage import saved
 
-    inst = FairInstance(saved(inst.points, "points"), inst.metric, inst.caps).validate()
-    low = methods.farthest_lower_bound(inst.points, inst.metric, inst.k)
-    runs = _runs("", block)
-    return [_method_row(s, inst, runs[m](inst), low) for m in which or runs]
+def _compared(key: str, fixture: str, which: list[str], block: int = BLOCK, oracle: bool = True) -> None:
+    f = FIXTURES[fixture]
+    texts = [_method_sql(f, m, block) for m in which] if oracle else [None]
+    _add(key, lambda s, d: _rows(s, compare(s, f.instance(s, d), which, block), _METHOD), None if None in texts else " UNION ALL ".join(texts))
 
 
-PAPER = ["ball_matching", "quota_two_pass", "swap_recursive", "two_pass", "distributed"]
+REAL = ["emb_m2", "emb_m4", "emb_m10", "li6_m2", "li6_m5", "li6_m10", "pref_rank_m2", "pref_rank_m6", "pref_rank_m12", "pref_score_m2", "pref_score_m6", "pref_score_m12"]
 
 
 def _method_queries() -> None:
-    for name in ("emb_m2", "emb_all_m2", "customer_bal"):
-        for m in _runs(name):
-            _add(f"{m}_{name}", lambda s, d, name=name, m=m: _rows(s, compare(s, FIXTURES[name].instance(s, d), [m]), _METHOD))
-    for name in ("emb_m4", "emb_m10", "li6_m2", "li6_m5", "li6_m10", "pref_rank_m2", "pref_rank_m6", "pref_rank_m12", "pref_score_m2", "pref_score_m6", "pref_score_m12"):
-        _add(f"compare_{name}", lambda s, d, name=name: _rows(s, compare(s, FIXTURES[name].instance(s, d), PAPER), _METHOD))
-    for name in ("li6_all_m2", "li6_all_m5", "li6_all_m10", "pref_rank_all_m2", "pref_score_all_m2", "emb_all_m10"):
-        for m in ("two_pass", "distributed"):
-            _add(f"{m}_{name}", lambda s, d, name=name, m=m: _rows(s, compare(s, FIXTURES[name].instance(s, d), [m], 10000), _METHOD))
-    _add("distributed_li6_full", lambda s, d: _rows(s, compare(s, FIXTURES["li6_full"].instance(s, d), ["distributed"], 10000), _METHOD))
-    _add("distributed_plain_emb", lambda s, d: _rows(s, [(baselines.distributed_plain(FIXTURES["emb_m2"].points(s, d), metrics.L1, 4, 25).cost,)], "cost double"))
-    _add("exact_small_supplier", lambda s, d: _rows(s, [_method_row(s, i := FairInstance(FIXTURES["supplier_bal"].points(s, d).where("ord < 18"), metrics.L1, (1, 1, 1, 1, 1)), baselines.exact_small(i), 0.0)], _METHOD))
-    _add("ball_matching_exact_supplier", lambda s, d: _rows(s, [_method_row(s, i := FIXTURES["supplier_bal"].instance(s, d), baselines.ball_matching_exact(i, 1000), 0.0)], _METHOD))
-    _add("fair_rank", lambda s, d: methods.two_pass(FIXTURES["pref_rank_m2"].instance(s, d)).frame(s, metrics.INVERSIONS))
+    for name in ("emb_m2", "customer_bal", "nation_trade"):
+        for m in ALL:
+            _compared(f"{m}_{name}", name, [m])
+    for name in REAL:
+        _compared(f"compare_{name}", name, PAPER[:4])
+        _compared(f"compare_swap_{name}", name, PAPER[4:])
+    for name in ("emb_all_m2", "emb_all_m10", "pref_rank_all_m2", "pref_rank_all_m6", "pref_score_all_m2", "doc_letters", "doc_labels", "turn_shape", "page_shape"):
+        _compared(f"compare_{name}", name, [*PAPER[:4], "one_pass"])
+    for name in ("li6_all_m2", "li6_all_m5", "li6_all_m10", "li6_full"):  # a block spans ids of 10000 line items, as rows of one order share a range of 512
+        _compared(f"distributed_{name}", name, ["distributed"], 1_280_000)
+        _compared(f"two_pass_{name}", name, ["two_pass"], oracle=False)
+    emb, nation = FIXTURES["emb_m2"], FIXTURES["nation_trade"]
+
+    def plain(s, d):
+        found = baselines.distributed_plain(emb.points(s, d), metrics.L1, 4, BLOCK)
+        return _rows(s, [(found.cost, int(found.stats["sent"]))], "cost double, sent bigint")
+
+    _add("distributed_plain_emb", plain, sql.plain(emb, BLOCK))
+
+    def one_group(f: Fixture) -> Fixture:
+        return Fixture(f"SELECT ord, 0 AS grp, coords FROM ({f.text}) g", f.metric, (sum(f.caps),))
+
+    for m in ("two_pass", "distributed"):  # plain centres: a single group
+        FIXTURES["emb_single"] = one_group(emb)
+        _compared(f"{m}_emb_single", "emb_single", [m])
+
+    def exact(s, d):
+        found = baselines.exact_small(nation.instance(s, d), 25)
+        return _rows(s, [("exact_small", found.cost, ",".join(map(str, sorted(found.centres.ord.tolist()))))], "method string, cost double, chosen string")
+
+    _add("exact_small_nation", exact, sql.exact_ones(nation, "exact_small"))
+
+    def true_ratios(s, d):
+        inst = nation.instance(s, d).prepared()
+        best = baselines.exact_small(inst, 25).cost
+        return _rows(s, [(m, (x := _run(m, inst, 5)).cost, best, x.cost / best) for m in ALL], "method string, cost double, optimum double, true_ratio double")
+
+    _add("true_ratio_nation", true_ratios)
+
+    def ball_exact(s, d):
+        inst = FIXTURES["supplier_bal"].instance(s, d).prepared()
+        return _rows(s, [method_row(inst.caps, baselines.ball_matching_exact(inst, 1000), methods.farthest_lower_bound(inst.points, inst.metric, inst.k))], _METHOD)
+
+    _add("ball_matching_exact_supplier", ball_exact, sql.ball_exact(FIXTURES["supplier_bal"], "ball_matching_exact"))
+    ranks = FIXTURES["pref_rank_all_m6"]
+    for m in ("two_pass", "distributed"):
+
+        def ranked(s, d, m=m):
+            inst = ranks.instance(s, d)
+            found = _run(m, inst).centres
+            return _rows(s, sorted((int(o), int(g), int(c)) for o, g, c in found.rows(metrics.INVERSIONS)), "ord bigint, grp int, ranking bigint")
+
+        _add(f"fair_rank_{m}", ranked, f"SELECT q.ord, q.grp, q.coords AS ranking FROM ({ranks.duck}) q WHERE q.ord IN (SELECT CAST(unnest(string_split(chosen, ',')) AS BIGINT) FROM ({_method_sql(ranks, m)}) w)")
+    guesses = 12
+    for name, block in (("emb_m2", BLOCK), ("customer_bal", BLOCK), ("pref_rank_m6", BLOCK)):
+        f = FIXTURES[name]
+        _add(f"coordinator_trace_{name}", lambda s, d, f=f, block=block: _rows(s, coordinator_trace(f.instance(s, d), block, guesses), "guess int, tau double, pivots bigint, success boolean"), sql.coordinator_trace(f, block, guesses))
+
+    def measured(s, d):
+        inst = emb.instance(s, d).prepared()
+        rows = [(m, int((x := _run(m, inst)).stats["passes"]), int(x.stats["evaluations"]), int(x.stats.get("rounds", 0))) for m in ALL]
+        return _rows(s, rows, "method string, passes int, evaluations bigint, rounds int")
+
+    _add("measures_emb_m2", measured)
+
+    def sweep(s, d):
+        inst = FIXTURES["customer_bal"].instance(s, d).prepared()
+        n, best = inst.points.count(), None
+        best = methods.optimal_blocks(n, len(inst.caps), inst.k)
+        out = []
+        for blocks in sorted({1, max(1, best // 4), best, 4 * best, round(math.sqrt(n)), max(1, n // 25)}):
+            x = methods.distributed(inst, block_size=-(-n // blocks) + 1)
+            out.append((blocks, blocks == best, float(x.cost), int(x.stats["sent"]), int(x.stats["stored"])))
+        return _rows(s, out, "blocks int, balanced boolean, cost double, sent bigint, largest_message bigint")
+
+    _add("block_count_sweep", sweep)
+    _add("cube_methods", lambda s, d: studies.cube(s))
+
+
+def coordinator_trace(inst: FairInstance, block: int, guesses: int) -> list[tuple]:
+    """(guess, tau, pivots, success) of the coordinator's first guesses."""
+    rows = sorted(methods.block_summaries(inst.points, inst.metric, inst.k, block_size=block).collect(), key=lambda r: (r.block, r.pivot, r.ord))
+    pivots, reps = (Points.of([(r.ord, r.grp, r.coords) for r in rows if r.role == role], inst.metric) for role in ("pivot", "rep"))
+    out = []
+    for g in range(guesses):
+        tau = max(r.r for r in rows) / 5.1 * 1.1**g
+        kept = methods.separated_at(pivots, inst.metric, 10 * tau, inst.k)
+        chosen, hits, sets = methods.coordinate_at(pivots, reps, inst.metric, inst.caps, tau)
+        out.append((g, round(tau, 6), len(kept), chosen is not None and hits == sets))
+    return out
 
 
 def _distances() -> None:
@@ -291,42 +410,6 @@ def _hardness() -> None:
     _add("hard_instance_amplified", lambda s, d: hardness.amplified(s, 2, hardness.amplification_factor(0.5, 0.001)).groupBy("class").agg(F.count("*").alias("n")), f"SELECT CAST(CASE WHEN i < 7 THEN i ELSE 7 + (i - 7) // 6 END AS INTEGER) AS class, count(*) * {hardness.amplification_factor(0.5, 0.001)} AS n FROM range(0, 25) t(i) GROUP BY 1")
 
 
-#: Capacity vectors of the ratio study; the published values are lost, these are the survey's own.
-CAPACITIES = ((2, 2), (2, 8), (5, 5), (10, 10), (2, 2, 2), (4, 4, 4), (2,) * 5, (1, 2, 3, 4))
-
-
-def _random_runs(s: SparkSession, n: int, seed: int, vectors: tuple) -> list[tuple]:
-    """(capacities, method, cost, ratio, seconds) of the paper's methods on one random graph."""
-    from .storage import saved
-
-    points, rows = saved(graphs.shortest_paths(graphs.random_graph(s, n, seed), list(range(n))), "paths"), []
-    for caps in vectors:
-        groups = F.array(*map(F.lit, graphs.random_groups(n, len(caps), seed)))
-        inst = FairInstance(points.select("ord", F.element_at(groups, (F.col("ord") + 1).cast("int")).alias("grp"), "coords"), metrics.path_rows(), caps)
-        for m in PAPER:
-            began = time.time()
-            row = dict(zip((c.split()[0] for c in _METHOD.split(",")), compare(s, inst, [m], 10)[0]))
-            rows.append((",".join(map(str, caps)), seed, m, float(row["cost"]), row["ratio"], time.time() - began))
-    return rows
-
-
-_RUN = "capacities string, seed int, method string, cost double, ratio double, seconds double"
-
-
-def ratio_study(s: SparkSession, n: int = 500, instances: int = 20, vectors: tuple = CAPACITIES) -> DataFrame:
-    """Mean ratio, wins (ties count for all) and largest cost ratio to the best method, for every capacity vector and method."""
-    runs = _rows(s, [r for seed in range(instances) for r in _random_runs(s, n, seed, vectors)], _RUN)
-    best = F.min("cost").over(Window.partitionBy("capacities", "seed"))
-    rows = runs.withColumn("best", best)
-    return rows.groupBy("capacities", "method").agg(F.avg("ratio").alias("mean_ratio"), F.count_if(F.col("cost") == F.col("best")).alias("wins"), F.max(F.col("cost") / F.col("best")).alias("largest_cost_ratio"), F.count("*").alias("runs"))
-
-
-def time_study(s: SparkSession, sizes: tuple = tuple(range(100, 351, 50)), instances: int = 20) -> DataFrame:
-    """Mean seconds of every method on random graphs of each size, five groups of capacity 2."""
-    rows = [(n, *r) for n in sizes for seed in range(instances) for r in _random_runs(s, n, seed, ((2,) * 5,))]
-    return _rows(s, rows, f"n int, {_RUN}").groupBy("n", "method").agg(F.avg("seconds").alias("mean_seconds"), F.count("*").alias("runs"))
-
-
 def _graphs() -> None:
     _add("graph_edges_copurchase", lambda s, d: spark_sql(s, d, graphs.COPURCHASE), duck_sql(graphs.COPURCHASE))
     _add("graph_edges_copurchase_all", lambda s, d: spark_sql(s, d, graphs.COPURCHASE_ALL), duck_sql(graphs.COPURCHASE_ALL))
@@ -344,8 +427,8 @@ SELECT ord, other, CAST(d AS BIGINT) AS d FROM b WHERE i = 40 AND ord < {few}"""
     for name in PAPER:
         _add(f"graph_{name}", lambda s, d, name=name: _rows(s, compare(s, FairInstance(copurchase(s, d).select("ord", (F.col("ord") % 5).cast("int").alias("grp"), "coords"), metrics.path_rows(), (2,) * 5), [name], 10), _METHOD))
 
-    _add("random_graph_ratios", lambda s, d: ratio_study(s))
-    _add("random_graph_times", lambda s, d: time_study(s))
+    _add("random_graph_ratios", lambda s, d: studies.ratio_study(s), lazy=True)
+    _add("random_graph_times", lambda s, d: studies.time_study(s), lazy=True)
 
 
 def _surroundings() -> None:

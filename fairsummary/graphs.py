@@ -52,14 +52,27 @@ def shortest_paths(edges: DataFrame, nodes: list[int], most_edges: int = 5_000_0
     return sources.mapInArrow(run, "ord bigint, coords array<bigint>")
 
 
-def random_graph(spark: SparkSession, n: int, seed: int) -> DataFrame:
+def random_edges(n: int, seed: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(src, dst, w): every pair an edge with chance 2 ln n / n, weights whole thousandths of (0, 1000)."""
     rng = np.random.default_rng([seed, n])
     i, j = np.triu_indices(n, 1)
     on = rng.random(len(i)) < 2 * math.log(max(n, 2)) / n
-    w = rng.integers(1, 1_000_000, len(i))
-    rows = list(zip(i[on].tolist(), j[on].tolist(), w[on].tolist()))
-    return spark.createDataFrame(rows, "src bigint, dst bigint, w bigint")
+    return i[on], j[on], rng.integers(1, 1_000_000, len(i))[on]
+
+
+def random_graph(spark: SparkSession, n: int, seed: int) -> DataFrame:
+    """The edges as a table."""
+    return spark.createDataFrame(list(zip(*(x.tolist() for x in random_edges(n, seed)))), "src bigint, dst bigint, w bigint")
+
+
+def path_matrix(n: int, src: np.ndarray, dst: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """All shortest paths of a small graph; unreachable pairs are farther than all weights together."""
+    D = np.full((n, n), 1 + int(w.sum()), np.int64)
+    np.fill_diagonal(D, 0)
+    D[src, dst] = D[dst, src] = w
+    for k in range(n):
+        D = np.minimum(D, D[:, k : k + 1] + D[k])
+    return D
 
 
 def random_groups(n: int, m: int, seed: int) -> list[int]:

@@ -87,12 +87,12 @@ def brute_force(edges: list[set[int]], caps: tuple[int, ...]) -> int:
     return best
 
 
-def hitting_set(sets: list[Points], caps: tuple[int, ...], formulation: str = "flow") -> tuple[Points | None, int]:
-    """Chosen points, one of each served set, and how many sets are served."""
+def hitting_set(sets: list[Points], caps: tuple[int, ...], formulation: str = "canonical", pick: int = 0) -> tuple[Points | None, int]:
+    """Chosen points, one of each served set, and how many sets are served; ``pick`` is the place of the member taken among those of its group."""
     solve = {"flow": assign, "slots": assign_slots, "canonical": assign_canonical}[formulation]
     edges = [set(s.grp.tolist()) for s in sets]
     given = solve(edges, caps)
-    chosen = [s.take([s.grp.tolist().index(j)]) for s, j in zip(sets, given) if j is not None]
+    chosen = [s.take([[i for i, g in enumerate(s.grp.tolist()) if g == j][pick]]) for s, j in zip(sets, given) if j is not None]
     return (Points.join(chosen) if chosen else None), len(chosen)
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -34,6 +34,13 @@ class Points:
         kinds = {"array<bigint>": pa.list_(pa.int64()), "array<double>": pa.list_(pa.float64()), "bigint": pa.int64(), "string": pa.string(), "array<string>": pa.list_(pa.string())}
         return Points(np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], np.int64), metric.load(pa.array([r[2] for r in rows], kinds[metric.coords])))
 
+    @staticmethod
+    def empty(like: "Points | None" = None) -> "Points":
+        return Points(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros((0, 1)) if like is None else like.coords[:0])
+
+    def sorted(self) -> "Points":
+        return self.take(np.argsort(self.ord, kind="stable"))
+
     @staticmethod
     def join(parts: list["Points"]) -> "Points":
         return Points(*(np.concatenate([getattr(p, f) for p in parts]) for f in ("ord", "grp", "coords")))
@@ -44,11 +51,16 @@ class Points:
 
 @dataclass(frozen=True)
 class FairInstance:
-    """``points`` is (ord, grp, coords); ``caps`` has the capacity of each group.  ``ord`` settles every tie, the smallest first."""
+    """``points`` is (ord, grp, coords); ``caps`` has the capacity of each group.  ``ord`` settles every tie, the smallest first.
 
-    points: DataFrame
+    Points may also be held as arrays: then every method runs in the process at
+    hand, which is how many small instances are spread over tasks.
+    """
+
+    points: DataFrame | Points
     metric: Metric
     caps: tuple[int, ...]
+    ready: bool = False
 
     @property
     def k(self) -> int:
@@ -61,6 +73,14 @@ class FairInstance:
         points = table.select(cols[0].cast("bigint").alias("ord"), cols[1].cast("int").alias("grp"), cols[2].cast(metric.coords).alias("coords")).dropna()
         return FairInstance(points, metric, tuple(caps))
 
+    def prepared(self) -> "FairInstance":
+        """The same with its points written once, so that no scan computes what made them again."""
+        if self.ready or isinstance(self.points, Points):
+            return self
+        from .storage import saved
+
+        return replace(self, points=saved(self.points.select("ord", "grp", "coords"), "points"), ready=True)
+
     def validate(self) -> "FairInstance":
         """Check the contract with one aggregate: unique order, groups within the capacities, coordinates of one length."""
         size = F.size("coords") if self.metric.coords.startswith("array<") and self.metric.coords != "array<string>" else F.lit(1)
@@ -88,7 +108,7 @@ def proportional_caps(counts: list[int], k: int) -> tuple[int, ...]:
 
 @dataclass
 class Summary:
-    """What every method returns.  ``stats`` has passes, guesses, stored and sent points, distance evaluations."""
+    """What every method returns.  ``stats`` has passes over the points, guesses tried, stored and sent points, distance evaluations."""
 
     method: str
     centres: Points

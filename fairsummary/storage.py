@@ -1,21 +1,52 @@
-"""Tables between steps: written to the folder that driver and executors share."""
+"""Tables between steps: written to the folder that driver and executors share, removed when the step that asked for them is over."""
 
 from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
+_OPEN: list[list[tuple[SparkSession, str]]] = []
 
-def saved(df: DataFrame, tag: str) -> DataFrame:
-    """Write and read back, which cuts lineage and survives lost executors."""
-    spark = df.sparkSession
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder of ``spark.checkpoint.dir``; a temporary one only in a single-machine session that names none."""
     sc = spark.sparkContext
-    base = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
+    base = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
     if not base:
+        if sc.master != "local" and not sc.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
         base = tempfile.mkdtemp(prefix="shared-")
         sc.setCheckpointDir(base)
-    path = f"{base.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
+    return base.rstrip("/")
+
+
+def new_path(spark: SparkSession, tag: str) -> str:
+    """A fresh path in the shared folder; it goes when the innermost open :func:`scratch` ends."""
+    path = f"{shared_folder(spark)}/{tag}-{uuid.uuid4().hex}"
+    if _OPEN:
+        _OPEN[-1].append((spark, path))
+    return path
+
+
+def saved(df: DataFrame, tag: str) -> DataFrame:
+    """Write and read back, which cuts lineage and survives lost executors."""
+    spark = df.sparkSession
+    path = new_path(spark, tag)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+@contextmanager
+def scratch() -> Iterator[None]:
+    """What is saved inside is removed at the end, so nothing lazy that reads it may leave."""
+    _OPEN.append([])
+    try:
+        yield
+    finally:
+        for spark, path in _OPEN.pop():
+            place = spark._jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)

@@ -4,7 +4,6 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -94,10 +93,6 @@ FIXTURES = {
     "li6_m2": Fixture(_census(_STATUS), L1, (2, 2)),
     "li6_m5": Fixture(_census(_PRIORITY), L1, (2,) * 5),
     "li6_m10": Fixture(_census(f"5 * ({_STATUS}) + {_PRIORITY}"), L1, (1,) * 10),
-    "li6_full": Fixture(
-        "SELECT l_orderkey * 8 + l_linenumber AS ord, CAST(l_orderkey % 4 AS INTEGER) AS grp, LIST(CAST(min(l_quantity) AS BIGINT), CAST(round(min(l_extendedprice) * 100) AS BIGINT), CAST(round(min(l_discount) * 100) AS BIGINT), CAST(round(min(l_tax) * 100) AS BIGINT)) AS coords FROM {lineitem} GROUP BY l_orderkey, l_linenumber",
-        L1, (2, 2, 2, 2),
-    ),
     "pref_rank_m2": Fixture(_ranking(_DEBT), INVERSIONS, (2, 2)),
     "pref_rank_m5": Fixture(_ranking(_SEGMENT), INVERSIONS, (2,) * 5),
     "pref_rank_m6": Fixture(_ranking("c_nationkey % 6"), INVERSIONS, (2,) * 6),
@@ -109,7 +104,9 @@ FIXTURES = {
     "events": Fixture("SELECT event_id AS ord, CAST(CASE event_type WHEN 'click' THEN 0 WHEN 'view' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END AS INTEGER) AS grp, LIST(CAST(hour(ts) * 3600 + minute(ts) * 60 + floor(second(ts)) AS BIGINT), CAST(round(value * 100) AS BIGINT)) AS coords FROM {events}", L1, (1,) * 5),
     "supplier_bal": Fixture("SELECT s_suppkey AS ord, CAST(n_regionkey AS INTEGER) AS grp, LIST(CAST(round(s_acctbal * 100) AS BIGINT)) AS coords FROM {supplier} JOIN {nation} ON s_nationkey = n_nationkey", L1, (1,) * 5),
     "customer_bal": Fixture("SELECT c_custkey AS ord, CAST(n_regionkey AS INTEGER) AS grp, LIST(CAST(round(c_acctbal * 100) AS BIGINT)) AS coords FROM {customer} JOIN {nation} ON c_nationkey = n_nationkey", L1, (1,) * 5),
-    "part_shape": Fixture("SELECT p_partkey AS ord, CAST(dense_rank() OVER (ORDER BY p_type) - 1 AS INTEGER) AS grp, LIST(CAST(p_size AS BIGINT), CAST(round(p_retailprice * 100) AS BIGINT)) AS coords FROM {part}", L1, (1,) * 6),
+    "part_shape": Fixture("SELECT p_partkey AS ord, CAST(t.n AS INTEGER) AS grp, LIST(CAST(p_size AS BIGINT), CAST(round(p_retailprice * 100) AS BIGINT)) AS coords FROM {part} p JOIN (SELECT p_type, row_number() OVER (ORDER BY p_type) - 1 AS n FROM (SELECT DISTINCT p_type FROM {part}) d) t ON t.p_type = p.p_type", L1, (1,) * 6),
+    "nation_trade": Fixture("SELECT n_nationkey AS ord, CAST(n_regionkey AS INTEGER) AS grp, LIST(coalesce(c.n, 0), coalesce(s.n, 0)) AS coords FROM {nation} LEFT JOIN (SELECT c_nationkey, count(*) AS n FROM {customer} GROUP BY c_nationkey) c ON c_nationkey = n_nationkey LEFT JOIN (SELECT s_nationkey, count(*) AS n FROM {supplier} GROUP BY s_nationkey) s ON s_nationkey = n_nationkey", L1, (1,) * 5),
+    "doc_labels": Fixture(f"SELECT d.doc_id AS ord, CAST(2 * quality + toxic AS INTEGER) AS grp, {_LETTERS} AS coords FROM (SELECT doc_id, lower(text) AS t FROM {{documents}}) d JOIN (SELECT doc_id, max(quality) AS quality, max(toxic) AS toxic FROM {{labels}} GROUP BY doc_id) l ON l.doc_id = d.doc_id", L1, (2, 2, 2, 2)),
     "page_shape": Fixture("SELECT page_id AS ord, CAST(CASE WHEN url LIKE '%/de/%' THEN 0 WHEN url LIKE '%/en/%' THEN 1 WHEN url LIKE '%/es/%' THEN 2 ELSE 3 END AS INTEGER) AS grp, LIST(CAST(length(html) AS BIGINT), CAST(length(html) - length(replace(html, '<', '')) AS BIGINT), CAST((length(html) - length(replace(html, 'href', ''))) / 4 AS BIGINT)) AS coords FROM {pages}", L1, (2, 2, 2, 2)),
     "turn_shape": Fixture("SELECT conv_id * 64 + turn AS ord, CAST(CASE role WHEN 'system' THEN 0 WHEN 'user' THEN 1 ELSE 2 END AS INTEGER) AS grp, LIST(CAST(turn AS BIGINT), CAST(length(text) AS BIGINT)) AS coords FROM {conversations}", L1, (1, 2, 2)),
 }
@@ -126,18 +123,29 @@ def whole(f: Fixture) -> Fixture:
     return Fixture(text, f.metric, f.caps)
 
 
+_JOINED = "SELECT l.*, o.o_totalprice, o.o_orderpriority, CAST(CAST(l.l_shipdate AS DATE) - CAST(o.o_orderdate AS DATE) AS INTEGER) AS lag FROM {lineitem} l JOIN {orders} o ON l.l_orderkey = o.o_orderkey"
+#: A total order of line items: their key is not unique, so rows of one key are numbered within it and nothing gathers in one task.
+_LINE_ORD = f"(l_orderkey * 8 + l_linenumber) * 64 + row_number() OVER (PARTITION BY l_orderkey, l_linenumber ORDER BY {_LINE}) - 1"
+
+
 def _census_all(grp: str) -> str:
-    """All line items as six standardised numbers; rows with one key are numbered within it, so nothing gathers in one task."""
-    raw = f"SELECT l.*, o.o_totalprice, o.o_orderpriority, CAST(CAST(l.l_shipdate AS DATE) - CAST(o.o_orderdate AS DATE) AS INTEGER) AS lag FROM {{lineitem}} l JOIN {{orders}} o ON l.l_orderkey = o.o_orderkey"
+    """All line items as six standardised numbers."""
+    raw = _JOINED
     means = ", ".join(f"avg(CAST({c} AS DOUBLE)) AS a{i}, stddev_pop(CAST({c} AS DOUBLE)) AS s{i}" for i, c in enumerate(_SIX))
     z = ", ".join(f"CAST(round((CAST({c} AS DOUBLE) - a{i}) / s{i} * 1000) AS BIGINT)" for i, c in enumerate(_SIX))
-    return f"WITH y AS ({raw}), m AS (SELECT {means} FROM y) SELECT (l_orderkey * 8 + l_linenumber) * 64 + row_number() OVER (PARTITION BY l_orderkey, l_linenumber ORDER BY {_LINE}) - 1 AS ord, CAST({grp} AS INTEGER) AS grp, LIST({z}) AS coords FROM y CROSS JOIN m"
+    return f"WITH y AS ({raw}), m AS (SELECT {means} FROM y) SELECT {_LINE_ORD} AS ord, CAST({grp} AS INTEGER) AS grp, LIST({z}) AS coords FROM y CROSS JOIN m"
 
 
 #: The same over whole tables.
 FIXTURES |= {n.replace("_", "_all_", 1) if n.startswith("emb") else n.replace("_m", "_all_m"): whole(FIXTURES[n]) for n in list(FIXTURES) if any(cut in FIXTURES[n].text for cut in _FIRST)}
 FIXTURES |= {f"li6_all_m{len(caps)}": Fixture(_census_all(grp), L1, caps) for grp, caps in ((_STATUS, (2, 2)), (_PRIORITY, (2,) * 5), (f"5 * ({_STATUS}) + {_PRIORITY}", (1,) * 10))}
 
+#: The stand-in for the largest run: every line item as six whole numbers (cents, percent points, days), four groups.
+FIXTURES["li6_full"] = Fixture(
+    f"SELECT {_LINE_ORD} AS ord, CAST(l_orderkey % 4 AS INTEGER) AS grp, LIST(CAST(l_quantity AS BIGINT), CAST(round(l_extendedprice * 100) AS BIGINT), CAST(round(l_discount * 100) AS BIGINT), CAST(round(l_tax * 100) AS BIGINT), CAST(lag AS BIGINT), CAST(round(o_totalprice * 100) AS BIGINT)) AS coords FROM ({_JOINED}) y",
+    L1, (2, 2, 2, 2),
+)
+
 
 def uniform_cube(spark: SparkSession, n: int, dim: int, m: int, seed: int, top: float = 10000.0) -> DataFrame:
     """n points with dim coordinates drawn from (0, top) and random groups, made where they are used."""
@@ -151,7 +159,3 @@ def two_files(spark: SparkSession, features: str, attributes: str, dim: int) ->
     a = spark.read.csv(attributes, schema="ord bigint, grp int")
     return f.join(a, "ord").select("ord", "grp", F.array(*[f"x{j}" for j in range(dim)]).alias("coords"))
 
-
-def mean_of_runs(values: list[float]) -> float:
-    """The mean over instances, the paper's way to report."""
-    return float(np.mean(values)) if values else 0.0
