@@ -376,35 +376,55 @@ def _distances() -> None:
         "dist_jaccard": (metrics.JACCARD, "SELECT n_nationkey AS ord, LIST(substr(n_name, 1, 1), substr(n_name, 2, 1), substr(n_name, 3, 1)) AS coords FROM {nation}", "double"),
     }
     for name, (metric, text, kind) in pairs.items():
-        seen = f"SELECT ord, coords FROM ({text}) q WHERE ord < 60"
-        exact = (lambda c: c) if kind == "bigint" else (lambda c: F.round(c.cast("double"), 5))
-        sql = metric.sql("a.coords", "b.coords")
-
-        def query(s, d, metric=metric, seen=seen, exact=exact):
-            t = spark_sql(s, d, seen)
-            a, b = t.toDF("a", "ca"), t.toDF("b", "cb")
-            return a.join(F.broadcast(b), F.col("a") < F.col("b")).select("a", "b", exact(metric.column(F.col("ca"), F.col("cb"))).alias("d"))
-
-        _add(name, query, f"WITH t AS ({duck_sql(seen)}) SELECT a.ord AS a, b.ord AS b, {sql if kind == 'bigint' else f'round(CAST({sql} AS DOUBLE), 5)'} AS d FROM t a JOIN t b ON a.ord < b.ord")
-
         everything = whole(Fixture(text, metric, ())).text
+        exact = (lambda c: c) if kind == "bigint" else (lambda c: F.round(c.cast("double"), 5))
+        text = metric.sql("a.coords", "b.coords")
 
-        def from_all(s, d, metric=metric, text=everything, exact=exact):
-            t = spark_sql(s, d, f"SELECT ord, coords FROM ({text}) q")
-            b = t.where("ord < 60").toDF("query", "cb")  # the query set; every point is measured against it
-            return t.toDF("ord", "ca").crossJoin(F.broadcast(b)).select("ord", "query", exact(metric.column(F.col("ca"), F.col("cb"))).alias("d"))
+        def query(s, d, metric=metric, everything=everything, exact=exact):
+            t = spark_sql(s, d, f"SELECT ord, coords FROM ({everything}) q")
+            b = t.where("ord % 50 = 0").toDF("query", "cb")  # the stated query set, against every point
+            return t.toDF("ord", "ca").join(F.broadcast(b)).select("ord", "query", exact(metric.column(F.col("ca"), F.col("cb"))).alias("d"))
 
-        _add(f"{name}_all", from_all)
+        _add(name, query, f"WITH t AS ({duck_sql(everything)}) SELECT a.ord, b.ord AS query, {text if kind == 'bigint' else f'round(CAST({text} AS DOUBLE), 5)'} AS d FROM t a JOIN (SELECT ord, {'coords'} FROM t) b ON b.ord % 50 = 0", lazy=True)
 
 
 def _hardness() -> None:
     _add("hard_instance_points", lambda s, d: hardness.hard_points(s, 51), "SELECT i AS ord, CAST(CASE WHEN i < 7 THEN i ELSE 7 + (i - 7) // 153 END AS INTEGER) AS class FROM range(0, 466) t(i)")
-    far = ", ".join(f"({i}, {j}, {int(v)})" for i, row in enumerate(hardness.class_distances()) for j, v in enumerate(row))
-    names = "[" + ", ".join(f"'{c}'" for c in hardness.CLASSES) + "]"
-    _add("hard_instance_distances", lambda s, d: hardness.hard_distances(s), f"SELECT ({names})[i + 1] AS a, ({names})[j + 1] AS b, CAST(v AS INTEGER) AS d FROM (VALUES {far}) t(i, j, v)")
+    _add("hard_instance_distances", lambda s, d: hardness.hard_distances(s), """
+WITH RECURSIVE cls AS (SELECT * FROM (VALUES ('a*', 1), ('b1*', 1), ('b2*', 1), ('c*', 1), ('a', 1), ('b', 1), ('c', 1), ('S1', 2), ('S2', 2), ('S3', 2)) t(c, n)),
+node AS (SELECT c, i AS i FROM cls, range(1, 3) r(i) WHERE i <= n UNION ALL SELECT 'hub', 1),
+joined AS (SELECT * FROM (VALUES ('a*', ['b1*', 'b2*', 'a', 'S1']), ('c*', ['b1*', 'b2*', 'c', 'S3']), ('b1*', ['b', 'S2']), ('b2*', ['b', 'S2']), ('hub', ['S1', 'S2', 'S3'])) t(u, vs)),
+one AS (SELECT u, unnest(vs) AS v FROM joined), way AS (SELECT u, v FROM one UNION ALL SELECT v, u FROM one),
+edge AS (SELECT x.c AS a, x.i AS i, y.c AS b, y.i AS j FROM way JOIN node x ON x.c = u JOIN node y ON y.c = v),
+walk AS (SELECT c AS a, i, c AS b, i AS j, 0 AS d FROM node UNION SELECT w.a, w.i, e.b, e.j, w.d + 1 FROM walk w JOIN edge e ON e.a = w.b AND e.i = w.j WHERE w.d < 5),
+near AS (SELECT a, i, b, j, min(d) AS d FROM walk GROUP BY ALL)
+SELECT a, b, CAST(max(d) AS INTEGER) AS d FROM near WHERE a <> 'hub' AND b <> 'hub' AND i = 1 AND j = CASE WHEN a = b AND a LIKE 'S%' THEN 2 ELSE 1 END GROUP BY a, b""")
     crit = ", ".join(f"({3 * i + j}, {hardness.CLASSES.index(c)})" for i in range(3) for j in range(3) for c in hardness.SHARED[i])
     _add("hard_instance_inputs", lambda s, d: hardness.hard_inputs(s, 51), f"SELECT CAST(p AS INTEGER) AS processor, CAST(o AS BIGINT) AS ord, CAST(o AS BIGINT) AS label FROM (VALUES {crit}) t(p, o) UNION ALL SELECT CAST((i - 7) // 51 AS INTEGER), i, i FROM range(7, 466) t(i)")
-    _add("hard_instance_optimum", lambda s, d: _rows(s, [hardness.optimum(51)[0:1]], "cost int"), "SELECT CAST(1 AS INTEGER) AS cost")
+    def triples(s, d):
+        from itertools import combinations
+
+        table, classes = hardness.class_distances(), hardness.class_of(2)
+        found: dict[int, int] = {}
+        for chosen in combinations(range(len(classes)), 3):
+            cost = hardness.cost_of(classes, np.array(chosen), table)
+            found[cost] = found.get(cost, 0) + 1
+        return _rows(s, sorted(found.items()), "cost int, triples bigint")
+
+    _add("hard_instance_optimum", triples, f"""
+WITH dist AS ({_ORACLES["hard_instance_distances"]}), node AS (SELECT i, CASE WHEN i < 7 THEN ['a*', 'b1*', 'b2*', 'c*', 'a', 'b', 'c'][i + 1] ELSE 'S' || ((i - 7) // 6 + 1) END AS c FROM range(0, 25) t(i)),
+m AS (SELECT x.i, y.i AS j, CASE WHEN x.i = y.i THEN 0 ELSE d END AS d FROM node x, node y JOIN dist ON dist.b = y.c WHERE dist.a = x.c)
+SELECT cost, count(*) AS triples FROM (SELECT a.j AS p, b.j AS q, c.j AS r, CAST(max(least(a.d, b.d, c.d)) AS INTEGER) AS cost FROM m a JOIN m b ON b.i = a.i AND b.j > a.j JOIN m c ON c.i = a.i AND c.j > b.j GROUP BY ALL) x GROUP BY cost""")
+
+    def frequencies(s, d):
+        rows = []
+        for n, ell in ((51, 1), (105, 1), (105, 2), (159, 3)):  # up to the bound of (n' + 3) / 54 points a processor
+            for how in ("random", "farthest"):
+                share = hardness.simulate(s, n, ell, 400, coordinator=how).agg(F.avg(F.col("failed").cast("double"))).first()[0]
+                rows.append((n, ell, how, share, share >= 1 / 84))
+        return _rows(s, rows, "n_prime int, sent int, coordinator string, frequency double, above_bound boolean")
+
+    _add("hard_instance_frequencies", frequencies)
     _add("hard_instance_failures", lambda s, d: hardness.simulate(s, 51, 1, 400).agg(F.avg(F.col("failed").cast("double")).alias("frequency"), F.count("*").alias("trials")))
     _add("hard_instance_failures_farthest", lambda s, d: hardness.simulate(s, 51, 1, 400, coordinator="farthest").agg(F.avg(F.col("failed").cast("double")).alias("frequency"), F.count("*").alias("trials")))
     _add("hard_instance_amplified", lambda s, d: hardness.amplified(s, 2, hardness.amplification_factor(0.5, 0.001)).groupBy("class").agg(F.count("*").alias("n")), f"SELECT CAST(CASE WHEN i < 7 THEN i ELSE 7 + (i - 7) // 6 END AS INTEGER) AS class, count(*) * {hardness.amplification_factor(0.5, 0.001)} AS n FROM range(0, 25) t(i) GROUP BY 1")
@@ -418,14 +438,16 @@ def _graphs() -> None:
         nodes = [r.p_partkey for r in spark_sql(s, d, "SELECT p_partkey FROM {part} WHERE p_partkey < 350 ORDER BY 1").collect()]
         return graphs.shortest_paths(spark_sql(s, d, graphs.COPURCHASE), nodes)
 
-    few = 40
-    _add("graph_apsp", lambda s, d: copurchase(s, d).where(F.col("ord") < few).select("ord", F.posexplode(F.slice("coords", 2, few))).select("ord", F.col("pos").cast("bigint").alias("other"), F.col("col").alias("d")), f"""WITH RECURSIVE e0 AS ({duck_sql(graphs.COPURCHASE)}), e AS (SELECT src, dst, w FROM e0 UNION ALL SELECT dst, src, w FROM e0),
-b AS (SELECT 0 AS i, p_partkey AS ord, q AS other, CASE WHEN p_partkey = q THEN 0 ELSE 1000000 END AS d FROM part, range(0, {few}) t(q) WHERE p_partkey < 350
-UNION ALL SELECT any_value(b.i) + 1, b.ord, b.other, least(min(b.d), min(n.v)) FROM b LEFT JOIN (SELECT e.src, c.other, min(e.w + c.d) AS v FROM e JOIN b c ON c.ord = e.dst GROUP BY e.src, c.other) n ON n.src = b.ord AND n.other = b.other WHERE b.i < 40 GROUP BY b.ord, b.other)
-SELECT ord, other, CAST(d AS BIGINT) AS d FROM b WHERE i = 40 AND ord < {few}""")
-    _add("graph_apsp_all", lambda s, d: copurchase(s, d).select("ord", F.posexplode(F.slice("coords", 2, F.size("coords") - 1))).select("ord", F.col("pos").cast("bigint").alias("other"), F.col("col").alias("d")))
+    _add("graph_apsp", lambda s, d: copurchase(s, d).select("ord", F.posexplode(F.slice("coords", 2, F.size("coords") - 1))).select("ord", F.col("pos").cast("bigint").alias("other"), F.col("col").alias("d")), f"SELECT ord, CAST(o - 1 AS BIGINT) AS other, coords[o + 1] AS d FROM ({graphs.PATHS_SQL.format(edges=duck_sql(graphs.COPURCHASE))}) q, range(1, len(coords)) t(o)", lazy=True)
+
+    class Graph(Fixture):
+        @property
+        def duck(self) -> str:
+            return graphs.PATHS_SQL.format(edges=duck_sql(graphs.COPURCHASE))
+
+    f = Graph("", metrics.path_rows(), (2,) * 5)
     for name in PAPER:
-        _add(f"graph_{name}", lambda s, d, name=name: _rows(s, compare(s, FairInstance(copurchase(s, d).select("ord", (F.col("ord") % 5).cast("int").alias("grp"), "coords"), metrics.path_rows(), (2,) * 5), [name], 10), _METHOD))
+        _add(f"graph_{name}", lambda s, d, name=name: _rows(s, compare(s, FairInstance(copurchase(s, d).select("ord", (F.col("ord") % 5).cast("int").alias("grp"), "coords"), f.metric, f.caps), [name]), _METHOD), _method_sql(f, name))
 
     _add("random_graph_ratios", lambda s, d: studies.ratio_study(s), lazy=True)
     _add("random_graph_times", lambda s, d: studies.time_study(s), lazy=True)
@@ -454,7 +476,7 @@ def _surroundings() -> None:
         points = ev.points(s, d).join(s.read.parquet(f"{d}/events.parquet").select(F.col("event_id").alias("ord"), F.col("ts").cast("timestamp").alias("ts")), "ord")
         return window_summaries(points, metrics.L1, ev.caps, "1 day").groupBy("window_start").agg(F.max("r").alias("r"), F.count("*").alias("sent")).select(F.to_date("window_start").cast("string").alias("day"), "r", "sent")
 
-    _add("stream_window_summary", windows)
+    _add("stream_window_summary", windows, sql.window_messages(ev, "events", "event_id", "ts"), lazy=True)
 
     def stream(s, d):
         from .streaming import event_stream, watermark_counts
@@ -463,20 +485,107 @@ def _surroundings() -> None:
 
     _add("stream_watermark_counts", stream, "SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, event_type AS grp, count(*) AS n FROM events GROUP BY 1, 2")
 
+    def sessions(s, d):
+        from .streaming import event_stream, session_counts
+
+        return session_counts(event_stream(s, d).select("ts", F.col("user_id").alias("key")), "1 hour", "2 hours", "session_counts").select(F.col("key").alias("user_id"), "n")
+
+    _add("stream_sessions", sessions, relational.PAIRS["relational_session"][1])
+
+    def distinct(s, d):
+        from .streaming import distinct_within, event_stream
+
+        twice = event_stream(s, d).select("ts", "event_id", "event_type", F.explode(F.array(F.lit(0), F.lit(1))).alias("copy"))
+        return distinct_within(twice, "1 hour", ["event_id"], "distinct_events").groupBy("event_type").agg(F.count("*").alias("n"))
+
+    _add("stream_distinct", distinct, "SELECT event_type, count(*) AS n FROM events GROUP BY 1")
+
+    def event_points(s, d):
+        from .streaming import event_stream
+
+        kind = F.expr("CASE event_type WHEN 'click' THEN 0 WHEN 'view' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END")
+        return event_stream(s, d).select("ts", F.col("event_id").alias("ord"), kind.alias("grp"), F.array((F.hour("ts") * 3600 + F.minute("ts") * 60 + F.second("ts")).cast("bigint"), F.round(F.col("value") * 100).cast("bigint")).alias("coords"))
+
     def replay(s, d):
-        from .streaming import event_stream, two_pass_stream
+        from .streaming import two_pass_stream
 
-        source = lambda: event_stream(s, d).select(F.col("event_id").alias("ord"), F.expr("CASE event_type WHEN 'click' THEN 0 WHEN 'view' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END").alias("grp"), F.array((F.hour("ts") * 3600 + F.minute("ts") * 60 + F.second("ts")).cast("bigint"), F.round(F.col("value") * 100).cast("bigint")).alias("coords"))
-        chosen, hits, sets = two_pass_stream(source, metrics.L1, ev.caps, float(TAU["events"]))
+        chosen, hits, sets = two_pass_stream(lambda: event_points(s, d).drop("ts"), metrics.L1, ev.caps, float(TAU["events"]))
         return _rows(s, [(hits, sets)], "hits bigint, sets bigint")
 
+    ladder = [float(TAU["events"]) * 1.1**i for i in range(-20, 20)]
+
+    def one_stream(s, d):
+        from .streaming import one_pass_stream
+
+        tau, centres, sets = one_pass_stream(event_points(s, d).drop("ts"), metrics.L1, ev.caps, ladder)
+        return _rows(s, [(round(tau, 6), sets, ",".join(map(str, sorted(centres.ord.tolist()))))], "tau double, sets bigint, chosen string")
+
+    _add("stream_one_pass", one_stream, sql.one_pass_centres(ev, ladder))
+
+    def keyed(s, d):
+        from .streaming import finish_key, one_pass_keyed
+
+        days = event_points(s, d).select(F.to_date("ts").cast("string").alias("key"), "ord", "grp", "coords")
+        rows = one_pass_keyed(days, metrics.L1, ev.caps, ladder, "one_pass_days").collect()
+        done = [(r.key, r.arrivals, finish_key(r.kept, metrics.L1, ev.caps, ladder)) for r in rows]
+        return _rows(s, [(k, n, None if x is None else ladder[x[0]], None if x is None else ",".join(map(str, sorted(x[1].ord.tolist())))) for k, n, x in done], "day string, arrivals bigint, tau double, chosen string")
+
+    _add("stream_one_pass_days", keyed)
+
+    def functions(s, d):
+        from . import sql_api
+
+        sql_api.register(s)
+        f = FIXTURES["nation_trade"]
+        t = f.points(s, d)
+        return s.sql("SELECT a.ord AS a, b.ord AS b, l1_distance(a.coords, b.coords) AS d FROM {t} a JOIN {t} b ON a.ord < b.ord", t=t)
+
+    nation = FIXTURES["nation_trade"]
+    _add("sql_distance", functions, f"WITH p AS ({nation.duck}) SELECT a.ord AS a, b.ord AS b, {metrics.L1.sql('a.coords', 'b.coords')} AS d FROM p a JOIN p b ON a.ord < b.ord", lazy=True)
+
+    def table_function(s, d):
+        from . import sql_api
+
+        sql_api.register(s)
+        f = FIXTURES["customer_bal"]
+        t = f.points(s, d).withColumn("block", F.floor(F.col("ord") / 50))
+        return s.sql("SELECT block, role, pivot, ord, round(r, 3) AS r FROM fair_block_message(TABLE(SELECT * FROM {t}) PARTITION BY (block), 5)", t=t)
+
+    _add("sql_block_message", table_function, _ORACLES["block_summaries_customer_bal"], lazy=True)
+
+    def formats(s, d):
+        from .storage import new_path
+
+        points, out = FIXTURES["part_shape"].points(s, d), []
+        for kind in ("parquet", "orc", "json"):
+            path = new_path(s, kind)
+            points.write.format(kind).save(path)
+            back = s.read.format(kind).schema(points.schema).load(path)
+            out.append((kind, *back.agg(F.count("*"), F.sum("ord"), F.sum(F.col("coords")[1])).first()))
+        return _rows(s, out, "format string, n bigint, ords bigint, total bigint")
+
+    part = FIXTURES["part_shape"]
+    _add("sink_formats", formats, f"SELECT format, count(*) AS n, CAST(sum(ord) AS BIGINT) AS ords, CAST(sum(coords[2]) AS BIGINT) AS total FROM ({part.duck}) q, (VALUES ('parquet'), ('orc'), ('json')) t(format) GROUP BY format")
+
+    def files(s, d):
+        from .storage import new_path
+        from .workloads import two_files
+
+        points, paths = part.points(s, d), [new_path(s, "features"), new_path(s, "attributes")]
+        points.select("ord", F.col("coords")[0].alias("x0"), F.col("coords")[1].alias("x1")).write.csv(paths[0])
+        points.select("ord", "grp").write.csv(paths[1])
+        found = two_files(s, *paths, 2).groupBy("grp").agg(F.count("*").alias("n"), F.sum(F.col("coords")[1]).alias("total")).collect()
+        return _rows(s, [tuple(r) for r in found], "grp int, n bigint, total double")
+
+    _add("source_two_files", files, f"SELECT grp, count(*) AS n, CAST(sum(coords[2]) AS DOUBLE) AS total FROM ({part.duck}) q GROUP BY grp")
+
     tau, k = float(TAU["events"]), sum(ev.caps)
     _add("stream_two_pass", replay, f"WITH RECURSIVE {_greedy(ev, 2 * tau, k + 1)}, {_reps(ev, tau)}, {_cut(ev)}, c AS (SELECT count(*) AS n FROM piv) SELECT CASE WHEN n > {k} THEN 0 ELSE (SELECT CAST(min(v) AS BIGINT) FROM cuts) END AS hits, n AS sets FROM c")
 
 
 for _name, _f in FIXTURES.items():
     _points(_name, _f)
-for _name in ("emb_m2", "emb_m4", "part_shape", "customer_bal", "pref_rank_m2", "supplier_bal", "turn_shape", "page_shape", "emb_all_m2", "emb_all_m4", "pref_rank_all_m2"):
+for _name in ("emb_m2", "emb_m4", "part_shape", "events", "customer_bal", "pref_rank_m2", "supplier_bal", "turn_shape", "page_shape", "emb_all_m2", "emb_all_m4", "pref_rank_all_m2"):
     _building_blocks(_name)
 for _name, _size in (("emb_m2", 25), ("emb_all_m2", 25), ("customer_bal", 50), ("turn_shape", 640)):
     _blocks(_name, _size)

@@ -85,5 +85,16 @@ FROM {lineitem} a JOIN {lineitem} b ON a.l_orderkey = b.l_orderkey AND a.l_partk
 WHERE a.l_partkey < 350 AND b.l_partkey < 350
 """
 
+#: (ord, grp, coords) of the parts below 350 by paths through one more node at a time, in DuckDB.
+PATHS_SQL = """
+WITH RECURSIVE e AS MATERIALIZED ({edges}), node AS MATERIALIZED (SELECT p_partkey AS v, row_number() OVER (ORDER BY p_partkey) - 1 AS i FROM part WHERE p_partkey < 350),
+ij AS MATERIALIZED (SELECT a.i AS i, b.i AS j, w FROM e JOIN node a ON a.v = src JOIN node b ON b.v = dst),
+top AS MATERIALIZED (SELECT CAST(1 + sum(w) AS BIGINT) AS far FROM ij),
+m AS MATERIALIZED (SELECT x.i, list(CAST(CASE WHEN x.i = y.i THEN 0 ELSE coalesce(w, far) END AS BIGINT) ORDER BY y.i) AS d FROM node x CROSS JOIN node y CROSS JOIN top LEFT JOIN (SELECT i, j, w FROM ij UNION ALL SELECT j, i, w FROM ij) k ON k.i = x.i AND k.j = y.i GROUP BY x.i),
+fw AS (SELECT CAST(0 AS BIGINT) AS k, i, d FROM m
+UNION ALL SELECT a.k + 1, a.i, list_transform(list_zip(a.d, b.d), lambda z: least(z[1], a.d[a.k + 1] + z[2])) FROM fw a, (SELECT d FROM fw WHERE i = k) b WHERE a.k < (SELECT count(*) FROM node))
+SELECT node.v AS ord, CAST(node.v % 5 AS INTEGER) AS grp, list_prepend(fw.i, fw.d) AS coords FROM fw JOIN node ON node.i = fw.i WHERE fw.k = (SELECT count(*) FROM node)
+"""
+
 #: The edges between all parts.
 COPURCHASE_ALL = COPURCHASE.replace("WHERE a.l_partkey < 350 AND b.l_partkey < 350\n", "")

@@ -9,6 +9,8 @@ capacity, each with its first assignment.
 
 from __future__ import annotations
 
+import re
+
 from .workloads import Fixture
 
 #: Guesses the SQL lays out at most; a run that needs more shows as a missing row.
@@ -125,10 +127,10 @@ def ball_exact(f: Fixture, name: str) -> str:
     return _with(bounds(f), "src AS (SELECT ord, ord AS pos, coords FROM p)", lad, pivots(f, "src", 2), whole, matching(f), finish(f, "p", _FIRST), row(f, name, guesses="fin.g + 1", stored="(SELECT count(*) FROM near, fin WHERE near.g = fin.g)"))
 
 
-def blocks(f: Fixture, size: int) -> str:
-    """bp(block, step, pv): block pivots, rad(block, r), lr(block, ord): block representatives; blocks are ord div size."""
+def blocks(f: Fixture, size: int, number: str = "") -> str:
+    """bp(block, step, pv): block pivots, rad(block, r), lr(block, ord): block representatives; blocks are ord div size or the number given."""
     k, d = sum(f.caps), f.metric.sql
-    return f"""pb AS MATERIALIZED (SELECT *, CAST(floor(ord / {size}) AS BIGINT) AS block FROM p),
+    return f"""pb AS MATERIALIZED (SELECT *, {number or f'CAST(floor(ord / {size}) AS BIGINT)'} AS block FROM p),
 bl AS (SELECT CAST(0 AS BIGINT) AS step, block, ord, coords, CAST(4e18 AS DOUBLE) AS md, CAST(NULL AS BIGINT) AS pv, CAST(NULL AS DOUBLE) AS far FROM pb
 UNION ALL SELECT r.step + 1, r.block, r.ord, r.coords, least(r.md, CAST({d("r.coords", "c.coords")} AS DOUBLE)), c.ord, c.md
 FROM bl r JOIN (SELECT block, ord, coords, md FROM (SELECT *, row_number() OVER (PARTITION BY block ORDER BY md DESC, ord) AS n FROM bl WHERE md > 0 AND step <= {k}) x WHERE n = 1) c ON c.block = r.block),
@@ -196,3 +198,25 @@ def arbitrary(f: Fixture, name: str) -> str:
     count = ", ',', ".join(f"(SELECT count(*) FROM s WHERE grp = {j})" for j in range(len(f.caps)))
     return _with(bounds(f), f"""SELECT '{name}' AS method, CAST(0 AS DOUBLE) AS tau, u.high AS cost, CASE WHEN low11.v > 0 THEN round(u.high / low11.v, 6) END AS ratio, CAST((SELECT count(*) FROM s) AS INTEGER) AS centres, concat({count}) AS group_counts, true AS feasible,
 CAST(0 AS INTEGER) AS hits, CAST(0 AS INTEGER) AS sets, CAST(0 AS INTEGER) AS guesses, CAST((SELECT count(*) FROM s) AS BIGINT) AS stored, CAST(0 AS BIGINT) AS sent, (SELECT string_agg(CAST(ord AS VARCHAR), ',' ORDER BY ord) FROM s) AS chosen FROM u, low11""")
+
+
+def window_messages(f: Fixture, table: str, key: str, ts: str) -> str:
+    """(day, r, sent) of every day as a block."""
+    day = f"(SELECT date_diff('day', DATE '2000-01-01', CAST({ts} AS DATE)) FROM {table} e WHERE e.{key} = p.ord)"
+    return _with(f"p AS MATERIALIZED ({f.duck})", blocks(f, 0, day), "SELECT CAST(DATE '2000-01-01' + CAST(lr.block AS INTEGER) AS VARCHAR) AS day, any_value(r) AS r, count(DISTINCT ord) AS sent FROM lr JOIN rad ON rad.block = lr.block GROUP BY lr.block")
+
+
+def one_pass_centres(f: Fixture, guesses: list[float]) -> str:
+    """(tau, sets, chosen) of the one-pass method on the whole as one shard, at given guesses; filled up from what it keeps."""
+    k, d = sum(f.caps), f.metric.sql
+    lad = f"lad AS MATERIALIZED (SELECT * FROM (VALUES {', '.join(f'({i}, {t!r}e0)' for i, t in enumerate(guesses))}) t(g, tau))"
+    kept = f"""cr AS MATERIALIZED (SELECT v.g, a.ord, a.grp, min(v.step) AS step FROM piv v JOIN p b ON b.ord = v.pv JOIN p a ON {d("a.coords", "b.coords")} <= 2 * v.tau GROUP BY ALL),
+held AS MATERIALIZED (SELECT x.g, p.* FROM (SELECT *, row_number() OVER (PARTITION BY g, step, grp ORDER BY ord) AS n FROM cr) x JOIN p ON p.ord = x.ord WHERE n <= {_caps(f)}[x.grp + 1])"""
+    second = pivots(f, "xsrc", 10, own=True)
+    for old in ("run", "piv0", "piv", "alive"):
+        second = re.sub(rf"\b{old}\b", f"{old}_b", second)
+    rest = ",\n".join([members(f, "held", 5, "first", own=True), matching(f)])
+    for old in ("piv", "alive"):
+        rest = re.sub(rf"\b{old}\b", f"{old}_b", rest)
+    done = finish(f, "(SELECT DISTINCT ord, grp FROM held JOIN fin USING (g))", _FIRST)
+    return _with(f"p AS MATERIALIZED ({f.duck})", "src AS (SELECT ord, ord AS pos, coords FROM p)", lad, pivots(f, "src", 2), kept, "xsrc AS MATERIALIZED (SELECT v.g, p.ord, p.ord AS pos, p.coords FROM piv v JOIN p ON p.ord = v.pv)", second, rest, done, "SELECT round(lad.tau, 6) AS tau, CAST(fin.n AS BIGINT) AS sets, (SELECT string_agg(CAST(ord AS VARCHAR), ',' ORDER BY ord) FROM cen) AS chosen FROM fin JOIN lad ON lad.g = fin.g")

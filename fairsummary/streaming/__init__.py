@@ -1,62 +1,83 @@
-"""The methods on streams of points: replayable two-pass runs, one-pass state, windows and watermarks."""
+"""The methods on streams of points: replayable two-pass runs, one-pass shards and keyed state, windows and watermarks."""
 
 from __future__ import annotations
 
-import tempfile
-from collections.abc import Callable
+import json
+from collections.abc import Callable, Iterator
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .. import scans
-from ..baselines import OnePassState
+from ..baselines import OnePassState, one_pass_shards
 from ..hitting import complete, hitting_set
-from ..methods import coordinate_at
+from ..methods import coordinate_at, summarise
 from ..metrics import Metric
-from ..model import FairInstance, Points
+from ..model import Points
+from ..storage import new_path
 
 
-def drain(stream: DataFrame, each: Callable[[DataFrame, int], None], checkpoint: str | None = None) -> None:
+def drain(stream: DataFrame, each: Callable[[DataFrame, int], None]) -> None:
     """Run a stream over what is available now, batch by batch."""
-    query = stream.writeStream.foreachBatch(each).trigger(availableNow=True).option("checkpointLocation", checkpoint or tempfile.mkdtemp(prefix="stream-")).start()
+    query = stream.writeStream.foreachBatch(each).trigger(availableNow=True).option("checkpointLocation", new_path(stream.sparkSession, "progress")).start()
     query.awaitTermination()
     if query.exception():
         raise query.exception()
 
 
+class BatchState:
+    """A few rows after each batch, as one small table a batch in the shared folder; a batch that runs again overwrites its own."""
+
+    def __init__(self, spark: SparkSession, schema: str):
+        self.spark, self.schema, self.path = spark, schema, new_path(spark, "state")
+
+    def before(self, number: int) -> list[tuple]:
+        place = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        files = place.getFileSystem(self.spark._jsc.hadoopConfiguration())
+        known = [int(x.getPath().getName()) for x in files.listStatus(place)] if files.exists(place) else []
+        last = max((n for n in known if n < number), default=None)
+        return [] if last is None else [tuple(r) for r in self.spark.read.schema(self.schema).parquet(f"{self.path}/{last}").collect()]
+
+    def put(self, number: int, rows: list[tuple]) -> None:
+        self.spark.createDataFrame(rows, self.schema).coalesce(1).write.mode("overwrite").parquet(f"{self.path}/{number}")
+
+    def latest(self) -> list[tuple]:
+        return self.before(1 << 62)
+
+
 def two_pass_stream(source: Callable[[], DataFrame], metric: Metric, caps: tuple[int, ...], tau: float) -> tuple[Points | None, int, int]:
     """Two passes over a replayable stream at one guess: (centres, sets met, sets).
 
     State after each batch is the pivots, then for each pivot and group the
-    representative of smallest ord; both are keyed by the batch number, so a
-    replayed batch changes nothing.
+    representative of smallest ord.
     """
     k = sum(caps)
-    state: dict[int, list[tuple]] = {-1: []}
+    spark = source().sparkSession
+    pivot_state = BatchState(spark, f"ord bigint, grp int, coords {metric.coords}")
 
     def first(batch: DataFrame, number: int) -> None:
-        held = state[max(b for b in state if b < number)]
-        rows = sorted(scans.separated_pivots(_beyond(batch, metric, held, 2 * tau), metric, [2 * tau], k)[0][0].rows(metric))
-        state[number] = held + rows
+        held = sorted(pivot_state.before(number))
+        more = scans.separated_pivots(_beyond(batch, metric, held, 2 * tau), metric, [2 * tau], k)[0][0].rows(metric)
+        pivot_state.put(number, held + more)
 
     drain(source(), first)
-    pivots = Points.of(state[max(state)][: k + 1], metric)
+    pivots = Points.of(sorted(pivot_state.latest()), metric)
     if len(pivots) > k or not len(pivots):
         return None, 0, len(pivots)
-    best: dict[int, dict[tuple[int, int], tuple]] = {-1: {}}
+    rep_state = BatchState(spark, f"pivot int, ord bigint, grp int, coords {metric.coords}")
 
     def second(batch: DataFrame, number: int) -> None:
-        held = dict(best[max(b for b in best if b < number)])
+        held = {(p, g): (p, o, g, c) for p, o, g, c in rep_state.before(number)}
         (sets,) = scans.group_reps(batch, metric, [pivots], [tau])
         for p, s in enumerate(sets):
-            for row in s.rows(metric)[1:]:
-                held[p, row[1]] = min(held.get((p, row[1]), row), row, key=lambda r: r[0])
-        best[number] = held
+            for o, g, c in s.rows(metric)[1:]:
+                held[p, g] = min(held.get((p, g), (p, o, g, c)), (p, o, g, c), key=lambda r: r[1])
+        rep_state.put(number, list(held.values()))
 
     drain(source(), second)
-    found = best[max(best)]
-    sets = [Points.of([row, *(r for (q, g), r in sorted(found.items(), key=lambda x: x[0]) if q == p and g != row[1])], metric) for p, row in enumerate(pivots.rows(metric))]
+    found = sorted(rep_state.latest(), key=lambda r: (r[0], r[2]))
+    sets = [Points.of([row, *(r[1:] for r in found if r[0] == p and r[2] != row[1])], metric) for p, row in enumerate(pivots.rows(metric))]
     chosen, hits = hitting_set(sets, caps)
     return chosen, hits, len(sets)
 
@@ -68,38 +89,89 @@ def _beyond(points: DataFrame, metric: Metric, held: list[tuple], radius: float)
     return points.where(F.array_min(F.transform(few, lambda c: metric.column(F.col("coords"), c))) > radius)
 
 
-def one_pass_stream(stream: DataFrame, metric: Metric, caps: tuple[int, ...], guesses: list[float]) -> tuple[float, Points] | None:
-    """One pass over a stream for several guesses: the smallest that succeeds and its centres, or None.
+def coordinate_guesses(kept: dict[int, list[tuple[str, int, tuple]]], metric: Metric, caps: tuple[int, ...], guesses: list[float]) -> tuple[int, Points, int] | None:
+    """The smallest guess that the coordinator can finish from what shards kept, with its centres and sets; a guess that a shard broke has failed."""
+    for g, tau in enumerate(guesses):
+        rows = kept.get(g, [])
+        if not rows or any(role == "broken" for role, _, _ in rows):
+            continue
+        x, l = (Points.of([r for role, _, r in rows if role == kind], metric).sorted() for kind in ("pivot", "rep"))
+        chosen, hits, sets = coordinate_at(x, l, metric, caps, tau)
+        if chosen is not None and hits == sets:
+            return g, complete(chosen, caps, l), sets
+    return None
+
+
+def one_pass_stream(stream: DataFrame, metric: Metric, caps: tuple[int, ...], guesses: list[float]) -> tuple[float, Points, int] | None:
+    """One pass over a stream for several guesses: the smallest that succeeds, its centres and sets, or None.
 
-    Each batch goes through partition-wise states, whose few points then enter
-    the run's state, so the driver sees at most k points a guess, group and partition.
+    Every partition of every batch is a shard of the one-pass method; what it
+    keeps for all guesses is written under the batch's number, so a batch that
+    runs again overwrites its own, and the driver holds nothing in between.
     """
-    states = {t: OnePassState(metric, caps, t) for t in guesses}
+    path = new_path(stream.sparkSession, "shards")
 
     def each(batch: DataFrame, number: int) -> None:
-        for t, state in states.items():
-            (pivots,), _, _ = scans.separated_pivots(batch, metric, [2 * t], sum(caps), mode="ordered")
-            (sets,) = scans.group_reps(batch, metric, [pivots], [2 * t], caps)
-            rows = sorted({r[0]: r for s in sets for r in s.rows(metric)}.values())
-            P = Points.of(rows, metric)
-            state.insert(P.ord, P.grp, P.coords)
+        one_pass_shards(batch, metric, caps, guesses).write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     drain(stream, each)
-    for t in guesses:
-        rows = states[t].rows()
-        if states[t].broken or not rows:
-            continue
-        pivots, reps = (Points.of([r for role, r in rows if role == kind], metric) for kind in ("pivot", "rep"))
-        chosen, hits, sets = coordinate_at(pivots, reps, metric, caps, t)
-        if chosen is not None and hits == sets:
-            return t, complete(chosen, caps, reps)
-    return None
+    kept: dict[int, list[tuple[str, int, tuple]]] = {}
+    for r in stream.sparkSession.read.parquet(path).collect():
+        kept.setdefault(r.g, []).append((r.role, r.pivot, (r.ord, r.grp, r.coords)))
+    found = coordinate_guesses(kept, metric, caps, guesses)
+    return None if found is None else (guesses[found[0]], found[1], found[2])
+
+
+def one_pass_keyed(stream: DataFrame, metric: Metric, caps: tuple[int, ...], guesses: list[float], name: str) -> DataFrame:
+    """One-pass state per key of a stream of (key, ord, grp, coords): (key, arrivals, kept), the state after the last batch that had rows of it.
 
+    The state is what :class:`OnePassState` holds for every guess, at most k
+    pivots and their quotas, in the query's state store; ``kept`` is its JSON,
+    which :func:`finish_key` turns into centres.
+    """
+    import pandas as pd
+
+    def load(text: str) -> list[OnePassState]:
+        states = []
+        for t, (broken, pivots, reps) in zip(guesses, json.loads(text)):
+            state = OnePassState(metric, caps, t)
+            state.broken = broken
+            state.pivots = Points.of(pivots, metric) if pivots else None
+            state.reps = [{int(g): [tuple(r) for r in have] for g, have in held.items()} for held in reps]
+            states.append(state)
+        return states
+
+    def step(key: tuple, frames: Iterator[pd.DataFrame], group) -> Iterator[pd.DataFrame]:
+        arrivals, text = group.get if group.exists else (0, None)
+        states = load(text) if text else [OnePassState(metric, caps, t) for t in guesses]
+        rows = pd.concat(list(frames)).sort_values("ord", kind="stable")
+        more = Points.of([(o, g, c.tolist() if isinstance(c, np.ndarray) else c) for o, g, c in zip(rows["ord"], rows["grp"], rows["coords"])], metric)
+        for state in states:
+            state.insert(more)
+        text = json.dumps([(s.broken, [] if s.pivots is None else s.pivots.rows(metric), s.reps) for s in states])
+        group.update((arrivals + len(rows), text))
+        yield pd.DataFrame({"key": [key[0]], "arrivals": [arrivals + len(rows)], "kept": [text]})
+
+    kept = stream.select("key", "ord", "grp", "coords").groupBy("key").applyInPandasWithState(step, "key string, arrivals bigint, kept string", "arrivals bigint, kept string", "update", "NoTimeout")
+    query = kept.writeStream.format("memory").queryName(name).outputMode("update").trigger(availableNow=True).option("checkpointLocation", new_path(stream.sparkSession, "progress")).start()
+    query.awaitTermination()
+    return stream.sparkSession.table(name).groupBy("key").agg(F.max("arrivals").alias("arrivals"), F.max_by("kept", "arrivals").alias("kept"))
+
+
+def finish_key(text: str, metric: Metric, caps: tuple[int, ...], guesses: list[float]) -> tuple[int, Points, int] | None:
+    """(guess number, centres, sets) of one key's state."""
+    kept = {}
+    for g, (broken, pivots, reps) in enumerate(json.loads(text)):
+        kept[g] = [("broken", 0, ())] if broken else [("pivot", p, tuple(r)) for p, r in enumerate(pivots)] + [("rep", p, tuple(r)) for p, held in enumerate(reps) for have in held.values() for r in have]
+    return coordinate_guesses(kept, metric, caps, guesses)
 
-def window_summaries(points: DataFrame, metric: Metric, caps: tuple[int, ...], length: str) -> DataFrame:
-    """The block message of every tumbling window of (ord, grp, coords, ts): (window_start, ord, grp, coords, r), pivots and representatives once each."""
-    from ..methods import summarise
 
+def window_summaries(points: DataFrame, metric: Metric, caps: tuple[int, ...], length: str, parts: int = 1) -> DataFrame:
+    """The block message of every tumbling window of (ord, grp, coords, ts): (window_start, part, ord, grp, coords, r), pivots and representatives once each.
+
+    A window whose rows are too many for one task is cut into ``parts`` blocks
+    by ord, each with its own message; a coordinator takes them together.
+    """
     k = sum(caps)
 
     def one(table):
@@ -109,26 +181,37 @@ def window_summaries(points: DataFrame, metric: Metric, caps: tuple[int, ...], l
         ords, grps = table["ord"].to_numpy(), table["grp"].to_numpy()
         pivots, reps, r = summarise(ords, grps, metric.load(column), metric, k)
         at = sorted({*pivots, *(i for _, i in reps)}, key=lambda i: ords[i])
-        return pa.table({"window_start": table["w"].take(pa.array(at)), "ord": ords[at], "grp": pa.array(grps[at], pa.int32()), "coords": column.take(pa.array(at)), "r": np.full(len(at), r)})
+        return pa.table({"window_start": table["w"].take(pa.array(at)), "part": table["part"].take(pa.array(at)), "ord": ords[at], "grp": pa.array(grps[at], pa.int32()), "coords": column.take(pa.array(at)), "r": np.full(len(at), r)})
+
+    rows = points.select(F.window("ts", length)["start"].alias("w"), F.pmod("ord", F.lit(parts)).cast("int").alias("part"), "ord", "grp", "coords")
+    return rows.groupBy("w", "part").applyInArrow(one, f"window_start timestamp, part int, ord bigint, grp int, coords {metric.coords}, r double")
+
 
-    rows = points.select(F.window("ts", length)["start"].alias("w"), "ord", "grp", "coords")
-    return rows.groupBy("w").applyInArrow(one, f"window_start timestamp, ord bigint, grp int, coords {metric.coords}, r double")
+def _in_memory(frame: DataFrame, name: str, mode: str) -> DataFrame:
+    query = frame.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", new_path(frame.sparkSession, "progress")).start()
+    query.awaitTermination()
+    return frame.sparkSession.table(name)
 
 
 def watermark_counts(stream: DataFrame, delay: str, length: str, name: str) -> DataFrame:
     """Counts of a stream of (ts, grp) by window and group, late rows within the delay counted, read back from memory."""
     counted = stream.withWatermark("ts", delay).groupBy(F.window("ts", length), "grp").agg(F.count("*").alias("n"))
-    query = counted.writeStream.format("memory").queryName(name).outputMode("complete").trigger(availableNow=True).option("checkpointLocation", tempfile.mkdtemp(prefix="stream-")).start()
-    query.awaitTermination()
-    return stream.sparkSession.table(name).select(F.col("window.start").alias("window_start"), "grp", "n")
+    return _in_memory(counted, name, "complete").select(F.col("window.start").alias("window_start"), "grp", "n")
+
+
+def session_counts(stream: DataFrame, delay: str, gap: str, name: str) -> DataFrame:
+    """Rows of a stream of (ts, key) in each session of a key; a session ends when nothing comes for the gap."""
+    counted = stream.withWatermark("ts", delay).groupBy(F.session_window("ts", gap), "key").agg(F.count("*").alias("n"))
+    return _in_memory(counted, name, "complete").select("key", "n")
+
+
+def distinct_within(stream: DataFrame, delay: str, keys: list[str], name: str) -> DataFrame:
+    """The stream with repeats of its keys dropped, as long as they come within the delay."""
+    return _in_memory(stream.withWatermark("ts", delay).dropDuplicatesWithinWatermark(keys), name, "append")
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """``events`` as a file stream of (ts, event_type, ord, grp, coords); TIMESTAMP_NTZ becomes TIMESTAMP, which watermarks need."""
+    """``events`` as a file stream; TIMESTAMP_NTZ becomes TIMESTAMP, which watermarks need."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
     raw = spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
-
-
-def as_instance(points: DataFrame, metric: Metric, caps: tuple[int, ...]) -> FairInstance:
-    return FairInstance(points, metric, caps)

@@ -1,11 +1,12 @@
 """Streams give what the batch gives."""
 
+import numpy as np
 from pyspark.sql import functions as F
 
-from fairsummary import methods
+from fairsummary import methods, scans
 from fairsummary.metrics import L1
-from fairsummary.model import FairInstance
-from fairsummary.streaming import one_pass_stream, two_pass_stream, window_summaries
+from fairsummary.model import FairInstance, Points
+from fairsummary.streaming import finish_key, one_pass_keyed, one_pass_stream, two_pass_stream, window_summaries
 
 
 def test_stream_two_pass_equals_batch(spark, tmp_path):
@@ -16,9 +17,38 @@ def test_stream_two_pass_equals_batch(spark, tmp_path):
     inst = FairInstance(points, L1, (2, 2))
     tau = methods.two_pass(inst).tau
     a, b = two_pass_stream(source, L1, (2, 2), tau), methods.two_pass_at(inst, tau)
-    assert a[1:] == b[1:] and sorted(a[0].ord.tolist()) == sorted(b[0].ord.tolist())
-    got = one_pass_stream(source(), L1, (2, 2), [tau, 4 * tau, 40 * tau])
-    assert got is not None and all((got[1].grp == j).sum() <= 2 for j in (0, 1))
+    assert a[1:] == (b[1], len(b[2])) and sorted(a[0].ord.tolist()) == sorted(b[0].ord.tolist())
+    guesses = [tau * 1.5**i for i in range(-3, 8)]
+    at, centres, _ = one_pass_stream(source(), L1, (2, 2), guesses)
+    assert all((centres.grp == j).sum() <= 2 for j in (0, 1)) and scans.cover_distance(points, L1, [centres.coords])[0] <= 17 * at
+
+
+def test_batches_do_not_lose_points(spark, tmp_path):
+    """Files are batches; a batch that breaks a guess fails it instead of dropping its other points."""
+    rows = [(0, 0, [0]), (1, 1, [10]), (2, 0, [25]), (3, 1, [40]), (4, 0, [1000000])]
+    schema = "ord bigint, grp int, coords array<bigint>"
+    for i, r in enumerate(rows):
+        spark.createDataFrame([r], schema).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    source = spark.readStream.schema(schema).option("maxFilesPerTrigger", 2).parquet(str(tmp_path / "in"))
+    guesses = [1.0 * 1.1**i for i in range(150)]
+    at, centres, _ = one_pass_stream(source, L1, (1, 1), guesses)
+    assert scans.cover_distance(spark.createDataFrame(rows, schema), L1, [centres.coords])[0] <= 17 * at <= 17 * 1.1 * 30
+
+
+def test_keyed_state_equals_one_shard_a_key(spark, tmp_path):
+    rows = [(f"k{i % 3}", i, i % 2, [(i * 37) % 101, (i * 53) % 97]) for i in range(90)]
+    schema = "key string, ord bigint, grp int, coords array<bigint>"
+    for part in range(3):
+        spark.createDataFrame(rows[30 * part : 30 * part + 30], schema).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema(schema).parquet(str(tmp_path / "in"))
+    guesses = [5.0 * 1.2**i for i in range(20)]
+    got = {r.key: r for r in one_pass_keyed(stream, L1, (2, 1), guesses, "keyed_test").collect()}
+    assert {k: r.arrivals for k, r in got.items()} == {"k0": 30, "k1": 30, "k2": 30}
+    for key, r in got.items():
+        own = [x[1:] for x in rows if x[0] == key]
+        g, centres, _ = finish_key(r.kept, L1, (2, 1), guesses)
+        X = Points(np.array([o[0] for o in own]), np.array([o[1] for o in own]), np.array([o[2] for o in own]))
+        assert scans.cover_distance(X, L1, [centres.coords])[0] <= 17 * guesses[g] and all((centres.grp == j).sum() <= c for j, c in enumerate((2, 1)))
 
 
 def test_window_summaries_cover(spark):
@@ -26,3 +56,5 @@ def test_window_summaries_cover(spark):
     points = spark.createDataFrame(rows, "ord bigint, grp int, coords array<bigint>, sec bigint").withColumn("ts", F.timestamp_seconds("sec"))
     out = window_summaries(points, L1, (2, 2), "1 day").groupBy("window_start").count().collect()
     assert len(out) == 2 and all(r["count"] <= 8 for r in out)
+    cut = window_summaries(points, L1, (2, 2), "1 day", parts=3).groupBy("window_start", "part").count().collect()
+    assert len(cut) == 6 and all(r["count"] <= 8 for r in cut)
