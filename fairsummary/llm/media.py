@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import CHUNK_BYTES, extended, text_slices
+from .common import CHUNK_BYTES, extended, new_path, text_slices
 from .words import raw_bytes
 
 #: Format tags of the RIFF/WAVE container.
@@ -168,11 +168,23 @@ def describe(pcm: np.ndarray, rate: int) -> str:
     return f"n={len(x)};rate={rate};mean={int(x.sum()) // n};power={energy // n};peak={peak};zc={crossings};crc={zlib.crc32(pcm.astype('<i2').tobytes())}"
 
 
-def store_payload(docs: DataFrame, *, text_col: str = "text", pad: int = 64, tag: int = MULAW) -> DataFrame:
-    """Each text's UTF-8 bytes, zero-padded to a positive multiple of ``pad``, as the samples of an 8-bit telephony file.
+#: Codecs that a payload may be stored in, one of them by the payload's checksum; each takes any byte as a code.
+CODECS = (MULAW, ALAW, IMA)
+
+
+def wrap(payload: bytes, pad: int, tag: int | None = None) -> bytes:
+    """The payload's bytes as the codes of a telephony file: 8-bit samples at 8 kHz, or ADPCM blocks of ``pad`` bytes at 16 kHz, which last about as long."""
+    tag = CODECS[zlib.crc32(payload) % len(CODECS)] if tag is None else tag
+    return wave(payload, IMA, 2 * RATE, pad) if tag == IMA else wave(payload, tag)
+
+
+def store_payload(docs: DataFrame, *, text_col: str = "text", pad: int = 64, tag: int | None = None) -> DataFrame:
+    """Each text's UTF-8 bytes, zero-padded to a positive multiple of ``pad``, as the codes of a telephony file.
 
     Adds ``n_bytes`` and ``media``; null texts are empty and give ``pad`` zero
-    bytes.  Other columns stay; columns named like the added ones are replaced.
+    bytes.  Without a ``tag`` the payload's checksum deals it to mu-law, A-law
+    or ADPCM, so a column holds all three.  Other columns stay; columns named
+    like the added ones are replaced.
     """
     base = docs.drop("n_bytes", "media")
 
@@ -182,48 +194,92 @@ def store_payload(docs: DataFrame, *, text_col: str = "text", pad: int = 64, tag
                 data, offs = raw_bytes(b.column(b.schema.get_field_index(text_col)))
                 body = data.tobytes()
                 size = np.diff(offs)
-                media = [wave(body[s:e] + bytes(max(pad, -(-(e - s) // pad) * pad) - (e - s)), tag) for s, e in zip(offs[:-1].tolist(), offs[1:].tolist())]
+                media = [wrap(body[s:e] + bytes(max(pad, -(-(e - s) // pad) * pad) - (e - s)), pad, tag) for s, e in zip(offs[:-1].tolist(), offs[1:].tolist())]
                 yield pa.RecordBatch.from_arrays([*b.columns, pa.array(size.astype(np.int64)), pa.array(media, pa.binary())], [*b.schema.names, "n_bytes", "media"])
 
     return base.mapInArrow(store, extended(base.schema, "n_bytes long, media binary"))
 
 
+def write_media(media: DataFrame, path: str) -> DataFrame:
+    """Write media rows as Parquet at ``path`` and return what is read back from there."""
+    media.write.option("compression", "zstd").option("parquet.compression.codec.zstd.level", "9").parquet(path)
+    return media.sparkSession.read.schema(media.schema).parquet(path)
+
+
+def decode_all(files: list[tuple[int, int, int, bytes] | None]) -> list[np.ndarray | None]:
+    """Samples of parsed files; the ADPCM blocks of all files of one block size advance together."""
+    out: list[np.ndarray | None] = [None] * len(files)
+    blocks: dict[int, list[int]] = {}
+    for i, f in enumerate(files):
+        if f is None:
+            continue
+        tag, _, align, data = f
+        if tag == IMA and align > 4 and len(data) % align == 0:
+            blocks.setdefault(align, []).append(i)
+        elif tag == IMA:
+            out[i] = decode_ima(data, max(align, 5))
+        else:
+            out[i] = np.frombuffer(data[: len(data) // 2 * 2], "<i2") if tag == PCM else expand(data, tag)
+    for align, some in blocks.items():
+        pcm = decode_ima(b"".join(files[i][3] for i in some), align)
+        ends = np.cumsum([len(files[i][3]) // align * (1 + 2 * (align - 4)) for i in some])
+        for i, x in zip(some, np.split(pcm, ends[:-1])):
+            out[i] = x
+    return out
+
+
 def media_features(media: DataFrame, *, media_col: str = "media", rate: int | None = None, keep_pcm: bool = False) -> DataFrame:
     """Decode a column of telephony files: payload digest, tail checksum, file digest, features, optionally resampled PCM.
 
-    Null or unreadable media give null results.  The resampled samples are
-    stored as a 16-bit PCM file in ``pcm`` when ``keep_pcm`` is set.
+    Null or unreadable media give null results; of unreadable ones the size and
+    digest are known.  The resampled samples are stored as a 16-bit PCM file in
+    ``pcm`` when ``keep_pcm`` is set.
     """
     added = "payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string" + ", pcm binary" * keep_pcm
     names = [x.split()[0] for x in added.split(", ")]
     base = media.drop(*names)
 
-    def one(m: bytes | None) -> tuple:
-        if m is None:
-            return (None,) * len(names)
-        digest = hashlib.sha256(m).hexdigest()
+    def parsed(m: bytes | None) -> tuple[int, int, int, bytes] | None:
         try:
-            _, _, _, data = parse_wave(m)
-            pcm, own = samples_of(m)
+            found = None if m is None else parse_wave(m)
         except (ValueError, struct.error):
-            return (None, None, None, len(m), digest, None, *[None] * keep_pcm)
-        if rate:
-            pcm, own = resample(pcm, own, rate), rate
-        tail = (len(data), hashlib.sha256(data).hexdigest(), zlib.crc32(data[-64:]), len(m), digest, describe(pcm, own))
-        return (*tail, wave(pcm.astype("<i2").tobytes(), PCM, own)) if keep_pcm else tail
+            return None
+        return found if found is None or found[0] in (PCM, *CODECS) else None
+
+    def rows_of(column: list[bytes | None]) -> Iterator[tuple]:
+        files = [parsed(m) for m in column]
+        for m, f, pcm in zip(column, files, decode_all(files)):
+            if f is None:
+                yield (*[None] * 3, *((None, None) if m is None else (len(m), hashlib.sha256(m).hexdigest())), *[None] * (1 + keep_pcm))
+                continue
+            own, data = f[1], f[3]
+            if rate:
+                pcm, own = resample(pcm, own, rate), rate
+            row = (len(data), hashlib.sha256(data).hexdigest(), zlib.crc32(data[-64:]), len(m), hashlib.sha256(m).hexdigest(), f"codec={f[0]};{describe(pcm, own)}")
+            yield (*row, wave(pcm.astype("<i2").tobytes(), PCM, own)) if keep_pcm else row
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for lo in range(0, batch.num_rows, 64):
-                b = batch.slice(lo, 64)
-                rows = [one(m.as_py()) for m in b.column(b.schema.get_field_index(media_col))]
+            for b in binary_slices(batch, media_col):
+                rows = list(rows_of(b.column(b.schema.get_field_index(media_col)).to_pylist()))
                 cols = [pa.array(c, t) for c, t in zip(zip(*rows), [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.binary()])]
                 yield pa.RecordBatch.from_arrays([*b.columns, *cols], [*b.schema.names, *names])
 
     return base.mapInArrow(read, extended(base.schema, added))
 
 
+def binary_slices(batch: pa.RecordBatch, column: str) -> Iterator[pa.RecordBatch]:
+    """Slices of about CHUNK_BYTES of media, which bounds the decoded samples held at once."""
+    return text_slices(batch, column, CHUNK_BYTES)
+
+
 def digest(docs: DataFrame) -> DataFrame:
-    """The query's columns: the payload as mu-law samples, read back at 8 kHz and described at 16 kHz."""
-    stored = store_payload(docs.select("doc_id", "text")).select("doc_id", "n_bytes", "media")
-    return media_features(stored, rate=2 * RATE).select("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")
+    """The query's columns: payloads in all three codecs written as a media table, read back, resampled to 8 kHz and described; the PCM is stored and counted from its files.
+
+    ``pcm_bytes`` and ``pcm_crc32`` are those of the stored PCM file's samples.
+    """
+    spark = docs.sparkSession
+    stored = write_media(store_payload(docs.select("doc_id", "text")).select("doc_id", "n_bytes", "media"), new_path(spark, "media"))
+    found = write_media(media_features(stored, rate=RATE, keep_pcm=True).drop("media"), new_path(spark, "pcm"))
+    size = F.octet_length("pcm") - 44  # a PCM file's header has 44 bytes
+    return found.select("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", size.cast("long").alias("pcm_bytes"), F.crc32(F.expr("substr(pcm, 45)")).alias("pcm_crc32"))
