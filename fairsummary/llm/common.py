@@ -64,6 +64,23 @@ def sized(df: DataFrame, limit: int = BROADCAST_BYTES, inflation: int = 4) -> Da
     return F.broadcast(df) if stored_bytes(df) * inflation <= limit else df
 
 
+#: Rows of one key from which it is joined apart from the others.
+HOT_ROWS = 100_000
+
+
+def label_rows(rows: DataFrame, label: DataFrame, key: str, hot: int = HOT_ROWS) -> DataFrame:
+    """Join materialized ``label`` (key, labels, n), one row a key with its number of rows, to the rows.
+
+    A small label table is broadcast.  Of a large one only the keys of at least
+    ``hot`` rows are: they are at most one for each ``hot`` rows, and their rows
+    stay where they are, so no key puts more than that into one task.
+    """
+    if stored_bytes(label) * 4 <= BROADCAST_BYTES:
+        return rows.join(F.broadcast(label.drop("n")), key)
+    many, few = (label.where(c).drop("n") for c in (F.col("n") >= hot, F.col("n") < hot))
+    return rows.join(F.broadcast(many), key).unionByName(rows.join(F.broadcast(many.select(key)), key, "left_anti").join(few, key))
+
+
 def extended(schema: T.StructType, ddl: str) -> T.StructType:
     """The schema with the DDL's columns after its own."""
     return T.StructType([*schema.fields, *T.StructType.fromDDL(ddl).fields])

@@ -18,9 +18,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import materialize, text_slices
-from .words import find_words
+from .simhash import fingerprint, label_fingerprints
+from .words import find_words, raw_bytes
 
 CAPACITY = 2048
+#: Words of a shingle and differing bits of linked fingerprints, for clusters of near duplicates.
+SHINGLE, LINK_BITS = 5, 2
 #: Pieces packed together in one task; shards are packed apart from each other.
 SHARD = 4096
 
@@ -68,16 +71,50 @@ def brute_force(sizes: list[int], sources: list, clusters: list, capacity: int)
     return out
 
 
-def measure(docs: DataFrame, *, text_col: str = "text", id_col: str = "doc_id", source_col: str = "source") -> DataFrame:
-    """(doc_id, source, cluster, n_tokens) of every document: words of the whole text, and the hash of the text as its cluster of exact copies."""
+def measure(docs: DataFrame, *, near: bool = False, text_col: str = "text", id_col: str = "doc_id", source_col: str = "source") -> DataFrame:
+    """(doc_id, source, cluster, n_tokens) of every document: words of the whole text, and its duplicate cluster.
+
+    A cluster is the exact copies of a text, or with ``near`` the documents
+    whose fingerprints of five-word shingles are linked by at most 2 differing
+    bits, copies included.
+    """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), F.xxhash64(text_col).alias("cluster"), F.col(text_col).alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for b in text_slices(batch, "text"):
-                yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(find_words(b.column(3)).count.astype(np.int64))], ["doc_id", "source", "cluster", "n_tokens"])
+                cluster = b.column(2)
+                if near:
+                    data, offs = raw_bytes(b.column(3))
+                    body, offs = data.tobytes(), offs.tolist()
+                    cluster = pa.array([fingerprint(body[s:e], SHINGLE)[0] for s, e in zip(offs[:-1], offs[1:])], pa.int64())
+                yield pa.RecordBatch.from_arrays([*b.columns[:2], cluster, pa.array(find_words(b.column(3)).count.astype(np.int64))], ["doc_id", "source", "cluster", "n_tokens"])
+
+    found = rows.mapInArrow(run, "doc_id long, source string, cluster long, n_tokens long")
+    if not near:
+        return found
+    found = materialize(found, "measured")
+    return found.withColumnRenamed("cluster", "fp").transform(lambda x: label_fingerprints(x, LINK_BITS)).withColumnRenamed("root", "cluster").select("doc_id", "source", "cluster", "n_tokens")
+
 
-    return rows.mapInArrow(run, "doc_id long, source string, cluster long, n_tokens long")
+def token_items(table: DataFrame, docs: DataFrame, *, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text") -> DataFrame:
+    """(doc_id, source, cluster, n_tokens) with the counts of a token table, whose ids are unique."""
+    known = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), F.xxhash64(text_col).alias("cluster"))
+    return table.select("doc_id", "n_tokens").join(known, "doc_id").select("doc_id", "source", "cluster", "n_tokens")
+
+
+def build_sequences(placed: DataFrame, table: DataFrame) -> DataFrame:
+    """(shard, bin, n_tokens, doc_ids, ids) of every bin: the ids of its pieces one after the other, the longest first, ties by document and piece.
+
+    ``placed`` is what :func:`pack` makes of the counts of ``table`` (doc_id,
+    ids).  A bin holds at most the capacity, so no group grows with the input.
+    """
+    own = placed.where("n_tokens > 0").join(table.select("doc_id", "ids"), "doc_id")
+    cut = F.slice("ids", (F.col("start") + 1).cast("int"), F.col("n_tokens").cast("int"))
+    rows = own.select("shard", "bin", F.struct((-F.col("n_tokens")).alias("size"), "doc_id", "piece", cut.alias("ids")).alias("x"))
+    bins = rows.groupBy("shard", "bin").agg(F.sort_array(F.collect_list("x")).alias("x"))
+    ids = F.flatten(F.transform("x", lambda x: x["ids"]))
+    return bins.select("shard", "bin", F.size(ids).cast("long").alias("n_tokens"), F.transform("x", lambda x: x["doc_id"]).alias("doc_ids"), ids.alias("ids"))
 
 
 def pack(items: DataFrame, *, capacity: int = CAPACITY, shard_size: int = SHARD) -> DataFrame:
@@ -114,5 +151,5 @@ def pack(items: DataFrame, *, capacity: int = CAPACITY, shard_size: int = SHARD)
 
 
 def digest(docs: DataFrame) -> DataFrame:
-    """Where every piece of every document goes, at the default capacity."""
-    return pack(measure(docs))
+    """Where every piece of every document goes, at the default capacity; near duplicates share a cluster."""
+    return pack(measure(docs, near=True))

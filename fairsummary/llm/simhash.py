@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, null_safe, sized, text_slices
+from .common import materialize, null_safe, sized, text_slices, label_rows
 from .graph import components
 from .words import find_words, range_hash, raw_bytes
 
@@ -262,6 +262,15 @@ def _shared_neighbours(nodes: DataFrame, max_bits: int) -> DataFrame:
     return rows.join(least, "hub").where("node != a").select("a", F.col("node").alias("b")).distinct()
 
 
+def label_fingerprints(rows: DataFrame, max_bits: int) -> DataFrame:
+    """Adds ``root`` to materialized rows with a fingerprint ``fp``: the smallest fingerprint that links within ``max_bits`` reach."""
+    counts = materialize(rows.groupBy("fp").agg(F.count("*").alias("n")), "nodes")
+    nodes = counts.select(F.col("fp").alias("node"), "fp", F.lit(1).alias("size"))
+    roots = components(links(nodes, max_bits))
+    label = materialize(counts.join(roots, F.col("fp") == F.col("node"), "left").select("fp", F.coalesce("root", "fp").alias("root"), "n"), "labels")
+    return label_rows(rows, label, "fp")
+
+
 def near_components(docs: DataFrame, *, shingle: int = 3, max_bits: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, fp, component_id) for every row; rows of one fingerprint are linked at distance zero.
 
@@ -269,13 +278,13 @@ def near_components(docs: DataFrame, *, shingle: int = 3, max_bits: int = 2, id_
     component without any id has a null ``component_id``.
     """
     rows = materialize(fingerprints(docs, id_col=id_col, text_col=text_col, shingle=shingle).select("doc_id", "fp"), "fingerprints")
-    nodes = materialize(rows.groupBy("fp").agg(F.min("doc_id").alias("least")).select(F.col("fp").alias("node"), "fp", F.lit(1).alias("size"), "least"), "nodes")
-    edges = links(nodes.drop("least"), max_bits)
+    nodes = materialize(rows.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count("*").alias("n")).select(F.col("fp").alias("node"), "fp", F.lit(1).alias("size"), "least", "n"), "nodes")
+    edges = links(nodes.drop("least", "n"), max_bits)
     roots = components(edges)
-    labelled = nodes.join(roots, "node", "left").select("fp", "least", F.coalesce("root", "node").alias("root"))
+    labelled = nodes.join(roots, "node", "left").select("fp", "least", "n", F.coalesce("root", "node").alias("root"))
     least = labelled.groupBy("root").agg(F.min("least").alias("component_id"))
-    label = materialize(labelled.join(least, "root").select("fp", "component_id"), "labels")
-    return rows.join(sized(label), "fp").select("doc_id", "fp", "component_id")
+    label = materialize(labelled.join(least, "root").select("fp", "component_id", "n"), "labels")
+    return label_rows(rows, label, "fp").select("doc_id", "fp", "component_id")
 
 
 def digest(docs: DataFrame) -> DataFrame:

@@ -72,7 +72,7 @@ def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> tupl
     """
     split = [[w for w in split_words(t.lower()) if w] for t in texts]
     y = np.array(labels, float)
-    full = np.array([len(x) > 0 for x in split])
+    full = np.array([len(x) > 0 for x in split], bool)
     split, y = [x for x, f in zip(split, full) if f], y[full]
     if not len(y) or y.min() == y.max():
         return np.zeros(s.buckets), (0.0 if not len(y) else 4.0 * (2 * y[0] - 1))
@@ -182,12 +182,15 @@ def held_out(doc_id: str):
 def fit(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> tuple[np.ndarray, float]:
     """Train on at most ``s.sample`` labelled documents a class, those with the smallest hash of their id.
 
-    Ids are chosen from the labels alone; only the chosen documents' texts are gathered.
+    Ids are chosen from the labels alone; only the chosen documents' texts are
+    gathered.  An id with both labels counts as toxic; of rows that repeat an id
+    the text of the smallest hash counts.  Null ids and other labels do not.
     """
-    known = labels.where(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out("doc_id")).select("doc_id", F.col("toxic").cast("int").alias("toxic")).dropDuplicates(["doc_id"])
+    known = labels.where(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out("doc_id")).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     chosen = [known.where(F.col("toxic") == k).orderBy(F.xxhash64("doc_id"), "doc_id").limit(s.sample) for k in (0, 1)]
     rows = chosen[0].unionByName(chosen[1])
-    sample = docs.select("doc_id", "text").join(F.broadcast(rows), "doc_id").repartition(1)
+    own = docs.select("doc_id", "text").join(F.broadcast(rows), "doc_id")
+    sample = own.groupBy("doc_id", "toxic").agg(F.min_by("text", F.xxhash64("text")).alias("text")).select("doc_id", "text", "toxic").repartition(1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         got = pa.Table.from_batches(batches) if (batches := list(batches)) else None
