@@ -245,6 +245,11 @@ def test_neighbours(spark):
         hits, total = hits + len({v for _, v, _ in mine} & set(want.tolist())), total + 10
     assert hits / total >= 0.9 and {r.query_id for r in got} == set(range(0, 900, 100))
     assert neighbours.digest(e.where("false")).count() == 0
+    # a small top, so leaves are split below it; one position holds a third of the rows and cannot be
+    small = neighbours.Settings(sample=128, leaf=16, full=24, fit=64, beam=4)
+    deep = neighbours.search(e, s=small).collect()
+    truth = {(r.query_id, r.vec_id) for r in got}
+    assert len(deep) == len(got) and len(truth & {(r.query_id, r.vec_id) for r in deep}) >= 0.9 * len(truth)
 
 
 def _components(fps, bits):
