@@ -33,6 +33,8 @@ CROWD = 48
 LEADERS = 8
 #: Texts, at most about twice as many, that show which shingles are common, and common shingles that are told apart; they set an order, not the result.
 SAMPLE, COMMON = 4000, 100_000
+#: Shingles that a first round of prefixes may add to them.
+SHARED = 2_000_000
 
 
 def _bits_of(hashes: list[int]) -> int:
@@ -333,6 +335,20 @@ def common_shingles(texts: DataFrame, n: int, shingle: int) -> tuple[np.ndarray,
     return h[order], count[order]
 
 
+def known_shared(keys: DataFrame, common: tuple[np.ndarray, np.ndarray], most: int = SHARED) -> tuple[np.ndarray, np.ndarray]:
+    """The common shingles and, of ``keys``, the ``most`` that occur most often beyond once: hashes in order, and counts.
+
+    They only order prefixes, so a bound on them costs candidates, not pairs.
+    """
+    got = keys.groupBy("key").count().where("count > 1").orderBy(F.desc("count"), "key").limit(most).toArrow()
+    h = np.concatenate([got["key"].to_numpy().view(np.uint64), common[0]])
+    count = np.concatenate([got["count"].to_numpy(), common[1]])
+    order = np.lexsort((-count, h))
+    h, count = h[order], count[order]
+    kept = np.append(True, h[1:] != h[:-1])[: len(h)]
+    return h[kept], count[kept]
+
+
 def prefixes(texts: DataFrame, common: tuple[np.ndarray, np.ndarray], *, shingle: int, similarity: float) -> DataFrame:
     """(node, size, parity, keys) of (node, text): number of distinct shingles, parities of 256 hash buckets, prefix.
 
@@ -374,39 +390,55 @@ def similar_links(texts: DataFrame, n: int, *, shingle: int = 5, similarity: flo
     """Edges (a, b) that connect exactly the texts (node, text) which chains of pairs of that Jaccard similarity connect.
 
     Candidates share a shingle of their prefixes, which no such pair fails to
-    do.  Members of a bucket are first compared with its smallest and largest
-    node; then every pair of a bucket that is not connected by that gets a look,
+    do.  First every text meets one other, the smallest node it shares such a
+    shingle with, which connects most copies for one look each.  In buckets
+    that are not one group by then, members meet the smallest and the largest
+    node; then every pair of a bucket that is still not connected gets a look,
     in buckets of whatever size.
     """
-    sets = materialize(prefixes(texts, common_shingles(texts, n, shingle), shingle=shingle, similarity=similarity), "prefixes")
+    common = common_shingles(texts, n, shingle)
+    first = prefixes(texts, common, shingle=shingle, similarity=similarity).select(F.explode("keys").alias("key"))
+    common = known_shared(first, common)  # what a first round of prefixes finds in several texts goes behind what it does not
+    sets = materialize(prefixes(texts, common, shingle=shingle, similarity=similarity), "prefixes")
     keys = sets.select("node", F.posexplode("keys").alias("pos", "key"))
-    shared = materialize(keys.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi"), "shared")
+    shared = materialize(keys.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key", "lo"), "shared")
     members = materialize(keys.join(sized(shared), "key"), "members")
-    info = sets.drop("keys")
-    star = members.select("node", F.explode(F.array("lo", "hi")).alias("lead")).where("node <> lead").select(F.least("node", "lead").alias("a"), F.greatest("node", "lead").alias("b")).distinct()
-    a, b = info.alias("x"), info.alias("y")
-    star = star.join(a, F.col("a") == F.col("x.node")).join(b, F.col("b") == F.col("y.node")).where(_may_reach("x", "y", similarity)).select("a", "b")
-    sure = similar(materialize(star, "stars"), texts, shingle=shingle, similarity=similarity)
-    roots = sized(materialize(components(sure), "roots"))
-    rows = members.select("key", "pos", "node").join(roots, "node", "left").withColumn("group", F.coalesce("root", "node")).drop("root")
-    rows = materialize(rows, "grouped")
-    mixed = materialize(rows.groupBy("key").agg(F.min("group").alias("lo"), F.max("group").alias("hi")).where("lo < hi").select("key"), "mixed")
-    rows = materialize(rows.join(sized(mixed), "key", "left_semi").join(info, "node"), "open")
+    info = sized(materialize(sets.drop("keys").join(sized(materialize(members.select("node").distinct(), "sharing")), "node", "left_semi"), "info"))
+    hashes = materialize(shingle_sets(texts.join(sized(info.select("node")), "node", "left_semi"), "node", shingle), "shingles")
+
+    def look(pairs: DataFrame, tag: str) -> DataFrame:
+        a, b = info.alias("x"), info.alias("y")
+        able = pairs.join(a, F.col("a") == F.col("x.node")).join(b, F.col("b") == F.col("y.node")).where(_may_reach("x", "y", similarity)).select("a", "b")
+        return similar(materialize(able, tag), hashes, similarity=similarity)
+
+    def grouped(links: DataFrame) -> DataFrame:
+        """Members of the buckets that the links leave in more than one group."""
+        roots = sized(materialize(components(links), "roots"))
+        rows = materialize(members.select("key", "pos", "node").join(roots, "node", "left").withColumn("group", F.coalesce("root", "node")).drop("root"), "grouped")
+        mixed = materialize(rows.groupBy("key").agg(F.min("group").alias("lo"), F.max("group").alias("hi")).where("lo < hi").select("key"), "mixed")
+        return materialize(rows.join(sized(mixed), "key", "left_semi"), "open")
+
+    one = members.where("lo < node").groupBy("node").agg(F.min("lo").alias("a")).select("a", F.col("node").alias("b"))
+    sure = look(one, "ones")
+    open_ = grouped(sure)
+    ends = open_.groupBy("key").agg(F.min(F.struct("node", "group")).alias("lo"), F.max(F.struct("node", "group")).alias("hi"))
+    ends = sized(materialize(ends, "ends"))
+    star = open_.join(ends, "key").select("node", "group", F.explode(F.array("lo", "hi")).alias("lead")).where(F.col("group") != F.col("lead.group"))
+    star = star.select(F.least("node", "lead.node").alias("a"), F.greatest("node", "lead.node").alias("b")).distinct()
+    sure = sure.union(look(star.join(sized(materialize(one, "asked")), ["a", "b"], "left_anti"), "stars"))
+    rows = materialize(grouped(sure).join(info, "node"), "open")
     x, y = rows.alias("x"), rows.alias("y")
     sa, sb, i, j = F.col("x.size"), F.col("y.size"), F.col("x.pos"), F.col("y.pos")
     most = F.least(i, j) + 1 + F.least(sa - i, sb - j) - 1  # shared shingles before, at and after this one
     enough = (sa == 0) | (most >= (sa + sb) * (similarity / (1 + similarity)) - 1e-6)
     rest = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.group") != F.col("y.group")) & _may_reach("x", "y", similarity) & enough)
     rest = materialize(rest.select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct(), "pairs")
-    return similar(rest, texts, shingle=shingle, similarity=similarity).union(sure)
+    return similar(rest, hashes, similarity=similarity).union(sure)
 
 
-def similar(pairs: DataFrame, texts: DataFrame, *, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
-    """Of pairs (a, b), those whose texts (node, text) have a Jaccard similarity of word shingles of at least ``similarity``."""
-    asked = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
-    asked = sized(materialize(asked, "asked"))
-    sets = materialize(shingle_sets(texts.join(asked, "node", "left_semi"), "node", shingle), "shingles")
-    rows = pairs.join(sets.toDF("a", "sa"), "a").join(sets.toDF("b", "sb"), "b")
+def similar(pairs: DataFrame, hashes: DataFrame, *, similarity: float = 0.8) -> DataFrame:
+    """Of pairs (a, b), those whose sets of shingles in ``hashes`` (node, shingles) have a Jaccard similarity of at least ``similarity``."""
+    rows = pairs.join(hashes.toDF("a", "sa"), "a").join(hashes.toDF("b", "sb"), "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
