@@ -6,6 +6,7 @@ import gc
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -32,8 +33,26 @@ def shared_dir(spark: SparkSession) -> str:
     return base.rstrip("/")
 
 
-def new_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
+_SCRATCH: list[list[tuple[SparkSession, str]]] = []
+
+
+@contextmanager
+def scratch() -> Iterator[None]:
+    """What :func:`materialize` writes inside is removed at the end, but for what is to be kept."""
+    _SCRATCH.append([])
+    try:
+        yield
+    finally:
+        for spark, path in _SCRATCH.pop():
+            place = spark._jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def new_path(spark: SparkSession, tag: str, keep: bool = True) -> str:
+    path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
+    if _SCRATCH and not keep:
+        _SCRATCH[-1].append((spark, path))
+    return path
 
 
 def release() -> None:
@@ -44,10 +63,10 @@ def release() -> None:
         session.sparkContext._jvm.System.gc()
 
 
-def materialize(df: DataFrame, tag: str) -> DataFrame:
+def materialize(df: DataFrame, tag: str, keep: bool = False) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: lineage is cut and survives lost executors."""
     spark = df.sparkSession
-    path = new_path(spark, tag)
+    path = new_path(spark, tag, keep)
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     release()

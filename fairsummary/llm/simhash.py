@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, null_safe, sized, text_slices, label_rows
+from .common import label_rows, materialize, null_safe, scratch, sized, text_slices
 from .graph import components
 from .words import find_words, range_hash, raw_bytes
 
@@ -33,8 +33,8 @@ CROWD = 48
 LEADERS = 8
 #: Texts, at most about twice as many, that show which shingles are common, and common shingles that are told apart; they set an order, not the result.
 SAMPLE, COMMON = 4000, 100_000
-#: Shingles that a first round of prefixes may add to them.
-SHARED = 2_000_000
+#: Shingles that each of some rounds of prefixes may add to them.
+SHARED, ROUNDS = 2_000_000, 2
 
 
 def _bits_of(hashes: list[int]) -> int:
@@ -397,19 +397,18 @@ def similar_links(texts: DataFrame, n: int, *, shingle: int = 5, similarity: flo
     in buckets of whatever size.
     """
     common = common_shingles(texts, n, shingle)
-    first = prefixes(texts, common, shingle=shingle, similarity=similarity).select(F.explode("keys").alias("key"))
-    common = known_shared(first, common)  # what a first round of prefixes finds in several texts goes behind what it does not
+    for _ in range(ROUNDS):  # what a round of prefixes finds in several texts goes behind what it does not
+        common = known_shared(prefixes(texts, common, shingle=shingle, similarity=similarity).select(F.explode("keys").alias("key")), common)
     sets = materialize(prefixes(texts, common, shingle=shingle, similarity=similarity), "prefixes")
     keys = sets.select("node", F.posexplode("keys").alias("pos", "key"))
     shared = materialize(keys.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key", "lo"), "shared")
     members = materialize(keys.join(sized(shared), "key"), "members")
     info = sized(materialize(sets.drop("keys").join(sized(materialize(members.select("node").distinct(), "sharing")), "node", "left_semi"), "info"))
-    hashes = materialize(shingle_sets(texts.join(sized(info.select("node")), "node", "left_semi"), "node", shingle), "shingles")
 
     def look(pairs: DataFrame, tag: str) -> DataFrame:
         a, b = info.alias("x"), info.alias("y")
         able = pairs.join(a, F.col("a") == F.col("x.node")).join(b, F.col("b") == F.col("y.node")).where(_may_reach("x", "y", similarity)).select("a", "b")
-        return similar(materialize(able, tag), hashes, similarity=similarity)
+        return similar(materialize(able, tag), texts, shingle=shingle, similarity=similarity)
 
     def grouped(links: DataFrame) -> DataFrame:
         """Members of the buckets that the links leave in more than one group."""
@@ -433,11 +432,13 @@ def similar_links(texts: DataFrame, n: int, *, shingle: int = 5, similarity: flo
     enough = (sa == 0) | (most >= (sa + sb) * (similarity / (1 + similarity)) - 1e-6)
     rest = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.group") != F.col("y.group")) & _may_reach("x", "y", similarity) & enough)
     rest = materialize(rest.select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct(), "pairs")
-    return similar(rest, hashes, similarity=similarity).union(sure)
+    return similar(rest, texts, shingle=shingle, similarity=similarity).union(sure)
 
 
-def similar(pairs: DataFrame, hashes: DataFrame, *, similarity: float = 0.8) -> DataFrame:
-    """Of pairs (a, b), those whose sets of shingles in ``hashes`` (node, shingles) have a Jaccard similarity of at least ``similarity``."""
+def similar(pairs: DataFrame, texts: DataFrame, *, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+    """Of pairs (a, b), those whose texts (node, text) have a Jaccard similarity of word shingles of at least ``similarity``."""
+    asked = sized(materialize(pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct(), "asked"))
+    hashes = materialize(shingle_sets(texts.join(asked, "node", "left_semi"), "node", shingle), "shingles")
     rows = pairs.join(hashes.toDF("a", "sa"), "a").join(hashes.toDF("b", "sb"), "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -462,15 +463,15 @@ def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
     words are copies of each other.  All columns stay.
     """
     base = docs.withColumns({"__id": F.col(id_col).cast("long"), "__key": F.xxhash64(text_col)})
-    rows = materialize(base.select(F.col("__id").alias("doc_id"), F.col("__key").alias("text_key")), "keys")
-    nodes = materialize(rows.groupBy(F.col("text_key").alias("node")).agg(F.min("doc_id").alias("least")), "nodes")
-    texts = base.join(sized(nodes.toDF("__node", "__least")), (F.col("__key") == F.col("__node")) & F.col("__id").eqNullSafe(F.col("__least")), "left_semi").select(F.col("__key").alias("node"), F.col(text_col).alias("text"))
-    edges = similar_links(texts, nodes.count(), shingle=shingle, similarity=similarity)
-    roots = components(edges)
-    labelled = nodes.join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root"))
-    chosen = labelled.groupBy("root").agg(F.min(F.struct(F.col("least").isNull(), "least", "node")).alias("c")).select(F.col("c.least").alias("__id"), F.col("c.node").alias("__key"))
-    chosen = materialize(chosen, "chosen")
+    with scratch():
+        rows = materialize(base.select(F.col("__id").alias("doc_id"), F.col("__key").alias("text_key")), "keys")
+        nodes = materialize(rows.groupBy(F.col("text_key").alias("node")).agg(F.min("doc_id").alias("least")), "nodes")
+        texts = base.join(sized(nodes.toDF("__node", "__least")), (F.col("__key") == F.col("__node")) & F.col("__id").eqNullSafe(F.col("__least")), "left_semi").select(F.col("__key").alias("node"), F.col(text_col).alias("text"))
+        edges = similar_links(texts, nodes.count(), shingle=shingle, similarity=similarity)
+        labelled = nodes.join(components(edges), "node", "left").select("node", "least", F.coalesce("root", "node").alias("root"))
+        chosen = labelled.groupBy("root").agg(F.min(F.struct(F.col("least").isNull(), "least", "node")).alias("c")).select(F.col("c.least").alias("__id"), F.col("c.node").alias("__key"))
+        chosen = materialize(chosen, "chosen", keep=True)
+        again = rows.groupBy("doc_id", "text_key").count().where("count > 1").isEmpty()
     kept = base.join(sized(chosen), null_safe(base, chosen, ["__id", "__key"]), "left_semi")
-    again = rows.groupBy("doc_id", "text_key").count().where("count > 1").isEmpty()
     kept = kept if again else kept.dropDuplicates(["__id", "__key"])
     return kept.drop("__id", "__key")
