@@ -386,6 +386,16 @@ def _may_reach(a: str, b: str, similarity: float) -> Column:
     return (F.least(sa, sb) >= similarity * F.greatest(sa, sb) - 1e-9) & (odd <= (sa + sb) * ((1 - similarity) / (1 + similarity)) + 1e-6)
 
 
+def _one_bucket_each(members: DataFrame) -> DataFrame:
+    """Of buckets with the same members one stays: any shared shingle of a pair brings it up, and bounds it, as well as another.
+
+    Equal sets are told by count, ends and the sum of hashes of their members.
+    """
+    same = F.count("*").alias("n"), F.min("node").alias("first"), F.max("node").alias("last"), F.sum(F.xxhash64("node").cast("decimal(38,0)")).alias("sum")
+    kept = members.groupBy("key").agg(*same).groupBy("n", "first", "last", "sum").agg(F.min("key").alias("key")).select("key")
+    return materialize(members.join(sized(materialize(kept, "buckets")), "key", "left_semi"), "members")
+
+
 def similar_links(texts: DataFrame, n: int, *, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
     """Edges (a, b) that connect exactly the texts (node, text) which chains of pairs of that Jaccard similarity connect.
 
@@ -402,7 +412,7 @@ def similar_links(texts: DataFrame, n: int, *, shingle: int = 5, similarity: flo
     sets = materialize(prefixes(texts, common, shingle=shingle, similarity=similarity), "prefixes")
     keys = sets.select("node", F.posexplode("keys").alias("pos", "key"))
     shared = materialize(keys.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key", "lo"), "shared")
-    members = materialize(keys.join(sized(shared), "key"), "members")
+    members = _one_bucket_each(materialize(keys.join(sized(shared), "key"), "members"))
     info = sized(materialize(sets.drop("keys").join(sized(materialize(members.select("node").distinct(), "sharing")), "node", "left_semi"), "info"))
 
     def look(pairs: DataFrame, tag: str) -> DataFrame:
