@@ -293,3 +293,16 @@ def test_random_graph_studies(spark):
     D = graphs.path_matrix(n, *edges)
     reachable = D <= edges[2].sum()
     assert all((np.array(rows[i])[reachable[i]] == D[i][reachable[i]]).all() for i in range(n))
+
+
+def test_summaries_for_the_driver_are_bounded_by_what_they_take_there(spark):
+    """Collected rows are objects: several times the plain values that the bound once counted."""
+    import tracemalloc
+
+    for width in (1, 8):
+        some = spark.range(5000).selectExpr("id + 1000000 AS block", "concat('r', 'ep') AS role", "CAST(3 AS INT) AS pivot", "id + 10000000 AS ord", "4 AS grp", "array_repeat(id + 100000000, 8) AS coords" if width > 1 else "id + 100000000 AS coords", "rand() AS r")
+        tracemalloc.start()
+        rows = some.collect()
+        held, _ = tracemalloc.get_traced_memory()
+        tracemalloc.stop()
+        assert len(rows) == 5000 and held <= methods.driver_size(5000, width)
