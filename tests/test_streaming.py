@@ -58,3 +58,13 @@ def test_window_summaries_cover(spark):
     assert len(out) == 2 and all(r["count"] <= 8 for r in out)
     cut = window_summaries(points, L1, (2, 2), "1 day", parts=3).groupBy("window_start", "part").count().collect()
     assert len(cut) == 6 and all(r["count"] <= 8 for r in cut)
+
+
+def test_results_of_streams_do_not_lie_in_the_driver(spark):
+    """A memory sink keeps every row in the driver, under the query's name."""
+    from fairsummary import catalogue
+
+    for key, name in (("stream_distinct", "distinct_events"), ("stream_sessions", "session_counts")):
+        rows = catalogue.queries()[key](spark, "/root/testdata/sf0.001").collect()
+        assert not spark.catalog.tableExists(name)
+        assert sum(r.n for r in rows) == spark.read.parquet("/root/testdata/sf0.001/events.parquet").count()
