@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 from fairsummary import baselines, hardness, methods, scans
-from fairsummary.hitting import assign, assign_canonical, assign_slots, brute_force, certificate, complete
+from fairsummary.hitting import assign, assign_canonical, assign_slots, brute_force, certificate, complete, hitting_set
 from fairsummary.metrics import INVERSIONS, JACCARD, L1, LEVENSHTEIN
 from fairsummary.model import FairInstance, Points, proportional_caps
 
@@ -312,3 +312,31 @@ def test_summaries_for_the_driver_are_bounded_by_what_they_take_there(spark):
         held, _ = tracemalloc.get_traced_memory()
         tracemalloc.stop()
         assert len(rows) == 5000 and held <= methods.driver_size(5000, width)
+
+
+def _every_radius(inst):
+    """(radius, its rank, members of all balls) of the first pairwise distance that succeeds, by trying all."""
+    P = inst.points.sorted()
+    d = inst.metric.batch(P.coords, P.coords).astype(float)
+    for n, tau in enumerate(np.unique(d), 1):
+        kept = []
+        for i in range(len(d)):
+            if not kept or d[i, kept].min() > 2 * tau:
+                kept.append(i)
+        if len(kept) <= inst.k and hitting_set([P.take(d[i] <= tau) for i in kept], inst.caps)[1] == len(kept):
+            return float(tau), n, int((d[kept] <= tau).sum())
+
+
+def test_exact_balls_at_any_size(spark, monkeypatch):
+    for seed in range(60):
+        inst = random_instance(seed)
+        x = baselines.ball_matching_exact(inst)
+        assert (x.tau, x.stats["guesses"], x.stats["stored"]) == _every_radius(inst), seed
+    rows = random_rows(8, 450, 2, 60)  # more than the default of points
+    P = Points(np.array([r[0] for r in rows]), np.array([r[1] for r in rows]), np.array([r[2] for r in rows]))
+    want = baselines.ball_matching_exact(FairInstance(P, L1, (2, 1)))
+    assert (want.tau, want.stats["guesses"], want.stats["stored"]) == _every_radius(FairInstance(P, L1, (2, 1)))
+    for held in (baselines.DRIVER_BYTES, 0):
+        monkeypatch.setattr(baselines, "DRIVER_BYTES", held)
+        x = baselines.ball_matching_exact(FairInstance(frame(spark, rows, 3), L1, (2, 1)))
+        assert (x.tau, x.cost, sorted(x.centres.ord.tolist()), x.stats["guesses"], x.stats["stored"]) == (want.tau, want.cost, sorted(want.centres.ord.tolist()), want.stats["guesses"], want.stats["stored"])
