@@ -197,11 +197,35 @@ def test_hard_instance(spark):
     ones = [c for c in __import__("itertools").combinations(range(len(classes)), 3) if hardness.cost_of(classes, np.array(c), d) == 1]
     assert len(ones) == 2
     assert hardness.cost_of(classes, np.flatnonzero(classes == 7)[:3], d) == 4
-    rows = hardness.hard_inputs(spark, 51).groupBy("processor").count().collect()
+    ids = spark.range(466).toDF("ord")
+    rows = hardness.hard_inputs(ids).groupBy("processor").count().collect()
     assert len(rows) == 9 and all(r["count"] == 54 for r in rows)
-    fails = hardness.simulate(spark, 51, 1, 600).where("failed").count() / 600
+    fails = hardness.simulate(ids, 1, 600).where("failed").count() / 600
     assert fails >= 1 / 84 - 3 * (1 / 84 / 600) ** 0.5
     assert hardness.amplification_factor(0.1, 0.0) == 194
+    few = spark.range(20, 37).toDF("ord")  # by classes as by points
+    points = sorted((r.ord, r["class"]) for r in hardness.hard_points(few).collect())
+    classes, costs = np.array([c for _, c in points]), {}
+    for c in __import__("itertools").combinations(range(17), 3):
+        cost = hardness.cost_of(classes, np.array(c), d)
+        costs[cost] = costs.get(cost, 0) + 1
+    assert classes[:7].tolist() == list(range(7)) and hardness.triples(hardness.class_sizes(few)) == costs
+    assert sorted(r.label for r in hardness.hard_inputs(few, 3).select("ord", "label").distinct().collect()) == list(range(17))
+
+
+def test_hard_instances_and_ladder_take_every_row_of_their_table(spark):
+    from fairsummary import catalogue
+
+    run = lambda name: catalogue.queries()[name](spark, DATA).collect()
+    customers = {r.c_custkey for r in spark.read.parquet(f"{DATA}/customer.parquet").collect()}
+    n = len(customers)
+    assert {r.ord for r in run("hard_instance_points")} == customers == {r.ord for r in run("hard_instance_inputs")}
+    assert sum(r.pairs for r in run("hard_instance_distances")) == n * (n - 1) and sum(r.triples for r in run("hard_instance_optimum")) == n * (n - 1) * (n - 2) // 6
+    assert sum(r.n for r in run("hard_instance_amplified")) == n * hardness.amplification_factor(0.5, 0.001)
+    assert len({r.segment for r in run("hard_instance_frequencies")}) == 5 and all(run(f"hard_instance_failures{x}")[0].trials == 400 for x in ("", "_farthest"))
+    ladder = [r.tau for r in run("guess_ladder")]
+    bal = [r.c_acctbal for r in spark.read.parquet(f"{DATA}/customer.parquet").orderBy("c_custkey").collect()]
+    assert abs(ladder[0] - min(abs(x - bal[0]) for x in bal if x != bal[0]) * 100) < 1 and ladder[-2] < max(abs(x - bal[0]) for x in bal) * 100 + 1 <= ladder[-1] + 2
 
 
 def test_metrics_agree_with_kernels(spark):
