@@ -364,3 +364,17 @@ def test_exact_balls_at_any_size(spark, monkeypatch):
         monkeypatch.setattr(baselines, "DRIVER_BYTES", held)
         x = baselines.ball_matching_exact(FairInstance(frame(spark, rows, 3), L1, (2, 1)))
         assert (x.tau, x.cost, sorted(x.centres.ord.tolist()), x.stats["guesses"], x.stats["stored"]) == (want.tau, want.cost, sorted(want.centres.ord.tolist()), want.stats["guesses"], want.stats["stored"])
+
+
+def test_ratio_study_of_the_line_items(spark):
+    from fairsummary import catalogue, graphs, studies
+    from fairsummary.workloads import spark_sql
+
+    of = {}
+    for r in spark.read.parquet(f"{DATA}/lineitem.parquet").select("l_orderkey", "l_partkey").collect():
+        of.setdefault((r.l_orderkey, r.l_partkey % 20), set()).add(r.l_partkey // 20 % 500)
+    want = {(g, u, v) for (_, g), vs in of.items() for u in vs for v in vs if u < v}
+    edges = spark_sql(spark, DATA, graphs.FOLDED).collect()
+    assert {(r.graph, r.src, r.dst) for r in edges} == want and len(edges) == len(want)
+    got = catalogue.queries()["random_graph_ratios"](spark, DATA).collect()
+    assert len(got) == 8 * (len(studies.METHODS) - 1) and all(r.runs == len({g for g, _, _ in want}) and r.feasible for r in got)
