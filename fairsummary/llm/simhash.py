@@ -27,6 +27,8 @@ from .graph import components
 from .words import find_words, range_hash, raw_bytes
 
 BITS, SEED = 64, 42
+#: Differing bits of near duplicates' fingerprints; pairs beyond are found by their shingles.
+NEAR = 3
 #: Buckets with more members take the linear way.
 CROWD = 48
 #: Members of a crowded bucket that all others are compared with before any pairs are made.
@@ -396,16 +398,25 @@ def _one_bucket_each(members: DataFrame) -> DataFrame:
     return materialize(members.join(sized(materialize(kept, "buckets")), "key", "left_semi"), "members")
 
 
+def fingerprint_links(texts: DataFrame, *, shingle: int = 5, similarity: float = 0.8, max_bits: int = NEAR) -> DataFrame:
+    """Edges (a, b) of texts (node, text) whose fingerprints differ in at most ``max_bits`` bits and whose shingles have that Jaccard similarity."""
+    found = fingerprints(texts, id_col="node", shingle=shingle)
+    nodes = materialize(found.select(F.col("doc_id").alias("node"), "fp", "size"), "fingerprints")
+    return links(nodes, max_bits, check=lambda pairs: similar(pairs, texts, shingle=shingle, similarity=similarity))
+
+
 def similar_links(texts: DataFrame, n: int, *, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
     """Edges (a, b) that connect exactly the texts (node, text) which chains of pairs of that Jaccard similarity connect.
 
-    Candidates share a shingle of their prefixes, which no such pair fails to
-    do.  First every text meets one other, the smallest node it shares such a
+    Pairs near by fingerprint come first.  What fingerprints miss is found among
+    texts of different groups that share a shingle of their prefixes, which no
+    such pair fails to do.  There every text meets one other at first, the smallest node it shares such a
     shingle with, which connects most copies for one look each.  In buckets
     that are not one group by then, members meet the smallest and the largest
     node; then every pair of a bucket that is still not connected gets a look,
     in buckets of whatever size.
     """
+    near = materialize(fingerprint_links(texts, shingle=shingle, similarity=similarity), "near")
     common = common_shingles(texts, n, shingle)
     for _ in range(ROUNDS):  # what a round of prefixes finds in several texts goes behind what it does not
         common = known_shared(prefixes(texts, common, shingle=shingle, similarity=similarity).select(F.explode("keys").alias("key")), common)
@@ -428,7 +439,11 @@ def similar_links(texts: DataFrame, n: int, *, shingle: int = 5, similarity: flo
         return materialize(rows.join(sized(mixed), "key", "left_semi"), "open")
 
     one = members.where("lo < node").groupBy("node").agg(F.min("lo").alias("a")).select("a", F.col("node").alias("b"))
-    sure = look(one, "ones")
+    roots = sized(materialize(components(near), "roots"))
+    for end in ("a", "b"):
+        one = one.join(roots.select(F.col("node").alias(end), F.col("root").alias(f"{end}_root")), end, "left")
+    one = one.where(F.coalesce("a_root", "a") != F.coalesce("b_root", "b")).select("a", "b")
+    sure = near.union(look(one, "ones"))
     open_ = grouped(sure)
     ends = open_.groupBy("key").agg(F.min(F.struct("node", "group")).alias("lo"), F.max(F.struct("node", "group")).alias("hi"))
     ends = sized(materialize(ends, "ends"))
