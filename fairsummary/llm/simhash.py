@@ -36,7 +36,7 @@ LEADERS = 8
 #: Texts, at most about twice as many, that show which shingles are common, and common shingles that are told apart; they set an order, not the result.
 SAMPLE, COMMON = 4000, 100_000
 #: Shingles that each of some rounds of prefixes may add to them.
-SHARED, ROUNDS = 2_000_000, 2
+SHARED, ROUNDS = 500_000, 1
 
 
 def _bits_of(hashes: list[int]) -> int:
@@ -410,54 +410,93 @@ def similar_links(texts: DataFrame, n: int, *, shingle: int = 5, similarity: flo
 
     Pairs near by fingerprint come first.  What fingerprints miss is found among
     texts of different groups that share a shingle of their prefixes, which no
-    such pair fails to do.  There every text meets one other at first, the smallest node it shares such a
-    shingle with, which connects most copies for one look each.  In buckets
-    that are not one group by then, members meet the smallest and the largest
-    node; then every pair of a bucket that is still not connected gets a look,
-    in buckets of whatever size.
+    such pair fails to do.  There every text meets one other at first: of those it shares such a
+    shingle with, the one with the smallest share of shingles of its own, as an
+    unchanged text has among its copies.  That connects most copies for one look each.  Buckets
+    that are not one group by then, of whatever size, are left to :func:`open_links`.
     """
     near = materialize(fingerprint_links(texts, shingle=shingle, similarity=similarity), "near")
     common = common_shingles(texts, n, shingle)
     for _ in range(ROUNDS):  # what a round of prefixes finds in several texts goes behind what it does not
         common = known_shared(prefixes(texts, common, shingle=shingle, similarity=similarity).select(F.explode("keys").alias("key")), common)
     sets = materialize(prefixes(texts, common, shingle=shingle, similarity=similarity), "prefixes")
-    keys = sets.select("node", F.posexplode("keys").alias("pos", "key"))
-    shared = materialize(keys.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key", "lo"), "shared")
-    members = _one_bucket_each(materialize(keys.join(sized(shared), "key"), "members"))
-    info = sized(materialize(sets.drop("keys").join(sized(materialize(members.select("node").distinct(), "sharing")), "node", "left_semi"), "info"))
+    keys = sets.select("node", F.explode("keys").alias("key"))
+    shared = materialize(keys.groupBy("key").count().where("count > 1").select("key"), "shared")
+    members = materialize(keys.join(sized(shared), "key"), "members")
+    counts = sized(materialize(members.groupBy("node").agg(F.count("*").alias("n")), "sharing"))
+    info = sized(materialize(sets.join(counts, "node").withColumn("own", 1 - F.col("n") / F.size("keys")).drop("keys", "n"), "info"))
+    members = _one_bucket_each(members).join(info.select("node", "size", "own"), "node")
 
     def look(pairs: DataFrame, tag: str) -> DataFrame:
         a, b = info.alias("x"), info.alias("y")
         able = pairs.join(a, F.col("a") == F.col("x.node")).join(b, F.col("b") == F.col("y.node")).where(_may_reach("x", "y", similarity)).select("a", "b")
         return similar(materialize(able, tag), texts, shingle=shingle, similarity=similarity)
 
-    def grouped(links: DataFrame) -> DataFrame:
-        """Members of the buckets that the links leave in more than one group."""
-        roots = sized(materialize(components(links), "roots"))
-        rows = materialize(members.select("key", "pos", "node").join(roots, "node", "left").withColumn("group", F.coalesce("root", "node")).drop("root"), "grouped")
-        mixed = materialize(rows.groupBy("key").agg(F.min("group").alias("lo"), F.max("group").alias("hi")).where("lo < hi").select("key"), "mixed")
-        return materialize(rows.join(sized(mixed), "key", "left_semi"), "open")
-
-    one = members.where("lo < node").groupBy("node").agg(F.min("lo").alias("a")).select("a", F.col("node").alias("b"))
-    roots = sized(materialize(components(near), "roots"))
-    for end in ("a", "b"):
-        one = one.join(roots.select(F.col("node").alias(end), F.col("root").alias(f"{end}_root")), end, "left")
-    one = one.where(F.coalesce("a_root", "a") != F.coalesce("b_root", "b")).select("a", "b")
+    leads = sized(materialize(members.groupBy("key").agg(F.min(F.struct("own", "node")).alias("lead")), "leads"))
+    one = members.join(leads, "key").where("node != lead.node").groupBy("node").agg(F.min("lead").alias("lead")).select(F.col("lead.node").alias("a"), F.col("node").alias("b"))
     sure = near.union(look(one, "ones"))
-    open_ = grouped(sure)
-    ends = open_.groupBy("key").agg(F.min(F.struct("node", "group")).alias("lo"), F.max(F.struct("node", "group")).alias("hi"))
-    ends = sized(materialize(ends, "ends"))
-    star = open_.join(ends, "key").select("node", "group", F.explode(F.array("lo", "hi")).alias("lead")).where(F.col("group") != F.col("lead.group"))
-    star = star.select(F.least("node", "lead.node").alias("a"), F.greatest("node", "lead.node").alias("b")).distinct()
-    sure = sure.union(look(star.join(sized(materialize(one, "asked")), ["a", "b"], "left_anti"), "stars"))
-    rows = materialize(grouped(sure).join(info, "node"), "open")
-    x, y = rows.alias("x"), rows.alias("y")
+    roots = sized(materialize(components(sure), "roots"))
+    rows = members.select("key", "node", "size", "own").join(roots, "node", "left").withColumn("group", F.coalesce("root", "node")).drop("root")
+    rows = materialize(rows, "grouped")
+    return open_links(rows, texts, shingle=shingle, similarity=similarity).union(sure)
+
+
+def open_links(rows: DataFrame, texts: DataFrame, *, shingle: int, similarity: float) -> DataFrame:
+    """Edges that connect the similar texts of a bucket which are in different groups; ``rows`` is a materialized (key, node, size, own, group).
+
+    Near copies of one text share most of it, so their buckets are large though
+    few pairs are similar.  Members of a bucket and of similar sizes are told
+    by what sets them apart from one of them, the leader: the text with the
+    smallest share ``own`` of shingles that no other has.  With d the number of
+    such shingles and q = (1 - similarity) / (1 + similarity), a text is similar
+    to the leader if e = d - q * size is at most q * the leader's size, and two
+    are similar to each other just when they have (e + e') / 2 of those
+    shingles in common.  Two that are not both connected to the leader have
+    e + e' > 0, so prefixes of what sets them apart bring them together:
+    there shingles that nobody else has, which copies get by their own edits,
+    are left out, and what copies have in common does not occur at all.
+    """
+    q = (1 - similarity) / (1 + similarity)
+    rank = F.floor(F.log(F.greatest("size", F.lit(1)).cast("double")) / F.log(F.lit(1.01 / similarity))).cast("int")
+    slots = rows.withColumn("slot", F.explode(F.array(rank - 1, rank)))  # similar sizes are one rank apart at most
+    leads = slots.groupBy("key", "slot").agg(F.min(F.struct("own", "node", "group")).alias("lead"), F.min("group").alias("lo"), F.max("group").alias("hi"))
+    leads = sized(materialize(leads.where("lo < hi").select("key", "slot", F.col("lead.node").alias("lead"), F.col("lead.group").alias("lead_group")), "leads"))
+    led = materialize(slots.join(leads, ["key", "slot"]).where("node != lead").select("lead", "node", "group", (F.col("group") == F.col("lead_group")).alias("core")).distinct(), "led")
+    asked = sized(materialize(led.select("node").union(led.select("lead")).distinct(), "asked"))
+    sets = materialize(shingle_sets(texts.join(asked, "node", "left_semi"), "node", shingle), "shingles")
+    pairs = led.join(sets.toDF("node", "sa"), "node").join(sets.toDF("lead", "sb"), "lead").select("lead", "node", "group", "core", "sa", "sb")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                b = batch.slice(at, 256)
+                size, e, linked, apart = [], [], [], []
+                for x, y in zip(b.column(4), b.column(5)):
+                    x, y = np.frombuffer(x.as_buffer(), "<u4"), np.frombuffer(y.as_buffer(), "<u4")
+                    apart.append(np.setxor1d(x, y, assume_unique=True).view("<i4"))
+                    size.append(len(x))
+                    e.append(len(apart[-1]) - q * len(x))
+                    linked.append(e[-1] <= q * len(y) + 1e-6)
+                core = np.array(linked, bool) | b.column(3).to_numpy(zero_copy_only=False)
+                least = [(v + (1 if c else -1) * q * (len(y.as_buffer()) // 4)) / 2 for v, c, y in zip(e, core, b.column(5))]
+                lists = pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, apart)]), pa.int32()), pa.array(np.concatenate(apart)))
+                yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(core), pa.array(linked, pa.bool_()), pa.array(size, pa.int32()), pa.array(e, pa.float64()), pa.array(least, pa.float64()), lists], ["lead", "node", "group", "core", "linked", "size", "e", "least", "apart"])
+
+    told = materialize(pairs.mapInArrow(run, "lead long, node long, group long, core boolean, linked boolean, size int, e double, least double, apart array<int>"), "apart")
+    each = told.select("lead", "node", F.explode("apart").alias("h"))
+    common = materialize(each.groupBy("lead", "h").agg(F.count("*").alias("n")).where("n > 1"), "common")
+    own = Window.partitionBy("lead", "node")
+    held = each.join(common, ["lead", "h"]).withColumns({"pos": F.row_number().over(own.orderBy("n", "h")), "held": F.count("*").over(own)})
+    held = held.join(told.drop("apart", "linked"), ["lead", "node"]).where(F.col("pos") <= F.col("held") - F.greatest(F.lit(1), F.ceil(F.col("least") - 1e-6)) + 1)
+    held = materialize(held, "held")
+    x, y = held.alias("x"), held.alias("y")
     sa, sb, i, j = F.col("x.size"), F.col("y.size"), F.col("x.pos"), F.col("y.pos")
-    most = F.least(i, j) + 1 + F.least(sa - i, sb - j) - 1  # shared shingles before, at and after this one
-    enough = (sa == 0) | (most >= (sa + sb) * (similarity / (1 + similarity)) - 1e-6)
-    rest = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.group") != F.col("y.group")) & _may_reach("x", "y", similarity) & enough)
+    most = F.least(i, j) + F.least(F.col("x.held") - i, F.col("y.held") - j)  # shared shingles before, at and after this one
+    able = (F.least(sa, sb) >= similarity * F.greatest(sa, sb) - 1e-9) & (most >= (F.col("x.e") + F.col("y.e")) / 2 - 1e-6)
+    able = able & (F.col("x.node") < F.col("y.node")) & (F.col("x.group") != F.col("y.group")) & ~(F.col("x.core") & F.col("y.core"))
+    rest = x.join(y, (F.col("x.lead") == F.col("y.lead")) & (F.col("x.h") == F.col("y.h")) & able)
     rest = materialize(rest.select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct(), "pairs")
-    return similar(rest, texts, shingle=shingle, similarity=similarity).union(sure)
+    return similar(rest, texts, shingle=shingle, similarity=similarity).union(told.where("linked").select(F.col("lead").alias("a"), F.col("node").alias("b")))
 
 
 def similar(pairs: DataFrame, texts: DataFrame, *, shingle: int = 5, similarity: float = 0.8) -> DataFrame:

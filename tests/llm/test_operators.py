@@ -322,6 +322,24 @@ def test_no_similar_pair_is_missed(spark):
     assert sorted(r.doc_id for r in simhash.keep_one(table(spark, texts)).collect()) == want
 
 
+def test_pairs_looked_at_follow_the_texts(spark, monkeypatch):
+    """Copies with edits of their own: in one group with the text they come from, or too far from it and from each other."""
+    rng = np.random.default_rng(11)
+    texts, words = [], [f"b{i}" for i in range(200)]
+    for k in range(90):
+        copy = list(words)
+        for at in rng.choice(200, 5 if k % 3 else 9, replace=False):  # a similarity of 0.78 and less, or of 0.6
+            copy[at] = f"edit{k}x{at}"
+        texts.append(" ".join(copy))
+    for texts in (texts, [*texts, " ".join(words)]):  # without and with the text they come from
+        want, pairs = _kept(texts)
+        asked, similar = [], simhash.similar
+        with monkeypatch.context() as m:
+            m.setattr(simhash, "similar", lambda p, *a, **k: asked.append(p.count()) or similar(p, *a, **k))
+            assert sorted(r.doc_id for r in simhash.keep_one(table(spark, texts)).collect()) == want
+        assert sum(asked) <= 5 * len(texts), (asked, pairs, len(want))
+
+
 def test_packing(spark):
     rng = np.random.default_rng(4)
     sizes = sorted(rng.integers(1, 100, 200).tolist(), reverse=True)
