@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import tempfile
 import uuid
@@ -19,6 +20,8 @@ from pyspark.sql import types as T
 BROADCAST_BYTES = 24 << 20
 #: Kernels see slices of about this many bytes of text, so that numpy scratch stays in cache.
 CHUNK_BYTES = 1 << 19
+#: Bytes of one Arrow batch between an executor and its Python workers where :func:`small_batches` holds.
+BATCH_BYTES = 4 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -73,6 +76,36 @@ def materialize(df: DataFrame, tag: str, keep: bool = False) -> DataFrame:
     return out
 
 
+@contextmanager
+def small_batches(spark: SparkSession, limit: int = BATCH_BYTES) -> Iterator[None]:
+    """Jobs that run inside exchange Arrow batches of about ``limit`` bytes; Spark's 64 MB are held by the executor, as it grows them, and by the worker."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, str(limit))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
+def give_back() -> None:
+    """Return free memory of this process to the system; allocators keep it otherwise, and workers outlive their tasks."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc alone has it
+    if trim is not None:
+        trim(0)
+
+
+def map_batches(df: DataFrame, run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema) -> DataFrame:
+    """``df.mapInArrow(run, schema)`` whose workers give memory back after each task."""
+
+    def lean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        give_back()
+
+    return df.mapInArrow(lean, schema)
+
+
 def stored_bytes(df: DataFrame) -> int:
     """Bytes of the files behind a materialized frame, as Catalyst's own statistics have them."""
     return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))

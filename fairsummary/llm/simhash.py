@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import label_rows, materialize, null_safe, scratch, sized, text_slices
+from .common import label_rows, map_batches, materialize, null_safe, scratch, sized, small_batches, text_slices
 from .graph import components
 from .words import find_words, range_hash, raw_bytes
 
@@ -74,7 +74,7 @@ def fingerprints(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
                 fp, n = zip(*(fingerprint(body[s:e], shingle) for s, e in zip(offs[:-1], offs[1:])))
                 yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(fp, pa.int64()), pa.array(n, pa.int64())], ["doc_id", "text_key", "fp", "size"])
 
-    return rows.mapInArrow(run, "doc_id long, text_key long, fp long, size long")
+    return map_batches(rows, run, "doc_id long, text_key long, fp long, size long")
 
 
 def bit_statistics(fps: DataFrame) -> tuple[int, np.ndarray]:
@@ -93,7 +93,7 @@ def bit_statistics(fps: DataFrame) -> tuple[int, np.ndarray]:
             at = np.append(i * BITS + j, -1)
             yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(np.append(total[i, j], n).astype(np.int64))], ["at", "n"])
 
-    got = fps.select("fp").mapInArrow(run, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
+    got = map_batches(fps.select("fp"), run, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
     flat = dict(zip(got["at"].to_pylist(), got["n"].to_pylist()))
     both = np.zeros((BITS, BITS))
     for at, n in flat.items():
@@ -319,7 +319,7 @@ def shingle_sets(texts: DataFrame, key: str, shingle: int) -> DataFrame:
             for keys, sets in _sets(batch, shingle):
                 yield pa.RecordBatch.from_arrays([keys, pa.array([np.unique((x >> np.uint64(32)).astype("<u4")).tobytes() for x in sets], pa.binary())], [key, "shingles"])
 
-    return texts.select(key, "text").mapInArrow(run, f"{key} long, shingles binary")
+    return map_batches(texts.select(key, "text"), run, f"{key} long, shingles binary")
 
 
 def common_shingles(texts: DataFrame, n: int, shingle: int) -> tuple[np.ndarray, np.ndarray]:
@@ -331,7 +331,7 @@ def common_shingles(texts: DataFrame, n: int, shingle: int) -> tuple[np.ndarray,
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(sets).view(np.int64))], ["h"])
 
     some = texts.where(F.pmod(F.xxhash64("node"), F.lit(max(1, n // SAMPLE))) == 0)
-    got = some.select("node", "text").mapInArrow(run, "h long").groupBy("h").count().where("count > 2").orderBy(F.desc("count"), "h").limit(COMMON).toArrow()
+    got = map_batches(some.select("node", "text"), run, "h long").groupBy("h").count().where("count > 2").orderBy(F.desc("count"), "h").limit(COMMON).toArrow()
     h, count = got["h"].to_numpy().view(np.uint64), got["count"].to_numpy()
     order = np.argsort(h)
     return h[order], count[order]
@@ -378,7 +378,7 @@ def prefixes(texts: DataFrame, common: tuple[np.ndarray, np.ndarray], *, shingle
                 lists = pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, keys)]), pa.int32()), pa.array(np.concatenate(keys)))
                 yield pa.RecordBatch.from_arrays([nodes, pa.array([len(x) for x in sets], pa.int32()), *words, lists], ["node", "size", "p0", "p1", "p2", "p3", "keys"])
 
-    return texts.select("node", "text").mapInArrow(run, "node long, size int, p0 long, p1 long, p2 long, p3 long, keys array<long>")
+    return map_batches(texts.select("node", "text"), run, "node long, size int, p0 long, p1 long, p2 long, p3 long, keys array<long>")
 
 
 def _may_reach(a: str, b: str, similarity: float) -> Column:
@@ -482,7 +482,7 @@ def open_links(rows: DataFrame, texts: DataFrame, *, shingle: int, similarity: f
                 lists = pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, apart)]), pa.int32()), pa.array(np.concatenate(apart)))
                 yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(core), pa.array(linked, pa.bool_()), pa.array(size, pa.int32()), pa.array(e, pa.float64()), pa.array(least, pa.float64()), lists], ["lead", "node", "group", "core", "linked", "size", "e", "least", "apart"])
 
-    told = materialize(pairs.mapInArrow(run, "lead long, node long, group long, core boolean, linked boolean, size int, e double, least double, apart array<int>"), "apart")
+    told = materialize(map_batches(pairs, run, "lead long, node long, group long, core boolean, linked boolean, size int, e double, least double, apart array<int>"), "apart")
     each = told.select("lead", "node", F.explode("apart").alias("h"))
     common = materialize(each.groupBy("lead", "h").agg(F.count("*").alias("n")).where("n > 1"), "common")
     own = Window.partitionBy("lead", "node")
@@ -515,7 +515,7 @@ def similar(pairs: DataFrame, texts: DataFrame, *, shingle: int = 5, similarity:
             b = b.filter(pa.array(keep, pa.bool_()))
             yield pa.RecordBatch.from_arrays(b.columns[:2], ["a", "b"])
 
-    return materialize(rows.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long"), "similar")
+    return materialize(map_batches(rows.select("a", "b", "sa", "sb"), run, "a long, b long"), "similar")
 
 
 def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8) -> DataFrame:
@@ -527,7 +527,7 @@ def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
     words are copies of each other.  All columns stay.
     """
     base = docs.withColumns({"__id": F.col(id_col).cast("long"), "__key": F.xxhash64(text_col)})
-    with scratch():
+    with scratch(), small_batches(docs.sparkSession):
         rows = materialize(base.select(F.col("__id").alias("doc_id"), F.col("__key").alias("text_key")), "keys")
         nodes = materialize(rows.groupBy(F.col("text_key").alias("node")).agg(F.min("doc_id").alias("least")), "nodes")
         texts = base.join(sized(nodes.toDF("__node", "__least")), (F.col("__key") == F.col("__node")) & F.col("__id").eqNullSafe(F.col("__least")), "left_semi").select(F.col("__key").alias("node"), F.col(text_col).alias("text"))

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import MEMORY, WORD_BYTES, Memory, extended, text_slices
+from .common import MEMORY, WORD_BYTES, Memory, extended, map_batches, text_slices
 from .token_table import split_words
 from .words import _BYTE, range_hash
 
@@ -199,7 +199,7 @@ def fit(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> tuple[n
         yield pa.RecordBatch.from_arrays([pa.array([odds.tobytes()]), pa.array([base])], ["odds", "base"])
 
     # the bounded sample is trained on by one task, so the driver gets nothing but the model
-    model = sample.mapInArrow(run, "odds binary, base double").first()
+    model = map_batches(sample, run, "odds binary, base double").first()
     return (np.frombuffer(model.odds), model.base) if model else (np.zeros(s.buckets), 0.0)
 
 
@@ -215,7 +215,7 @@ def score(docs: DataFrame, model: tuple[np.ndarray, float], s: Settings = Settin
                 texts = [t or "" for t in b.column(b.schema.get_field_index(text_col)).to_pylist()]
                 yield pa.RecordBatch.from_arrays([*b.columns, pa.array(scorer(texts))], [*b.schema.names, out])
 
-    return base.mapInArrow(run, extended(base.schema, f"{out} double"))
+    return map_batches(base, run, extended(base.schema, f"{out} double"))
 
 
 THRESHOLD = 0.7
